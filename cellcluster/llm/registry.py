@@ -2,15 +2,20 @@
 
 from __future__ import annotations
 
-from . import bytebpe, decontaminate, exactdup
+from . import bytebpe, chat, decontaminate, exactdup, quality, surrogates, urlfilter
 
 QUERIES = {
     "op2_wu_manber": decontaminate.op2_wu_manber,
+    "op5_url_ngrams": urlfilter.op5_url_ngrams,
+    "op6_keyed_surrogates": surrogates.op6_keyed_surrogates,
+    "op7_ftrl_quality": quality.op7_ftrl_quality,
+    "op8_snapshot_collapse": chat.op8_snapshot_collapse,
     "op9_counting_quotient": exactdup.op9_counting_quotient,
     "op10_byte_bpe": bytebpe.op10_byte_bpe,
 }
 
 ORACLES = {
     "op2_wu_manber": decontaminate.ORACLE,
+    "op8_snapshot_collapse": chat.ORACLE,
     "op9_counting_quotient": exactdup.ORACLE,
 }
