@@ -8,12 +8,15 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from cellcluster import gaptest
 from cellcluster.prefixtree import PrefixTree
 from cellcluster.spec import ClusterSpec
 
-VERDICT = "yes boolean, iterations bigint, distances bigint, pruned_triangle bigint, pruned_angle bigint"
+# declared as types: workers import this module without a session that could read text
+VERDICT = T.StructType([T.StructField("yes", T.BooleanType()), *[T.StructField(n, T.LongType()) for n in ("iterations", "distances", "pruned_triangle", "pruned_angle")]])
+MEMBER = T.StructType([*[T.StructField(n, T.LongType()) for n in ("g", "point_id", "cluster_id")], T.StructField("role", T.StringType())])
 
 
 @F.pandas_udf(VERDICT)
@@ -23,7 +26,7 @@ def gap_verdict(a: pd.Series, b: pd.Series, eps: pd.Series) -> pd.DataFrame:
     return pd.DataFrame([(v.yes, v.iterations, v.distances, v.pruned_triangle, v.pruned_angle) for v in rows], columns=["yes", "iterations", "distances", "pruned_triangle", "pruned_angle"])
 
 
-@F.pandas_udf("array<bigint>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def cell_of(coords: pd.Series, lows: pd.Series, eps: pd.Series) -> pd.Series:
     """Cell identifier of a point, by integer square roots; agrees with the column form."""
     def one(x, low, e):
@@ -33,7 +36,7 @@ def cell_of(coords: pd.Series, lows: pd.Series, eps: pd.Series) -> pd.Series:
     return pd.Series([one(x, low, e) for x, low, e in zip(coords, lows, eps, strict=True)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def set_radius(x: pd.Series, y: pd.Series) -> float:
     """Greatest distance of a group's points in the plane from their mean."""
     return float(np.sqrt((x - x.mean()) ** 2 + (y - y.mean()) ** 2).max())
@@ -80,7 +83,7 @@ def cluster_arrays(ids: np.ndarray, x: np.ndarray, eps: int, min_pts: int) -> li
     return out
 
 
-@F.udtf(returnType="g bigint, point_id bigint, cluster_id bigint, role string")
+@F.udtf(returnType=MEMBER)
 class DensityCluster:
     """density_cluster(TABLE(points) PARTITION BY g, eps, min_pts) over small groups: columns g, point_id, x1, ..., xd."""
 
