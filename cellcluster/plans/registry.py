@@ -356,3 +356,26 @@ add("events_session", lambda s, d: streaming.session_counts(_ts(s, d), "30 minut
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: cluster labels of the event points."""
     return cluster.cell_exact(fixtures.points(spark, sf_dir, "events"), ClusterSpec(2000, 5)).labels()
+
+
+def _counts(s: SparkSession, d: str) -> DataFrame:
+    from cellcluster.workloads import cluster_counts
+
+    return s.createDataFrame([tuple(r.values()) for r in cluster_counts(s, d, 1_500)], "kind string, eps bigint, exact bigint, approximate bigint, flagship bigint, adjusted_rand double")
+
+
+def _ablation(s: SparkSession, d: str) -> DataFrame:
+    from cellcluster.workloads import merge_ablation
+
+    return s.createDataFrame([(r["set"], r["order"], r["gap"], r["components"], r["checks"], r["kappa"], r["distances"]) for r in merge_ablation(s, d, ("part",))], "name string, turn string, gap string, components bigint, checks bigint, kappa bigint, distances bigint")
+
+
+def _index(s: SparkSession, d: str) -> DataFrame:
+    from cellcluster.workloads import index_ablation
+
+    return s.createDataFrame([(r["set"], r["eps"], r["tree"], r["cells"], float(r["mean_nbr"]), r["visited"]) for r in index_ablation(s, d, ("embed4",), (4500, 12000))], "name string, eps bigint, tree string, cells bigint, mean_nbr double, visited bigint")
+
+
+add("workload_w3_cluster_counts", _counts)
+add("workload_w9_index", _index)
+add("workload_w10_merge_orders", _ablation)
