@@ -361,7 +361,7 @@ def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _counts(s: SparkSession, d: str) -> DataFrame:
     from cellcluster.workloads import cluster_counts
 
-    return s.createDataFrame([tuple(r.values()) for r in cluster_counts(s, d, 1_500)], "kind string, eps bigint, exact bigint, approximate bigint, flagship bigint, adjusted_rand double")
+    return s.createDataFrame([tuple(r.values()) for r in cluster_counts(s, d, 400, ("varied",), (4500,))], "kind string, eps bigint, exact bigint, approximate bigint, flagship bigint, adjusted_rand double")
 
 
 def _ablation(s: SparkSession, d: str) -> DataFrame:

@@ -63,10 +63,10 @@ def ladder(spark: SparkSession, sf_dir: str, which: str, n: int = 20_000) -> Ite
                 yield measured(name, method, make, spec, run)
 
 
-def cluster_counts(spark: SparkSession, sf_dir: str, n: int = 3_000) -> Iterator[dict]:
+def cluster_counts(spark: SparkSession, sf_dir: str, n: int = 3_000, kinds: tuple[str, ...] = ("even", "varied"), ladder_: tuple[int, ...] = (2000, 4500)) -> Iterator[dict]:
     """W3: clusters of the approximate and the exact block method on seven-dimensional walks, and how far they agree."""
-    for kind in ("even", "varied"):
-        for eps in (2000, 4500):
+    for kind in kinds:
+        for eps in ladder_:
             ps = durable(gen_walk(spark, n, 7, kind=kind))
             spec = ClusterSpec(eps, 10)
             exact, near = baselines.ball_block_exact(ps, spec), baselines.ball_block(ps, spec)
