@@ -9,8 +9,8 @@ threshold of 0.75 misses all bands with a probability of 5e-6.
 Links are confirmed on the full sets, and no group is expanded into its pairs:
 
 * documents of one set become one vertex;
-* in each bucket all members are compared with two leaders, and the components of
-  these links are formed;
+* members of a bucket are compared with two leaders of it, the same in all buckets
+  that hold them, and the components of these links are formed;
 * buckets that still hold several components are settled exactly. A shingle that
   no other open document has proves how far any similarity can reach; documents
   that cannot reach the threshold drop out, and of the others each one outside
@@ -29,13 +29,15 @@ from pyspark.sql import functions as F
 
 from cellcluster.components import star_components
 
-from .common import add_columns, durable, field, table
+from .common import add_columns, durable, field, only_marked, table
 from .wordhash import SPACED, mix, shingles, word_hashes
 
 WIDTH, PERMUTATIONS, ROWS = 5, 64, 4
 BANDS = 2 * PERMUTATIONS // ROWS
 #: The threshold as hundredths, and members of a block.
 PERCENT, BLOCK = 75, 256
+#: Buckets in which a pair at the threshold meets with a probability of 0.9995.
+LIKELY = 3
 
 _rng = np.random.Generator(np.random.PCG64(20))
 _A = _rng.integers(0, 2**32, PERMUTATIONS, dtype=np.uint32) | np.uint32(1)
@@ -85,18 +87,19 @@ def _sketches(docs: DataFrame, text: str) -> DataFrame:
 
 
 def _payload(docs: DataFrame, text: str, active: DataFrame) -> DataFrame:
-    """v, n, set and bands of the active vertices, from one document of each."""
+    """v (whole and as two numbers), n, set and bands of the active vertices, from one document of each."""
     def make():
         def work(texts):
             for raw in texts:
                 s = shingle_set(raw)
-                yield _digest(s), len(s), s.view(np.int64).tolist(), bands(s).tolist() if len(s) else []
+                v = _digest(s)
+                yield v, *np.frombuffer(v, np.int64).tolist(), len(s), s.view(np.int64).tolist(), bands(s).tolist() if len(s) else []
 
         return work
 
-    rows = docs.select("doc_id", F.col(text).alias("text")).join(active.select("doc_id"), "doc_id")
-    found = add_columns(rows, "text", [field("v", "binary"), field("n", "bigint"), field("set", "array<bigint>"), field("bands", "array<bigint>")], make, ["doc_id"])
-    return found.join(active, ["doc_id", "v"]).dropDuplicates(["v"]).drop("doc_id")
+    rows = only_marked(docs.select("doc_id", F.col(text).alias("text")), "doc_id", active, active.count()).join(active.select("doc_id").distinct(), "doc_id")
+    fields = [field("v", "binary"), *[field(c, "bigint") for c in ("v1", "v2", "n")], field("set", "array<bigint>"), field("bands", "array<bigint>")]
+    return add_columns(rows, "text", fields, make, ["doc_id"]).join(active, ["doc_id", "v"]).dropDuplicates(["v"]).drop("doc_id")
 
 
 def _similar(inter, a, b, percent: int):
@@ -104,8 +107,10 @@ def _similar(inter, a, b, percent: int):
 
 
 def _leader_links(buckets: DataFrame, payload: DataFrame, percent: int) -> DataFrame:
+    """Links between members and leaders that meet in ``LIKELY`` buckets at least; what this leaves apart is settled later."""
     sets = payload.select("v", "n", "set")
-    pairs = buckets.select("v", F.explode(F.array("first", "second")).alias("w")).where("v <> w").select(F.least("v", "w").alias("a"), F.greatest("v", "w").alias("b")).distinct()
+    met = buckets.select("v", F.explode(F.array_distinct(F.array("first", "second"))).alias("w")).where("v <> w")
+    pairs = met.groupBy("v", "w").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= LIKELY).select(F.least("v", "w").alias("a"), F.greatest("v", "w").alias("b")).distinct()
     both = pairs.join(sets.toDF("a", "na", "sa"), "a").join(sets.toDF("b", "nb", "sb"), "b")
     # the sizes alone bound the similarity
     both = both.where((100 * F.col("na") >= percent * F.col("nb")) & (100 * F.col("nb") >= percent * F.col("na")))
@@ -151,9 +156,11 @@ def _settle(buckets: DataFrame, labels: DataFrame, payload: DataFrame, percent:
     """Links (a, b) between components, for all pairs of the buckets that no earlier step compared or joined."""
     rows = _open(buckets.join(labels, "v").select("key", "band", "v", "comp")).select("key", "band", "v", "comp")
     rows = durable(rows)
-    sets = payload.join(rows.select("v").distinct(), "v", "left_semi").select("v", "n", F.explode("set").alias("s"))
-    shared = sets.groupBy("s").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("s")
-    common = sets.join(shared, "s", "left_semi").groupBy("v", "n").agg(F.count(F.lit(1)).alias("common"))
+    still = payload.join(rows.select("v").distinct(), "v", "left_semi")
+    # of a shingle that occurs once, the exclusive or of its owners is its owner
+    owners = still.select("v1", "v2", F.explode("set").alias("s")).groupBy("s").agg(F.count(F.lit(1)).alias("k"), F.bit_xor("v1").alias("v1"), F.bit_xor("v2").alias("v2"))
+    alone = owners.where("k = 1").groupBy("v1", "v2").agg(F.count(F.lit(1)).alias("alone"))
+    common = still.select("v", "v1", "v2", "n").join(alone, ["v1", "v2"], "left").select("v", "n", (F.col("n") - F.coalesce("alone", F.lit(0))).alias("common"))
     able = durable(common.where(100 * F.col("common") >= percent * F.col("n")).select("v", "common"))
     rows = _open(rows.join(able, "v").select("key", "band", "v", "comp", "common"))
     rows = rows.withColumns({"in_largest": F.col("comp") == F.col("largest"), "wide": F.ceil(F.col("size") / BLOCK).cast("int"), "high": F.ceil(F.col("minor") / BLOCK).cast("int")})
@@ -162,7 +169,7 @@ def _settle(buckets: DataFrame, labels: DataFrame, payload: DataFrame, percent:
     fields = ("key", "band", "v", "comp", "common", "in_largest")
     members = rows.select(*fields, F.lit(False).alias("minor_row"), spot("wide", 1).alias("i"), F.explode(upto("high")).alias("j"))
     minors = rows.where("NOT in_largest").select(*fields, F.lit(True).alias("minor_row"), F.explode(upto("wide")).alias("i"), spot("high", 2).alias("j"))
-    grid = members.unionByName(minors).join(payload, "v")
+    grid = members.unionByName(minors).join(payload.select("v", "n", "set", "bands"), "v")
     return grid.groupBy("key", "i", "j").applyInArrow(_block_links(percent), "a binary, b binary").distinct()
 
 
@@ -179,7 +186,7 @@ def near_groups(docs: DataFrame, text: str = "text", percent: int = PERCENT) ->
     each = durable(_sketches(docs, "text").dropDuplicates(["doc_id", "v"]))
     vertices = durable(each.where("v IS NOT NULL").groupBy("v").agg(F.min("doc_id").alias("doc_id"), F.first("bands").alias("bands")))
     keyed = vertices.select("v", F.posexplode("bands").alias("band", "key"))
-    second = F.min_by("v", F.xxhash64("v", "key"))
+    second = F.min_by("v", F.xxhash64("v"))
     buckets = keyed.join(keyed.groupBy("key").agg(F.min("v").alias("first"), second.alias("second"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n"), "key")
     buckets = durable(buckets.select("key", "band", "v", "first", "second"))
     active = vertices.select("v", "doc_id").join(buckets.select("v").distinct(), "v", "left_semi")
