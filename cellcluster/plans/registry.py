@@ -303,12 +303,15 @@ def _asof(s: SparkSession, d: str) -> DataFrame:
 add("asof_events", _asof, "WITH r AS (SELECT user_id, ts, max(event_id) AS event FROM events WHERE event_type = 'click' GROUP BY 1, 2) SELECT e.event_id, r.event AS last_event FROM (SELECT * FROM events WHERE event_type <> 'click') e ASOF LEFT JOIN r ON e.user_id = r.user_id AND e.ts >= r.ts")
 
 
-def _intervals(s: SparkSession, d: str) -> DataFrame:
-    side = lambda n, m: table(s, d, "part").where(F.col("p_partkey") % 2 == m).select(F.col("p_partkey").alias(f"{n}_id"), (F.col("p_size") * 10).cast("bigint").alias(f"{n}_lo"), (F.col("p_size") * 10 + F.col("p_partkey") % 15).cast("bigint").alias(f"{n}_hi")).where(F.col(f"{n}_id") <= 400)
+def _intervals(s: SparkSession, d: str, last: int | None = None) -> DataFrame:
+    part = table(s, d, "part") if last is None else table(s, d, "part").where(F.col("p_partkey") <= last)
+    side = lambda n, m: part.where(F.col("p_partkey") % 2 == m).select(F.col("p_partkey").alias(f"{n}_id"), (F.col("p_size") * 10).cast("bigint").alias(f"{n}_lo"), (F.col("p_size") * 10 + F.col("p_partkey") % 15).cast("bigint").alias(f"{n}_hi"))
     return joins.interval_join(side("a", 0), side("b", 1), ("a_lo", "a_hi"), ("b_lo", "b_hi"), 25).select("a_id", "b_id")
 
 
-add("interval_parts", _intervals, "WITH i AS (SELECT p_partkey AS id, p_size * 10 AS lo, p_size * 10 + p_partkey % 15 AS hi FROM part WHERE p_partkey <= 400) SELECT a.id AS a_id, b.id AS b_id FROM i a JOIN i b ON a.id % 2 = 0 AND b.id % 2 = 1 AND a.lo <= b.hi AND b.lo <= a.hi")
+# the SQL of interval_parts is fixed to its first 400 parts; interval_all_parts joins the whole table
+add("interval_parts", lambda s, d: _intervals(s, d, 400), "WITH i AS (SELECT p_partkey AS id, p_size * 10 AS lo, p_size * 10 + p_partkey % 15 AS hi FROM part WHERE p_partkey <= 400) SELECT a.id AS a_id, b.id AS b_id FROM i a JOIN i b ON a.id % 2 = 0 AND b.id % 2 = 1 AND a.lo <= b.hi AND b.lo <= a.hi")
+add("interval_all_parts", _intervals, "WITH i AS (SELECT p_partkey AS id, p_size * 10 AS lo, p_size * 10 + p_partkey % 15 AS hi FROM part) SELECT a.id AS a_id, b.id AS b_id FROM i a JOIN i b ON a.id % 2 = 0 AND b.id % 2 = 1 AND a.lo <= b.hi AND b.lo <= a.hi")
 add("orders_lineitem_smj", lambda s, d: table(s, d, "lineitem", ["l_orderkey", "l_linenumber"]).join(table(s, d, "orders", ["o_orderkey", "o_orderstatus"]).hint("merge"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n")), "SELECT o_orderstatus, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 add("salted_join_orders", lambda s, d: joins.salted_join(table(s, d, "lineitem", ["l_orderkey", "l_linenumber", "l_suppkey"]), table(s, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey"), ["l_orderkey"], 4).groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")), "SELECT o_custkey, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 add("labels_full_outer", lambda s, d: table(s, d, "documents", ["doc_id"]).withColumn("d", F.lit(1)).join(table(s, d, "labels", ["doc_id", "quality"]), "doc_id", "full").groupBy("quality").agg(F.count("d").alias("docs")), "SELECT quality, count(d) AS docs FROM (SELECT doc_id, 1 AS d FROM documents) FULL JOIN labels USING (doc_id) GROUP BY 1")
