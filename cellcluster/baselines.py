@@ -152,11 +152,12 @@ def pair_edges(core: DataFrame, pairs: DataFrame, eps: int, gap: str = "alternat
     return sides[0].unionByName(sides[1]).groupBy("a", "b").applyInArrow(test, "a string, b string")
 
 
-def ball_block(ps: DataFrame, spec: ClusterSpec, gap: str = "pingpong", most: int = 200) -> ClusterResult:
+def ball_block(ps: DataFrame, spec: ClusterSpec, gap: str = "pingpong") -> ClusterResult:
     """Blocks are balls of radius eps / 2 with enough points; blocks with near centres are merged by a gap test.
 
-    A centre is a candidate with the smallest id among the free ones in its
-    ball; its ball is absorbed, and rounds go on until no candidate is free.
+    A centre is a candidate that comes first among the free ones in its ball, by
+    a hash of the id, so that ids in the order of a coordinate make no chain of
+    rounds; its ball is absorbed, and rounds go on until no candidate is free.
     Points outside are core by their own count. With ``pingpong`` blocks may
     stay apart wrongly and an outer core point joins one cluster only; with an
     exact gap test outer points are blocks of one and the result is exact.
@@ -168,12 +169,11 @@ def ball_block(ps: DataFrame, spec: ClusterSpec, gap: str = "pingpong", most: in
     free = durable(dense)
     centres = None
     absorbed = None
-    for _ in range(most):
-        if free.isEmpty():
-            break
-        # smallest id among the free candidates of the ball
-        rivals = half.join(free, "i").join(free.select(F.col("i").alias("j")), "j")
-        picked = durable(rivals.groupBy("i").agg(F.min("j").alias("m")).where("i = m").select("i"))
+    first = F.min(F.struct(F.xxhash64("j"), "j"))
+    rivals = half
+    while not free.isEmpty():  # the first of all free candidates is picked at least
+        rivals = durable(rivals.join(free, "i", "left_semi").join(free.select(F.col("i").alias("j")), "j", "left_semi"))
+        picked = durable(rivals.groupBy("i").agg(first.alias("m")).where("i = m.j").select("i"))
         taken = half.join(picked, "i").select(F.col("j").alias("i"), F.col("i").alias("centre"))
         taken = taken if absorbed is None else taken.join(absorbed.select("i"), "i", "left_anti")
         taken = taken.groupBy("i").agg(F.min("centre").alias("centre"))

@@ -2,7 +2,9 @@
 
 import duckdb
 
+from cellcluster import baselines
 from cellcluster.plans import registry
+from cellcluster.spec import ClusterSpec
 
 LARGER = "/root/testdata/sf0.01"
 
@@ -15,3 +17,13 @@ def test_intervals_of_all_parts_are_joined(spark):
     assert got == sorted(c.execute(registry.ORACLES["interval_all_parts"]).fetchall())
     i = c.execute("SELECT p_partkey, p_size * 10, p_size * 10 + p_partkey % 15 FROM part").fetchall()
     assert got == sorted((a, b) for a, lo, hi in i if a % 2 == 0 for b, low, high in i if b % 2 == 1 and lo <= high and low <= hi)
+
+
+def test_ball_blocks_absorb_every_dense_point_of_a_chain(spark):
+    """Ids in the order of a line: by smallest id each round would pick one centre, 250 in all."""
+    ps = spark.range(1500).selectExpr("id AS point_id", "id AS x1", "0L AS x2")
+    for method in (baselines.ball_block, baselines.ball_block_exact):
+        result = method(ps, ClusterSpec(10, 5))
+        seen = baselines.block_profile(result).first()
+        assert (seen.absorbed, seen.outer_cores) == (1500, 0)
+    assert result.membership.select("cluster_id", "role").distinct().collect() == [(0, "core")]
