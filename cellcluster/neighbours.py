@@ -126,23 +126,35 @@ def by_broadcast(cells: DataFrame, limit: int = BROADCAST_CELLS) -> DataFrame:
     return own.select(*[F.col(k).cast("bigint") for k in ks(d)]).mapInArrow(run, _schema(d))
 
 
-def by_block(cells: DataFrame, tree: str = "prefix", block_cells: int = 60_000) -> DataFrame:
-    """One exchange: blocks of cells with a halo of the reach, a tree for each block, home cells ask."""
+def in_blocks(cells: DataFrame, block_cells: int = 60_000) -> tuple[DataFrame, int]:
+    """Distinct cells with block and home, copied to the blocks within the reach, and the reach."""
     d = cell_dims(cells)
     own = cells.select(*[F.col(k).cast("bigint") for k in ks(d)]).distinct()
     spec = ClusterSpec(1, 1, block_points=block_cells)
     reach = spec.reach(d)
     width = blocks.plan_blocks(own.withColumns({f"x{j}": F.col(f"k{j}") for j in range(1, d + 1)}), spec)
+    return blocks.to_blocks(own, width, reach), reach
+
+
+def block_keys(part: pa.Table, d: int) -> tuple[np.ndarray, np.ndarray]:
+    """The cells of a block in lexicographic order, and which of them are home."""
+    keys = np.stack([part.column(k).to_numpy() for k in ks(d)], axis=1).astype(np.int64)
+    order = np.lexsort([keys[:, j] for j in range(d - 1, -1, -1)])
+    return keys[order], part.column("home").to_numpy()[order]
+
+
+def by_block(cells: DataFrame, tree: str = "prefix", block_cells: int = 60_000) -> DataFrame:
+    """One exchange: blocks of cells with a halo of the reach, a tree for each block, home cells ask."""
+    d = cell_dims(cells)
+    dealt, reach = in_blocks(cells, block_cells)
 
     def run(part: pa.Table) -> pa.Table:
-        keys = np.stack([part.column(k).to_numpy() for k in ks(d)], axis=1).astype(np.int64)
-        order = np.lexsort([keys[:, j] for j in range(d - 1, -1, -1)])
-        keys, home = keys[order], part.column("home").to_numpy()[order]
+        keys, home = block_keys(part, d)
         index = PrefixTree(keys) if tree == "prefix" else RectTree(keys)
         asked = keys[home]
         return pa.concat_tables([_table(keys, index, asked[k : k + 4096], reach) for k in range(0, max(1, len(asked)), 4096)])
 
-    return blocks.to_blocks(own, width, reach).groupBy("block").applyInArrow(run, _schema(d))
+    return dealt.groupBy("block").applyInArrow(run, _schema(d))
 
 
 def by_pairs(cells: DataFrame) -> DataFrame:

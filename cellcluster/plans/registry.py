@@ -376,7 +376,7 @@ def _ablation(s: SparkSession, d: str) -> DataFrame:
 def _index(s: SparkSession, d: str) -> DataFrame:
     from cellcluster.workloads import index_ablation
 
-    return s.createDataFrame([(r["set"], r["eps"], r["tree"], r["cells"], float(r["mean_nbr"]), r["visited"]) for r in index_ablation(s, d, ("embed4",), (4500, 12000))], "name string, eps bigint, tree string, cells bigint, mean_nbr double, visited bigint")
+    return s.createDataFrame([(r["set"], r["eps"], r["tree"], r["cells"], float(r["mean_nbr"]), r["visited"]) for r in (*index_ablation(s, d), *index_ablation(s, d, ("embed4",), (12000,)))], "name string, eps bigint, tree string, cells bigint, mean_nbr double, visited bigint")
 
 
 add("workload_w3_cluster_counts", _counts)

@@ -11,7 +11,9 @@ import time
 from collections.abc import Callable, Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import baselines, cells, cluster, fixtures, gaptest, measures, merge, neighbours
 from .components import durable
@@ -75,18 +77,33 @@ def cluster_counts(spark: SparkSession, sf_dir: str, n: int = 3_000, kinds: tupl
             yield {"kind": kind, "eps": eps, "exact": measures.n_clusters(exact.membership).first()[0], "approximate": measures.n_clusters(near.membership).first()[0], "flagship": measures.n_clusters(flag.membership).first()[0], "adjusted_rand": r.adjusted_rand}
 
 
+def index_costs(own: DataFrame, block_cells: int = 60_000) -> DataFrame:
+    """For each kind of tree: cells, neighbours found, nodes looked at, seconds of queries, over trees by block of cells."""
+    dealt, reach = neighbours.in_blocks(own, block_cells)
+    d = neighbours.cell_dims(own)
+
+    def run(part: pa.Table) -> pa.Table:
+        keys, home = neighbours.block_keys(part, d)
+        asked, out = keys[home], []
+        for kind, make in (("prefix", PrefixTree), ("rect", RectTree)):
+            tree, at = make(keys), time.perf_counter()
+            found = sum(len(tree.query(asked[k : k + 4096], reach)[0]) for k in range(0, len(asked), 4096))
+            out.append({"tree": kind, "cells": len(asked), "found": found, "visited": int(tree.visited), "seconds": time.perf_counter() - at})
+        return pa.Table.from_pylist(out)
+
+    each = dealt.groupBy("block").applyInArrow(run, "tree string, cells bigint, found bigint, visited bigint, seconds double")
+    return each.groupBy("tree").agg(*[F.sum(c).alias(c) for c in ("cells", "found", "visited", "seconds")])
+
+
 def index_ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("embed4", "line5", "line7"), ladder_: tuple[int, ...] = EPS) -> Iterator[dict]:
-    """W9: neighbour queries by prefix tree and rectangle tree over one machine's cells: cells, neighbours, nodes looked at, seconds."""
+    """W9: neighbour queries of all cells by prefix tree and rectangle tree, a tree for each block with its halo: cells, neighbours, nodes looked at, seconds summed over blocks."""
     for name in names:
         ps = durable(fixtures.points(spark, sf_dir, name))
         d = dims(ps)
+        template = len(neighbours.template(d))
         for eps in ladder_:
-            rows = cells.assign_cells(ps, eps).select(*ks(d)).distinct().limit(100_000).toPandas().to_numpy()
-            keys = np.unique(rows, axis=0)
-            for kind, tree in (("prefix", PrefixTree(keys)), ("rect", RectTree(keys))):
-                at = time.perf_counter()
-                found = sum(len(tree.query(keys[k : k + 4096], ClusterSpec(1, 1).reach(d))[0]) for k in range(0, len(keys), 4096))
-                yield {"set": name, "eps": eps, "tree": kind, "cells": len(keys), "mean_nbr": found / max(1, len(keys)), "visited": tree.visited, "seconds": round(time.perf_counter() - at, 3), "template": len(neighbours.template(d))}
+            for r in sorted(index_costs(durable(cells.assign_cells(ps, eps).select(*ks(d)).distinct())).collect()):
+                yield {"set": name, "eps": eps, "tree": r.tree, "cells": r.cells, "mean_nbr": r.found / max(1, r.cells), "visited": r.visited, "seconds": round(r.seconds, 3), "template": template}
 
 
 def merge_ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("part", "events")) -> Iterator[dict]:

@@ -1,9 +1,11 @@
 """Queries and workloads answer for all of their input, at sizes where a cut would show."""
 
 import duckdb
+import numpy as np
 
-from cellcluster import baselines
+from cellcluster import baselines, workloads
 from cellcluster.plans import registry
+from cellcluster.prefixtree import PrefixTree
 from cellcluster.spec import ClusterSpec
 
 LARGER = "/root/testdata/sf0.01"
@@ -27,3 +29,24 @@ def test_ball_blocks_absorb_every_dense_point_of_a_chain(spark):
         seen = baselines.block_profile(result).first()
         assert (seen.absorbed, seen.outer_cores) == (1500, 0)
     assert result.membership.select("cluster_id", "role").distinct().collect() == [(0, "core")]
+
+
+def test_index_ablation_asks_for_every_cell(spark, monkeypatch):
+    """More cells than 100,000, and the neighbours that one tree over all of them finds."""
+    ps = spark.range(110_000).selectExpr("id AS point_id", "id % 400 * 200 AS x1", "id DIV 400 * 300 AS x2", "0L AS x3")
+    monkeypatch.setattr(workloads.fixtures, "points", lambda *_: ps)
+    got = list(workloads.index_ablation(spark, "", ("any",), (150, 300)))
+    x = np.array([[i % 400 * 200, i // 400 * 300, 0] for i in range(110_000)])
+    for eps in (150, 300):
+        # no coordinate lies on a side, as the square root of 3 is irrational
+        keys = np.unique(np.floor(x * np.sqrt(3) / eps).astype(np.int64), axis=0)
+        found = sum(len(PrefixTree(keys).query(keys[k : k + 4096], 2)[0]) for k in range(0, len(keys), 4096))
+        assert len(keys) == 110_000
+        assert [(r["tree"], r["cells"], r["mean_nbr"]) for r in got if r["eps"] == eps] == [(t, len(keys), found / len(keys)) for t in ("prefix", "rect")]
+
+
+def test_whole_index_ladder_is_registered(spark, monkeypatch):
+    asked = []
+    monkeypatch.setattr(workloads, "index_costs", lambda own: asked.append(len(own.columns)) or spark.createDataFrame([("prefix", 1, 1, 1, 0.0)], "tree string, cells bigint, found bigint, visited bigint, seconds double"))
+    got = {(r["name"], r.eps) for r in registry.QUERIES["workload_w9_index"](spark, "/root/testdata/sf0.001").collect()}
+    assert got == {(n, e) for n in ("embed4", "line5", "line7") for e in workloads.EPS} | {("embed4", 12000)} and len(asked) == 22
