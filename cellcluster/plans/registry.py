@@ -364,13 +364,13 @@ def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _counts(s: SparkSession, d: str) -> DataFrame:
     from cellcluster.workloads import cluster_counts
 
-    return s.createDataFrame([tuple(r.values()) for r in cluster_counts(s, d, 400, ("varied",), (4500,))], "kind string, eps bigint, exact bigint, approximate bigint, flagship bigint, adjusted_rand double")
+    return s.createDataFrame([tuple(r.values()) for r in cluster_counts(s, d)], "kind string, eps bigint, exact bigint, approximate bigint, flagship bigint, adjusted_rand double")
 
 
 def _ablation(s: SparkSession, d: str) -> DataFrame:
     from cellcluster.workloads import merge_ablation
 
-    return s.createDataFrame([(r["set"], r["order"], r["gap"], r["components"], r["checks"], r["kappa"], r["distances"]) for r in merge_ablation(s, d, ("part",))], "name string, turn string, gap string, components bigint, checks bigint, kappa bigint, distances bigint")
+    return s.createDataFrame([(r["set"], r["order"], r["gap"], r["components"], r["checks"], r["kappa"], r["distances"]) for r in merge_ablation(s, d)], "name string, turn string, gap string, components bigint, checks bigint, kappa bigint, distances bigint")
 
 
 def _index(s: SparkSession, d: str) -> DataFrame:

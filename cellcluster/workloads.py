@@ -106,7 +106,7 @@ def index_ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("
                 yield {"set": name, "eps": eps, "tree": r.tree, "cells": r.cells, "mean_nbr": r.found / max(1, r.cells), "visited": r.visited, "seconds": round(r.seconds, 3), "template": template}
 
 
-def merge_ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("part", "events")) -> Iterator[dict]:
+def merge_ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("part", "events", "line3")) -> Iterator[dict]:
     """W10 and W11: gap tests done by search order and by low density, for each exact gap test, with iterations and distances."""
     for name in names:
         s = fixtures.SETS[name]

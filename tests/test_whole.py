@@ -1,5 +1,7 @@
 """Queries and workloads answer for all of their input, at sizes where a cut would show."""
 
+import inspect
+
 import duckdb
 import numpy as np
 
@@ -50,3 +52,30 @@ def test_whole_index_ladder_is_registered(spark, monkeypatch):
     monkeypatch.setattr(workloads, "index_costs", lambda own: asked.append(len(own.columns)) or spark.createDataFrame([("prefix", 1, 1, 1, 0.0)], "tree string, cells bigint, found bigint, visited bigint, seconds double"))
     got = {(r["name"], r.eps) for r in registry.QUERIES["workload_w9_index"](spark, "/root/testdata/sf0.001").collect()}
     assert got == {(n, e) for n in ("embed4", "line5", "line7") for e in workloads.EPS} | {("embed4", 12000)} and len(asked) == 22
+
+
+def _asked(monkeypatch, name):
+    """Arguments, defaults filled in, with which a workload is called."""
+    calls, sign = [], inspect.signature(getattr(workloads, name))
+
+    def record(*args, **how):
+        bound = sign.bind(*args, **how)
+        bound.apply_defaults()
+        calls.append(bound.arguments)
+        return iter(())
+
+    monkeypatch.setattr(workloads, name, record)
+    return calls
+
+
+def test_cluster_counts_are_registered_for_both_densities_and_eps(spark, monkeypatch):
+    calls = _asked(monkeypatch, "cluster_counts")
+    registry.QUERIES["workload_w3_cluster_counts"](spark, LARGER)
+    (c,) = calls
+    assert (set(c["kinds"]), set(c["ladder_"])) == ({"even", "varied"}, {2000, 4500}) and c["n"] >= 3000
+
+
+def test_merge_orders_are_registered_for_all_sets(spark, monkeypatch):
+    calls = _asked(monkeypatch, "merge_ablation")
+    registry.QUERIES["workload_w10_merge_orders"](spark, LARGER)
+    assert {n for c in calls for n in c["names"]} == {"part", "events", "line3"}
