@@ -118,7 +118,7 @@ def _luhn_sum(digits: Column, doubled_last: bool) -> Column:
     return F.aggregate(F.transform(F.filter(back, lambda c: c != ""), worth), F.lit(0), lambda a, x: a + x)
 
 
-def _name(m: Column, key: str, salt: Column) -> Column:
+def _name(m: Column, key: str, salt: Column, attempt: Column) -> Column:
     script = F.when(m.rlike(r"\p{IsCyrillic}\p{L}*$"), "c").otherwise("l")
     male, female = (m.rlike("^(?:" + "|".join(t) + r")\b") for t in (MALE_TITLES, FEMALE_TITLES))
     words = F.split(m, " ")
@@ -133,8 +133,12 @@ def _name(m: Column, key: str, salt: Column) -> Column:
             out = F.when(script == s, F.when(male, drawn(word, GIVEN["m", s], "g")).when(female, drawn(word, GIVEN["f", s], "g")).otherwise(drawn(word, both, "g"))).otherwise(out)
         return out
 
+    def more(s: str) -> Column:
+        # one title has few short surnames: later draws add syllables, within what a name may have, that differ by the whole entity
+        return F.concat(*[F.when(attempt >= k, drawn(m, SYLLABLES[s], f"x{k}")).otherwise("") for k in range(3, 12)])
+
     def surname(word: Column) -> Column:
-        return F.initcap(F.when(script == "c", F.concat(*[drawn(word, SYLLABLES["c"], f"s{k}") for k in range(4)])).otherwise(F.concat(*[drawn(word, SYLLABLES["l"], f"s{k}") for k in range(4)])))
+        return F.initcap(F.when(script == "c", F.concat(*[drawn(word, SYLLABLES["c"], f"s{k}") for k in range(4)], more("c"))).otherwise(F.concat(*[drawn(word, SYLLABLES["l"], f"s{k}") for k in range(4)], more("l"))))
 
     title, last = F.get(words, F.lit(0)), F.element_at(words, -1)
     return F.when(F.size(words) >= 3, F.concat_ws(" ", title, given(F.get(words, F.lit(1))), surname(last))).otherwise(F.concat_ws(" ", title, surname(last)))
@@ -162,23 +166,27 @@ def surrogate(m: Column, key: str, attempt: Column) -> Column:
     email = F.concat(_same_class(user, key, F.concat_ws("|", salt, host)), more, F.lit("@"), _same_class(F.substr(host, F.lit(1), F.length(host) - F.length(zone)), key, F.lit("host")), zone)
     iban = F.concat(F.substring(m, 1, 2), _same_class(F.substr(m, F.lit(3)), key, salt))
     ssn = _refill(m, _digits_permuted(digits, key, salt))
-    return F.when(kind == "email", email).when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "phone", phone).when(kind == "card", card).otherwise(_name(m, key, salt))
+    return F.when(kind == "email", email).when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "phone", phone).when(kind == "card", card).otherwise(_name(m, key, salt, attempt))
 
 
 def resolve(found: DataFrame, key: str, most: int = 12) -> DataFrame:
     """value and attempt (over 0) of the entities whose first draws met another's surrogate or entity.
 
-    ``found`` has one row for each distinct value.
+    ``found`` has one row for each distinct value. Rounds go on until nothing
+    meets; only ``most`` rounds in a row without fewer values that move are an error.
     """
     state = durable(found.select("value", F.lit(0).alias("attempt")).withColumn("s", surrogate(F.col("value"), key, F.col("attempt"))))
-    for _ in range(most):
+    least, idle = None, 0
+    while idle < most:
         # the smallest value keeps its draw; a surrogate that somebody really has moves in any case
         first = state.groupBy("s").agg(F.min("value").alias("owner"), F.count(F.lit(1)).alias("n")).where("n > 1").select("s", "owner")
         real = state.select(F.col("value").alias("s")).withColumn("taken", F.lit(True))
         met = state.join(first, "s", "left").join(real, "s", "left").select("value", "attempt", "s", (F.coalesce("taken", F.lit(False)) | (F.col("owner") != F.col("value"))).alias("moves"))
         met = durable(met.withColumn("moves", F.coalesce("moves", F.lit(False))))
-        if met.where("moves").isEmpty():
+        n = met.where("moves").count()
+        if not n:
             return state.where("attempt > 0").select("value", "attempt")
+        least, idle = (n, 0) if least is None or n < least else (least, idle + 1)
         again = F.col("attempt") + F.col("moves").cast("int")
         state = durable(met.select("value", again.alias("attempt"), F.when(F.col("moves"), surrogate(F.col("value"), key, again)).otherwise(F.col("s")).alias("s")))
     raise RuntimeError("surrogates keep meeting; the formats leave too few draws")

@@ -6,6 +6,7 @@ import duckdb
 import numpy as np
 
 from cellcluster import baselines, workloads
+from cellcluster.llm import surrogates
 from cellcluster.plans import registry
 from cellcluster.prefixtree import PrefixTree
 from cellcluster.spec import ClusterSpec
@@ -79,3 +80,15 @@ def test_merge_orders_are_registered_for_all_sets(spark, monkeypatch):
     calls = _asked(monkeypatch, "merge_ablation")
     registry.QUERIES["workload_w10_merge_orders"](spark, LARGER)
     assert {n for c in calls for n in c["names"]} == {"part", "events", "line3"}
+
+
+def test_more_names_than_short_surrogates_behind_a_title(spark, monkeypatch):
+    """Two syllables make 16 surnames of four; 60 names need longer ones."""
+    monkeypatch.setattr(surrogates, "SYLLABLES", {"l": ("ba", "den"), "c": ("ба", "ден")})
+    names = [f"Mr X{a}{b}" for a in "abcdefghij" for b in "klm"] + [f"Frau {g} Weber" for g in ("A" + c for c in "abcdefghijklmnopqrstuvwxyzäöüß")]
+    found = spark.createDataFrame([(n,) for n in names], "value string").coalesce(1)
+    attempts = {r.value: r.attempt for r in surrogates.resolve(found, "k").collect()}
+    rows = spark.createDataFrame([(n, attempts.get(n, 0)) for n in names], "value string, attempt int").coalesce(1)
+    made = [r.s for r in rows.select(surrogates.surrogate(rows.value, "k", rows.attempt).alias("s")).collect()]
+    assert len(set(made)) == len(names) and not set(made) & set(names)
+    assert all(s.split()[0] == n.split()[0] and len(s.split()) == len(n.split()) for s, n in zip(made, names, strict=True))
