@@ -24,6 +24,7 @@ from .spec import ClusterSpec, dims, ks, xs
 EPS = (500, 1000, 2000, 3000, 4000, 4500, 5000)
 MIN_PTS = (10, 20, 40, 60, 80, 100)
 N = (10_000, 100_000, 500_000)
+SCALES = ("sf0.001", "sf0.01", "sf0.1")
 
 HIGH: dict[str, Callable[[DataFrame, ClusterSpec], cluster.ClusterResult]] = {
     "cell_exact": cluster.cell_exact, "cell_exact_ldf": cluster.cell_exact_ldf, "grid_bcp": baselines.grid_bcp,
@@ -52,15 +53,32 @@ def measured(name: str, method: str, make: Callable[[], DataFrame], spec: Cluste
     return {"set": name, "method": method, "eps": spec.eps, "min_pts": spec.min_pts, "seconds": round(seconds, 3), "clusters": measures.n_clusters(result.membership).first()[0], **roles, **profile}
 
 
+def _scaled(spark: SparkSession, sf_dir: str, plane: bool) -> Iterator[tuple[str, Callable[[], DataFrame], ClusterSpec]]:
+    """Given tables at each size beside ``sf_dir``, where the ladder is one of n."""
+    root = sf_dir.rstrip("/").rpartition("/")[0]
+    for sf in SCALES:
+        for name in ("events",) if plane else ("line3", "line5", "line7"):
+            s = fixtures.SETS[name]
+            yield f"{name}_{sf}", (lambda name=name, sf=sf: fixtures.points(spark, f"{root}/{sf}", name)), ClusterSpec(s.eps, s.min_pts)
+
+
 def ladder(spark: SparkSession, sf_dir: str, which: str, n: int = 20_000) -> Iterator[dict]:
-    """Rows of W1-W8: W1/W2/W4/W5 in three dimensions and more, W6/W7/W8 in the plane; eps, eps on tables, min_pts, n."""
+    """Rows of W1-W8: W1/W2/W4/W5 in three dimensions and more, W6/W7/W8 in the plane; eps, eps on tables, min_pts, n.
+
+    W4, W6 and W7 take walks and tables; W5 and W8 walks of each n, then tables of each size.
+    """
     plane = which in ("W6", "W7", "W8")
     methods = PLANE if plane else HIGH
-    real = which == "W2"
+    kinds = {"W1": (False,), "W2": (True,), "W5": (False,), "W8": (False,)}.get(which, (False, True))
     steps = {"W1": EPS, "W2": EPS, "W6": EPS, "W4": MIN_PTS, "W7": MIN_PTS, "W5": N, "W8": N}[which]
     for step in steps:
-        for name, make, spec in _sets(spark, sf_dir, plane, real, step if which in ("W5", "W8") else n):
-            spec = ClusterSpec(step, spec.min_pts) if steps is EPS else ClusterSpec(spec.eps, step) if steps is MIN_PTS else spec
+        for real in kinds:
+            for name, make, spec in _sets(spark, sf_dir, plane, real, step if which in ("W5", "W8") else n):
+                spec = ClusterSpec(step, spec.min_pts) if steps is EPS else ClusterSpec(spec.eps, step) if steps is MIN_PTS else spec
+                for method, run in methods.items():
+                    yield measured(name, method, make, spec, run)
+    if steps is N:
+        for name, make, spec in _scaled(spark, sf_dir, plane):
             for method, run in methods.items():
                 yield measured(name, method, make, spec, run)
 

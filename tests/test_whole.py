@@ -92,3 +92,13 @@ def test_more_names_than_short_surrogates_behind_a_title(spark, monkeypatch):
     made = [r.s for r in rows.select(surrogates.surrogate(rows.value, "k", rows.attempt).alias("s")).collect()]
     assert len(set(made)) == len(names) and not set(made) & set(names)
     assert all(s.split()[0] == n.split()[0] and len(s.split()) == len(n.split()) for s, n in zip(made, names, strict=True))
+
+
+def test_ladders_take_walks_and_given_tables(monkeypatch):
+    monkeypatch.setattr(workloads, "measured", lambda name, method, make, spec, run: (name, method, spec.eps, spec.min_pts))
+    high, plane = {"embed4", "line5", "line7", "docs7"}, {"events", "part", "cust", "orders"}
+    for which, tables in (("W4", high), ("W6", plane), ("W7", plane), ("W5", {f"{n}_{s}" for n in ("line3", "line5", "line7") for s in workloads.SCALES}), ("W8", {f"events_{s}" for s in workloads.SCALES})):
+        got = list(workloads.ladder(None, LARGER, which))
+        assert {g[0] for g in got if not g[0].startswith("walk")} == tables and any(g[0].startswith("walk") for g in got)
+        if which in ("W4", "W7"):
+            assert all({g[3] for g in got if g[0] == t} == set(workloads.MIN_PTS) for t in tables)
