@@ -2,6 +2,7 @@
 
 import inspect
 
+import corpus_pipeline
 import duckdb
 import numpy as np
 
@@ -102,3 +103,16 @@ def test_ladders_take_walks_and_given_tables(monkeypatch):
         assert {g[0] for g in got if not g[0].startswith("walk")} == tables and any(g[0].startswith("walk") for g in got)
         if which in ("W4", "W7"):
             assert all({g[3] for g in got if g[0] == t} == set(workloads.MIN_PTS) for t in tables)
+
+
+def test_pipeline_stages_read_what_the_one_before_wrote(spark, monkeypatch):
+    seen = []
+
+    def stage(spark, docs, sf_dir):
+        seen.append(docs.inputFiles()[0])
+        return docs.select("doc_id").where("doc_id % 2 = 0")
+
+    monkeypatch.setattr(corpus_pipeline, "STAGES", [("a", stage), ("b", stage)])
+    out = corpus_pipeline.run(spark, LARGER)
+    assert seen[0].endswith("documents.parquet") and "/pipeline-" in seen[1] and "/pipeline-" in out.inputFiles()[0]
+    assert out.count() == spark.read.parquet(f"{LARGER}/documents.parquet").where("doc_id % 2 = 0").count()
