@@ -129,7 +129,7 @@ def test_main_text_of_made_up_pages():
     page = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style><script>var a="</p><article>"</script></head><body><nav><ul><li>Home</ul>
     <header><h1>Site</h1></header><div class="cookie-notice">We use cookies</div><article><h1>A &amp; B</h1><p>one<br>two  <b>three</b></p><p class="advert">Buy</p>
     <ul><li>x<li>y</ul><form>mail <input></form><aside>see also</aside><section class="comments"><p>first!</p></section><!-- hidden --><p>caf&eacute; &lt;5&nbsp;km</article><footer>&copy; me</footer>"""
-    assert [t for t, own in htmltext.parse(page) if own] == ["A & B", "one two three", "x", "y", "café <5 km"]
+    assert [t for t, kind in htmltext.parse(page) if kind == htmltext.ARTICLE] == ["A & B", "one two three", "x", "y", "café <5 km"]
 
 
 def test_extract_edges_and_host_repeats(spark):
