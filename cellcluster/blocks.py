@@ -1,15 +1,17 @@
 """Blocks of cells with a halo: one shuffle brings every block what its own cells need.
 
-A block is a box of cells in the leading dimensions. Points are copied to the
-blocks within the reach of their cell, and each block's kernel answers for its
-own ("home") cells only. Blocks are planned from cell counts so that they hold
-about ``block_points`` points; no copy of the whole index is ever made.
+A block is a box of cells. Boxes come from counts: the cells are counted on a
+grid that the driver can hold, coarse where cells are many, boxes of too many
+points are cut at the median of a dimension, and what a coarse cell alone makes
+too large is counted anew on a finer grid, down to single cells. So the number
+of blocks follows the number of points, and a dense region is cut as often as it
+needs. Points are copied to the blocks within the reach of their cell, and each
+block's kernel answers for its own ("home") cells only.
 """
 
 from __future__ import annotations
 
-import math
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -17,42 +19,148 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import gaptest
+from .components import UnionFind
 from .prefixtree import PrefixTree, RectTree
 from .spec import ClusterSpec, dims, ks, xs
 
-
-def plan_blocks(cells: DataFrame, spec: ClusterSpec) -> dict[int, int]:
-    """Width of the blocks in each leading dimension that is cut.
-
-    One aggregate sends the driver the extent of each dimension and the count.
-    Dimensions are cut in turn, seven reaches wide at least (three cut: the
-    halo then stays below the block), until the mean block is small enough.
+#: Rows of a count that travel to the driver, and fewest points worth a block of their own.
+PLAN_ROWS, LEAST = 200_000, 1_000
+
+
+class BlockPlan:
+    """A binary tree of cuts over cells; its leaves are the blocks. Node 0 is the root, a leaf has dimension -1."""
+
+    def __init__(self, halo: int):
+        self.halo = halo
+        self.dim, self.at, self.low, self.block = [], [], [], []
+        self.n_blocks = 0
+
+    def leaf(self, node: int) -> None:
+        self.dim[node], self.block[node] = -1, self.n_blocks
+        self.n_blocks += 1
+
+    def node(self) -> int:
+        for values in (self.dim, self.at, self.low, self.block):
+            values.append(-1)
+        return len(self.dim) - 1
+
+    def cut(self, node: int, dim: int, at: int) -> tuple[int, int]:
+        """Cells below ``at`` go to the first child, the others to the second, which stands behind it."""
+        self.dim[node], self.at[node] = dim, at
+        first, second = self.node(), self.node()
+        self.low[node] = first
+        return first, second
+
+    def assign(self, keys: np.ndarray, halo: int | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Row, block and whether the block is the row's own, for each block within ``halo`` cells of each row."""
+        h = self.halo if halo is None else halo
+        dim, at, low, block = (np.array(v, np.int64) for v in (self.dim, self.at, self.low, self.block))
+        row, node, home = np.arange(len(keys)), np.zeros(len(keys), np.int64), np.ones(len(keys), bool)
+        done: list[tuple] = []
+        while len(row):
+            end = dim[node] < 0
+            done.append((row[end], block[node[end]], home[end]))
+            row, node, home = row[~end], node[~end], home[~end]
+            k, cut = keys[row, dim[node]], at[node]
+            left, right = k < cut + h, k >= cut - h
+            row, home, node = np.r_[row[left], row[right]], np.r_[home[left] & (k < cut)[left], home[right] & (k >= cut)[right]], np.r_[low[node[left]], low[node[right]] + 1]
+        return tuple(np.concatenate(v) for v in zip(*done, strict=True)) if done else (row, node, home)
+
+
+def _counted(cells: DataFrame, level: int, inside: DataFrame | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Lowest cells of the boxes of 2 ** level cells a side that hold points, and their counts."""
+    d = cell_dims(cells)
+    boxes = cells.select(*[F.shiftright(k, level).alias(k) for k in ks(d)]) if inside is None else inside
+    rows = boxes.groupBy(*ks(d)).agg(F.count(F.lit(1)).alias("n")).toArrow()
+    keys = np.stack([rows.column(k).to_numpy() for k in ks(d)], axis=1).astype(np.int64) if rows.num_rows else np.empty((0, d), np.int64)
+    return keys << level, rows.column("n").to_numpy().astype(np.int64)
+
+
+def cell_dims(cells: DataFrame) -> int:
+    return sum(1 for c in cells.columns if c[0] == "k" and c[1:].isdigit())
+
+
+def plan_blocks(cells: DataFrame, spec: ClusterSpec) -> BlockPlan:
+    """Blocks of about ``block_points`` home points, never more where a cut is left.
+
+    A box is cut at its weighted median in the dimension that is widest; a box
+    of one cell stays whole, and a box is not cut below twice the reach in all
+    dimensions, as its halo would hold most of what it sheds. At most
+    ``PLAN_ROWS`` counts of a level reach the driver at once.
     """
-    d = dims(cells)
-    row = cells.agg(F.count(F.lit(1)).alias("n"), *[F.max(k).alias(k) for k in ks(d)]).first()
-    need, width = max(8.0, (row["n"] or 0) / spec.block_points), {}
-    r = spec.reach(d)
-    for j in sorted(range(1, d + 1), key=lambda j: -(row[f"k{j}"] or 0))[:3]:
-        size = (row[f"k{j}"] or 0) + 1
-        parts = min(need, size / (7 * r))
-        if parts < 2:
+    d = cell_dims(cells)
+    levels = range(0, 40, 2)
+    sketch = cells.agg(F.count(F.lit(1)).alias("n"), *[F.approx_count_distinct(F.struct(*[F.shiftright(k, s) for k in ks(d)])).alias(f"l{s}") for s in levels]).first()
+    level = next((s for s in levels if sketch[f"l{s}"] <= PLAN_ROWS * 0.9), levels[-1])
+    most = min(spec.block_points, max(sketch["n"] / 8, LEAST))
+    plan, reach = BlockPlan(spec.reach(d)), spec.reach(d)
+    keys, count = _counted(cells, level)
+    open_ = [(plan.node(), keys, count, level)]
+    while open_:
+        finer = []
+        for node, keys, count, level in open_:
+            finer += _cut(plan, node, keys, count, level, most, reach)
+        open_ = []
+        # boxes of one coarse cell that hold too much are counted anew, a bounded number at a time
+        for k in range(0, len(finer), 512):
+            part = finer[k : k + 512]
+            step = 1 if d > 5 else 2
+            listed = cells.sparkSession.createDataFrame([(i, *map(int, keys[0] >> level)) for i, (_, keys, _, level) in enumerate(part)], "__i bigint, " + ", ".join(f"__{k} bigint" for k in ks(d)))
+            level = part[0][3]
+            to = max(0, level - step)
+            match = [F.shiftright(k, level) == F.col(f"__{k}") for k in ks(d)]
+            rows = cells.select(*ks(d)).join(F.broadcast(listed), match).groupBy("__i", *[F.shiftright(k, to).alias(k) for k in ks(d)]).agg(F.count(F.lit(1)).alias("n")).toArrow()
+            which, n = rows.column("__i").to_numpy(), rows.column("n").to_numpy().astype(np.int64)
+            fine = np.stack([rows.column(k).to_numpy() for k in ks(d)], axis=1).astype(np.int64) << to
+            open_ += [(node, fine[which == i], n[which == i], to) for i, (node, *_) in enumerate(part)]
+    return plan
+
+
+def _cut(plan: BlockPlan, node: int, keys: np.ndarray, count: np.ndarray, level: int, most: float, reach: int) -> list[tuple]:
+    """Cuts the box of a node until its parts are small; returns the parts that need a finer count."""
+    stack, finer = [(node, np.arange(len(keys)))], []
+    while stack:
+        node, rows = stack.pop()
+        if count[rows].sum() <= most:
+            plan.leaf(node)
+            continue
+        if len(rows) == 1 and level:
+            finer.append((node, keys[rows], count[rows], level))
             continue
-        width[j] = max(7 * r, math.ceil(size / math.ceil(parts)))
-        need /= parts
-        if need < 2:
-            break
-    return width or {1: (row["k1"] or 0) + 1}
+        wide = keys[rows].max(axis=0) - keys[rows].min(axis=0) + (1 << level)
+        found = None
+        for j in np.argsort(-wide):
+            if wide[j] <= max(2 * reach, 1 << level):
+                break
+            order = np.argsort(keys[rows, j], kind="stable")
+            v, total = keys[rows[order], j], np.cumsum(count[rows[order]])
+            edge = np.flatnonzero(v[1:] != v[:-1])
+            if len(edge):
+                best = edge[np.abs(total[edge] - total[-1] / 2).argmin()]
+                found = int(j), int(v[best + 1])
+                break
+        if found is None:
+            plan.leaf(node)
+            continue
+        low, high = plan.cut(node, *found)
+        below = keys[rows, found[0]] < found[1]
+        stack += [(low, rows[below]), (high, rows[~below])]
+    return finer
+
+
+def to_blocks(df: DataFrame, plan: BlockPlan, halo: int | None = None) -> DataFrame:
+    """``df`` with block and home; a row of cell k is copied to the blocks that lie within ``halo`` cells of it."""
+    columns, shared = df.columns, df.sparkSession.sparkContext.broadcast(plan)  # a few numbers for each block
+    where = [columns.index(k) for k in ks(cell_dims(df))]
 
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys = np.stack([batch.column(j).to_numpy(zero_copy_only=False) for j in where], axis=1).astype(np.int64)
+            row, block, home = shared.value.assign(keys, halo)
+            taken = batch.take(pa.array(row))
+            yield pa.RecordBatch.from_arrays([*taken.columns, pa.array(block), pa.array(home)], names=[*columns, "block", "home"])
 
-def to_blocks(df: DataFrame, width: dict[int, int], halo: int) -> DataFrame:
-    """``df`` with block and home; a row of cell k is copied to the blocks that lie within ``halo`` cells."""
-    home = F.lit(True)
-    parts = []
-    for j, w in width.items():
-        df = df.withColumn(f"__b{j}", F.explode(F.sequence(F.greatest(F.floor((F.col(f"k{j}") - halo) / w), F.lit(0)), F.floor((F.col(f"k{j}") + halo) / w))))
-        home = home & (F.floor(F.col(f"k{j}") / w) == F.col(f"__b{j}"))
-        parts.append(F.col(f"__b{j}").cast("string"))
-    return df.withColumns({"block": F.concat_ws(",", *parts), "home": home}).drop(*[f"__b{j}" for j in width])
+    return df.mapInArrow(deal, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema) + ", block bigint, home boolean")
 
 
 class Cells:
@@ -67,9 +175,11 @@ class Cells:
         self.keys, self.ids = keys[order], ids[order]
         self.x = np.stack([column(x) for x in xs(d)], axis=1).astype(np.int64)[order]
         self.home = column("home")[order]
+        self.weight = column("weight").astype(np.int64)[order] if "weight" in part.column_names else np.ones(len(order), np.int64)
         cut = np.r_[True, (self.keys[1:] != self.keys[:-1]).any(axis=1)][: len(order)]
         self.first = np.flatnonzero(cut)
         self.count = np.diff(np.r_[self.first, len(order)])
+        self.mass = np.add.reduceat(self.weight, self.first) if len(order) else self.count
         self.cell = np.cumsum(cut) - 1
         self.grid = self.keys[self.first]
         self.own = self.home[self.first]
@@ -95,8 +205,8 @@ def core_kernel(spec: ClusterSpec, d: int, tree: str = "prefix") -> Callable[[pa
 
     def run(part: pa.Table) -> pa.Table:
         c = Cells(part, d, tree)
-        core = c.count[c.cell] >= spec.min_pts
-        sparse = np.flatnonzero(c.own & (c.count < spec.min_pts))
+        core = c.mass[c.cell] >= spec.min_pts
+        sparse = np.flatnonzero(c.own & (c.mass < spec.min_pts))
         distances = 0
         for cell, other, off in c.neighbours(sparse, spec.reach(d)):
             order = np.argsort(off, kind="stable")
@@ -115,10 +225,11 @@ def core_kernel(spec: ClusterSpec, d: int, tree: str = "prefix") -> Callable[[pa
                     x = point[a:b][i]
                     distances += len(x)
                     diff = c.x[x] - c.x[y]
-                    np.add.at(found, x[np.einsum("ij,ij->i", diff, diff) <= spec.eps * spec.eps], 1)
+                    near = np.einsum("ij,ij->i", diff, diff) <= spec.eps * spec.eps
+                    np.add.at(found, x[near], c.weight[y[near]])
             core |= found >= spec.min_pts
         keep = c.home
-        out = {"point_id": c.ids[keep], **{f"x{j + 1}": c.x[keep, j] for j in range(d)}, **{f"k{j + 1}": c.keys[keep, j] for j in range(d)}, "is_core": core[keep], "n_cell": c.count[c.cell][keep]}
+        out = {"point_id": c.ids[keep], **{f"x{j + 1}": c.x[keep, j] for j in range(d)}, **{f"k{j + 1}": c.keys[keep, j] for j in range(d)}, "is_core": core[keep], "n_cell": c.mass[c.cell][keep]}
         out["distances"] = np.where(np.arange(keep.sum()) == 0, distances, 0)
         return pa.table({k: pa.array(v) for k, v in out.items()})
 
@@ -143,27 +254,6 @@ def core_schema(d: int) -> str:
 LINKS = "kind string, point_id bigint, a string, b string, checks bigint, skipped bigint, kappa bigint, distances bigint, pruned_triangle bigint, pruned_angle bigint"
 
 
-class Forest:
-    """Union-find with path halving."""
-
-    def __init__(self, n: int):
-        self.parent = list(range(n))
-
-    def find(self, x: int) -> int:
-        p = self.parent
-        while p[x] != x:
-            p[x] = p[p[x]]
-            x = p[x]
-        return x
-
-    def join(self, x: int, y: int) -> bool:
-        x, y = self.find(x), self.find(y)
-        if x == y:
-            return False
-        self.parent[max(x, y)] = min(x, y)
-        return True
-
-
 def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix") -> Callable[[pa.Table], pa.Table]:
     """Edges of the forest over core cells, and cells that border points reach, of a block.
 
@@ -186,7 +276,7 @@ def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", orde
         rest = part.filter(pa.array(~is_core))
         rows: list[tuple] = []
         name = lambda k: ",".join(map(str, core.grid[k]))
-        forest = Forest(len(core.grid))
+        forest = UnionFind(len(core.grid))
         total = np.zeros(6, np.int64)
         if len(core.grid):
             low, high = np.minimum.reduceat(core.x, core.first), np.maximum.reduceat(core.x, core.first)
@@ -225,7 +315,7 @@ def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", orde
     return run
 
 
-def _border(spec: ClusterSpec, d: int, core: Cells, rest: Cells, forest: Forest, name) -> list[tuple]:
+def _border(spec: ClusterSpec, d: int, core: Cells, rest: Cells, forest: UnionFind, name) -> list[tuple]:
     """For each home point that is no core, each local component that it reaches, named by its smallest cell."""
     own = np.flatnonzero(rest.own)
     hits = set()

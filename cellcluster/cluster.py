@@ -8,7 +8,7 @@ hash_grid_exact  cells that are only hashed, neighbours by template, the same ex
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -26,7 +26,7 @@ class ClusterResult:
     membership: DataFrame
     flagged: DataFrame
     counters: DataFrame
-    width: dict[int, int] = field(default_factory=dict)
+    plan: blocks.BlockPlan | None = None
 
     def labels(self, rule: str = "min_cluster") -> DataFrame:
         """One label a point; of several clusters of a border point the smallest."""
@@ -39,13 +39,13 @@ class ClusterResult:
         return self.counters.agg(F.sum("checks").alias("checks"), F.sum("skipped").alias("skipped"), F.max("kappa").alias("kappa"), F.sum("distances").alias("distances"), F.sum("pruned_triangle").alias("pruned_triangle"), F.sum("pruned_angle").alias("pruned_angle"))
 
 
-def mark_core(ps: DataFrame, spec: ClusterSpec, width: dict[int, int] | None = None, tree: str = "prefix", at: list[int] | None = None) -> tuple[DataFrame, dict[int, int]]:
-    """Points with cells and is_core: one exchange with a halo, one kernel a block."""
+def mark_core(ps: DataFrame, spec: ClusterSpec, plan: blocks.BlockPlan | None = None, tree: str = "prefix", at: list[int] | None = None) -> tuple[DataFrame, blocks.BlockPlan]:
+    """Points with cells and is_core: one exchange with a halo, one kernel a block. A column ``weight`` of ``ps`` counts as so many points."""
     d = dims(ps)
-    placed = assign_cells(ps.select("point_id", *xs(d)), spec.eps, at=at)
-    width = blocks.plan_blocks(placed, spec) if width is None else width
-    dealt = blocks.to_blocks(placed, width, spec.reach(d))
-    return dealt.groupBy("block").applyInArrow(blocks.core_kernel(spec, d, tree), blocks.core_schema(d)), width
+    weight = ["weight"] if "weight" in ps.columns else []
+    placed = assign_cells(ps.select("point_id", *xs(d), *weight), spec.eps, at=at)
+    plan = blocks.plan_blocks(placed, spec) if plan is None else plan
+    return blocks.to_blocks(placed, plan).groupBy("block").applyInArrow(blocks.core_kernel(spec, d, tree), blocks.core_schema(d)), plan
 
 
 def finish(flagged: DataFrame, edges: DataFrame, border: DataFrame, cell: str = "cell") -> DataFrame:
@@ -62,16 +62,16 @@ def finish(flagged: DataFrame, edges: DataFrame, border: DataFrame, cell: str =
     return inside.unionByName(edge).unionByName(noise)
 
 
-def run(ps: DataFrame, spec: ClusterSpec, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix", width: dict[int, int] | None = None) -> ClusterResult:
+def run(ps: DataFrame, spec: ClusterSpec, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix", plan: blocks.BlockPlan | None = None) -> ClusterResult:
     d = dims(ps)
-    flagged, width = mark_core(ps, spec, width, tree)
+    flagged, plan = mark_core(ps, spec, plan, tree)
     flagged = durable(flagged)
     # halo points that are no core are of no use to another block
-    dealt = blocks.to_blocks(flagged.select("point_id", *xs(d), *ks(d), "is_core"), width, spec.reach(d)).where("is_core OR home")
+    dealt = blocks.to_blocks(flagged.select("point_id", *xs(d), *ks(d), "is_core"), plan).where("is_core OR home")
     found = durable(dealt.groupBy("block").applyInArrow(blocks.merge_kernel(spec, d, gap, order, boxes, slack, rho, tree), blocks.LINKS))
     marked = flagged.withColumn("cell", F.concat_ws(",", *ks(d)))
     membership = finish(marked, found.where("kind = 'edge'"), found.where("kind = 'border'").select("point_id", F.col("a").alias("cell")))
-    return ClusterResult(membership, marked, found.where("kind = 'counters'"), width)
+    return ClusterResult(membership, marked, found.where("kind = 'counters'"), plan)
 
 
 def cell_exact(ps: DataFrame, spec: ClusterSpec, **how) -> ClusterResult:

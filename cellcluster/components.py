@@ -4,16 +4,24 @@ Large-star hangs the larger neighbours of every vertex on its smallest
 neighbour; small-star does so with the smaller ones. The pair is repeated until
 nothing changes, which leaves one star for each component, centred on its
 smallest vertex. A vertex of very many edges is aggregated before the shuffle.
+A graph of few edges, whose number is known once they are written, is joined by
+union-find in one task instead.
 """
 
 from __future__ import annotations
 
 import tempfile
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+#: Most edges that one task joins; some ten megabytes.
+FEW = 200_000
+
 
 def durable(df: DataFrame) -> DataFrame:
     """The rows, written to the shared folder of ``spark.checkpoint.dir``; only where none is set, to a temporary one."""
@@ -23,20 +31,63 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def star_components(edges: DataFrame, a: str = "a", b: str = "b", most: int = 60, keep: Callable[[DataFrame], DataFrame] = durable) -> DataFrame:
+class UnionFind:
+    """Sets of numbers with path halving; the smallest number names a set."""
+
+    def __init__(self, n: int):
+        self.parent = list(range(n))
+
+    def find(self, x: int) -> int:
+        p = self.parent
+        while p[x] != x:
+            p[x] = p[p[x]]
+            x = p[x]
+        return x
+
+    def join(self, x: int, y: int) -> bool:
+        x, y = self.find(x), self.find(y)
+        if x == y:
+            return False
+        self.parent[max(x, y)] = min(x, y)
+        return True
+
+
+def _in_one_task(e: DataFrame) -> DataFrame:
+    kind = e.schema["a"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts = list(batches)
+        if not sum(p.num_rows for p in parts):
+            return
+        a, b = (pa.concat_arrays([p.column(k) for p in parts]) for k in (0, 1))
+        vertices = pc.unique(pa.concat_arrays([a, b]))
+        vertices = vertices.take(pc.sort_indices(vertices))
+        sets = UnionFind(len(vertices))
+        for x, y in zip(pc.index_in(a, vertices).to_pylist(), pc.index_in(b, vertices).to_pylist(), strict=True):
+            sets.join(x, y)
+        least = np.array([sets.find(k) for k in range(len(vertices))])
+        yield pa.RecordBatch.from_arrays([vertices, vertices.take(pa.array(least))], names=["vertex", "component"])
+
+    return e.select("a", "b").coalesce(1).mapInArrow(run, f"vertex {kind}, component {kind}")
+
+
+def star_components(edges: DataFrame, a: str = "a", b: str = "b", most: int = 60, keep: Callable[[DataFrame], DataFrame] = durable, few: int = FEW) -> DataFrame:
     """vertex and component (the smallest vertex) for each vertex of ``edges``; loops and repeated edges do no harm."""
     e = edges.select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).where("a < b").distinct()
     e = keep(e)
     before = None
     for _ in range(most):
         state = e.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("a", "b"))).first()
-        if state == before or not state[0]:
+        if state[0] <= few:
+            return _in_one_task(e)
+        if state == before:
             break
         before = state
         both = e.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(e.select(F.col("b").alias("u"), F.col("a").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("m").alias("a"), F.col("v").alias("b")).distinct()
-        lower = large.groupBy("b").agg(F.min("a").alias("m"))
+        # written, so the rows of a vertex of very many edges can be split by the join
+        least = keep(both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")))
+        large = keep(both.where("v > u").join(least, "u").select(F.col("m").alias("a"), F.col("v").alias("b")).distinct())
+        lower = keep(large.groupBy("b").agg(F.min("a").alias("m")))
         small = large.join(lower, "b")
         e = keep(small.select(F.col("m").alias("a"), F.explode(F.array("a", "b")).alias("b")).where("a < b").distinct())
     else:

@@ -11,7 +11,7 @@ from collections.abc import Callable
 
 import numpy as np
 
-from .blocks import Forest
+from .components import UnionFind
 from .gaptest import GapVerdict, alternating_prune
 
 
@@ -38,7 +38,7 @@ def merge_search(cells: list[np.ndarray], near: list[np.ndarray], eps: int, test
 
 def merge_sparse_first(cells: list[np.ndarray], near: list[np.ndarray], eps: int, test: Callable[..., GapVerdict] = alternating_prune, memo_failed: bool = True) -> tuple[list[int], dict[str, int]]:
     """Cells by ascending number of core points, each against its neighbours unless they are joined; failed pairs are remembered on request."""
-    forest, failed = Forest(len(cells)), set()
+    forest, failed = UnionFind(len(cells)), set()
     count = {"checks": 0, "repeats": 0, "kappa": 0, "distances": 0}
     for c in sorted(range(len(cells)), key=lambda k: (len(cells[k]), k)):
         for o in map(int, near[c]):

@@ -132,8 +132,7 @@ def in_blocks(cells: DataFrame, block_cells: int = 60_000) -> tuple[DataFrame, i
     own = cells.select(*[F.col(k).cast("bigint") for k in ks(d)]).distinct()
     spec = ClusterSpec(1, 1, block_points=block_cells)
     reach = spec.reach(d)
-    width = blocks.plan_blocks(own.withColumns({f"x{j}": F.col(f"k{j}") for j in range(1, d + 1)}), spec)
-    return blocks.to_blocks(own, width, reach), reach
+    return blocks.to_blocks(own, blocks.plan_blocks(own, spec)), reach
 
 
 def block_keys(part: pa.Table, d: int) -> tuple[np.ndarray, np.ndarray]:

@@ -2,12 +2,10 @@
 
 import inspect
 
-import corpus_pipeline
 import duckdb
 import numpy as np
 
 from cellcluster import baselines, workloads
-from cellcluster.llm import surrogates
 from cellcluster.plans import registry
 from cellcluster.prefixtree import PrefixTree
 from cellcluster.spec import ClusterSpec
@@ -83,18 +81,6 @@ def test_merge_orders_are_registered_for_all_sets(spark, monkeypatch):
     assert {n for c in calls for n in c["names"]} == {"part", "events", "line3"}
 
 
-def test_more_names_than_short_surrogates_behind_a_title(spark, monkeypatch):
-    """Two syllables make 16 surnames of four; 60 names need longer ones."""
-    monkeypatch.setattr(surrogates, "SYLLABLES", {"l": ("ba", "den"), "c": ("ба", "ден")})
-    names = [f"Mr X{a}{b}" for a in "abcdefghij" for b in "klm"] + [f"Frau {g} Weber" for g in ("A" + c for c in "abcdefghijklmnopqrstuvwxyzäöüß")]
-    found = spark.createDataFrame([(n,) for n in names], "value string").coalesce(1)
-    attempts = {r.value: r.attempt for r in surrogates.resolve(found, "k").collect()}
-    rows = spark.createDataFrame([(n, attempts.get(n, 0)) for n in names], "value string, attempt int").coalesce(1)
-    made = [r.s for r in rows.select(surrogates.surrogate(rows.value, "k", rows.attempt).alias("s")).collect()]
-    assert len(set(made)) == len(names) and not set(made) & set(names)
-    assert all(s.split()[0] == n.split()[0] and len(s.split()) == len(n.split()) for s, n in zip(made, names, strict=True))
-
-
 def test_ladders_take_walks_and_given_tables(monkeypatch):
     monkeypatch.setattr(workloads, "measured", lambda name, method, make, spec, run: (name, method, spec.eps, spec.min_pts))
     high, plane = {"embed4", "line5", "line7", "docs7"}, {"events", "part", "cust", "orders"}
@@ -103,16 +89,3 @@ def test_ladders_take_walks_and_given_tables(monkeypatch):
         assert {g[0] for g in got if not g[0].startswith("walk")} == tables and any(g[0].startswith("walk") for g in got)
         if which in ("W4", "W7"):
             assert all({g[3] for g in got if g[0] == t} == set(workloads.MIN_PTS) for t in tables)
-
-
-def test_pipeline_stages_read_what_the_one_before_wrote(spark, monkeypatch):
-    seen = []
-
-    def stage(spark, docs, sf_dir):
-        seen.append(docs.inputFiles()[0])
-        return docs.select("doc_id").where("doc_id % 2 = 0")
-
-    monkeypatch.setattr(corpus_pipeline, "STAGES", [("a", stage), ("b", stage)])
-    out = corpus_pipeline.run(spark, LARGER)
-    assert seen[0].endswith("documents.parquet") and "/pipeline-" in seen[1] and "/pipeline-" in out.inputFiles()[0]
-    assert out.count() == spark.read.parquet(f"{LARGER}/documents.parquet").where("doc_id % 2 = 0").count()
