@@ -11,24 +11,28 @@ memoised, and a position from which no continuation exists is tried once only,
 so the work is linear in the length of the piece.
 
 Pieces are the matches of the pattern; each is encoded by itself, as merges never
-cross pieces. Their ids are kept in a table of bounded size.
+cross pieces. A worker keeps the automaton; ids of pieces and verdicts on pairs
+are remembered for one task, in tables with a bound in bytes.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
-from collections.abc import Iterable
+import re
+from collections.abc import Callable, Iterable
+from itertools import accumulate, chain
 
 import ahocorasick
+import numpy as np
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import add_columns, field, table
 
-#: Most pieces and token pairs a task remembers.
-MEMO = 1 << 19
-#: Pieces of more bytes are not remembered.
+#: Bytes of pieces with their ids, and number of token pairs, that a task remembers.
+MEMO_BYTES, MEMO_PAIRS = 64 << 20, 1 << 18
+#: Pieces of more characters are not remembered.
 LONG = 256
 
 
@@ -52,19 +56,94 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(token): int(rank) for token, rank in (x.split() for x in lines if x.strip())}
 
 
+def splitter(pattern: str) -> Callable[[str], list[str]]:
+    """The pieces of a text. Texts of the basic plane go through ``re`` with its classes spelt out, others through ``regex``."""
+    whole, plain = regex.compile(pattern), _spelt_out(pattern)
+    astral = re.compile("[\U00010000-\U0010ffff]")
+
+    def split(text: str) -> list[str]:
+        if plain is not None and not astral.search(text):
+            return plain.findall(text)
+        if not _later.search(text):
+            return [m[0] for m in whole.finditer(text)]
+        # a private-use character has the class that the tiktoken library sees
+        return [text[m.start() : m.end()] for m in whole.finditer(_later.sub("\ue000", text))]
+
+    return split
+
+
+def _spelt_out(pattern: str) -> re.Pattern | None:
+    """The pattern for ``re`` with letters, digits and white space as ranges of the basic plane; None if it asks for more than those."""
+    kinds = {r"\p{L}": _ranges(r"\p{L}"), r"\p{N}": _ranges(r"\p{N}"), r"\s": _ranges(r"\s")}
+    out, inside = [], False
+    for part in re.findall(r"\\[pP]\{[^}]*\}|\\.|[\[\]]|[^\\\[\]]+", pattern):
+        if part in kinds:
+            out.append(kinds[part] if inside else f"[{kinds[part]}]")
+        elif part == r"\S" and not inside:
+            out.append(f"[^{kinds[r'\s']}]")
+        elif part[0] == "\\" and part[1].isalpha():
+            return None
+        else:
+            inside = part == "[" or (inside and part != "]")
+            out.append(part)
+    if "(?i" in pattern or "[[" in pattern or "&&" in pattern:
+        return None
+    spelt = re.compile("".join(out))
+    return None if spelt.groups else spelt
+
+
+def _ranges(kind: str) -> str:
+    one, ends = regex.compile(kind), []
+    for c in chain(range(0xD800), range(0xE000, 0x10000)):
+        if one.match(chr(c)) and not _later.match(chr(c)):
+            if ends and ends[-1][1] == c - 1:
+                ends[-1][1] = c
+            else:
+                ends.append([c, c])
+    return "".join(f"\\u{a:04x}-\\u{b:04x}" for a, b in ends)
+
+
+class _Recent(dict):
+    """Values by key, made where they are missing, in two generations: the older goes when the younger is full."""
+
+    def __init__(self, make: Callable, most: int, cost: Callable):
+        super().__init__()
+        self.make, self.most, self.cost, self.held, self.older = make, most, cost, 0, {}
+
+    def __missing__(self, key):
+        value = self.older.get(key)
+        if value is None:
+            value = self.make(key)
+        cost = self.cost(key, value)
+        if cost:
+            self.held += cost
+            if self.held > self.most:
+                self.older, self.held = dict(self), cost
+                self.clear()
+            self[key] = value
+        return value
+
+    def forget(self) -> None:
+        self.clear()
+        self.older, self.held = {}, 0
+
+
 class ByteBpe:
     """Exact merge results of a vocabulary of ranks."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.ranks = ranks
-        self.pattern = regex.compile(pattern)
+        self.split = splitter(pattern)
         self.bytes_of = {i: t for t, i in ranks.items()}
-        self._pairs: dict[tuple[int, int], bool] = {}
-        self._pieces: dict[str, tuple[int, ...]] = {}
+        self._pairs = _Recent(lambda pair: self._adjacent(pair >> 32, pair & 0xFFFFFFFF), MEMO_PAIRS // 2, lambda pair, verdict: 1)
+        # about what a string, a tuple and an entry of a table take
+        self._pieces = _Recent(lambda piece: self.encode_piece(piece.encode("utf-8")), MEMO_BYTES // 2, lambda piece, ids: 200 + 2 * len(piece) + 8 * len(ids) if len(piece) <= LONG else 0)
+        self._size = {i: len(t) for t, i in ranks.items()}
         self._widest = max(map(len, ranks))
         self._tokens = ahocorasick.Automaton()
         for token, rank in ranks.items():
             self._tokens.add_word(token.decode("latin-1"), rank)
+        self._tokens.make_automaton()
         # the longest token that is a proper prefix of a token
         self._shorter: dict[int, int] = {}
         for token, rank in ranks.items():
@@ -84,7 +163,6 @@ class ByteBpe:
                     self._halves[rank] = (left, right)
                     self._joined[left, right] = rank
                     break
-        self._pairs.clear()  # verdicts from a half-built table
 
     def _adjacent(self, left: int, right: int) -> bool:
         """Whether the tokens can follow each other in a merge result.
@@ -106,76 +184,65 @@ class ByteBpe:
             else:
                 bound, right = right + 1, b[0]
 
-    def adjacent(self, left: int, right: int) -> bool:
-        known = self._pairs.get((left, right))
-        if known is None:
-            if len(self._pairs) >= MEMO:
-                self._pairs.clear()
-            known = self._pairs[left, right] = self._adjacent(left, right)
-        return known
+    def forget(self) -> None:
+        """Drop what was remembered; the tables of the vocabulary stay."""
+        self._pairs.forget()
+        self._pieces.forget()
 
     def encode_piece(self, piece: bytes) -> tuple[int, ...]:
         whole = self.ranks.get(piece)
         if whole is not None:
             return (whole,)
         text, n = piece.decode("latin-1"), len(piece)
-        longest = self._tokens.longest_prefix
+        size, adjacent, shorter = self._size, self._pairs, self._shorter
+        # the longest tokens from left to right, up to the first that cannot follow the one before it
+        out = [token for _, token in self._tokens.iter_long(text)]
+        if sum(map(size.__getitem__, out)) != n:
+            raise ValueError("the vocabulary lacks a byte")
+        before, good = out[0], 1
+        for token in out[1:]:
+            if not adjacent[before << 32 | token]:
+                break
+            before = token
+            good += 1
+        else:
+            return tuple(out)
+        token = shorter.get(out[good])
+        del out[good:]
+        ends = [0, *accumulate(map(size.__getitem__, out))]
+        at = ends.pop()
+        longest, widest = self._tokens.longest_prefix, self._widest
         dead = bytearray(n + 1)
-        ends, out, at = [], [], 0
-        shorter, size = self._shorter, self.bytes_of
-        token = None
-        while at < n:
-            if token is None:
-                token = self._longest(piece, at, longest(text[at : at + self._widest]))
+        while True:
             while token is not None:
-                end = at + len(size[token])
-                if not dead[end] and (not out or self.adjacent(out[-1], token)):
+                end = at + size[token]
+                if not dead[end] and (not out or adjacent[out[-1] << 32 | token]):
                     break
                 token = shorter.get(token)
             if token is not None:
                 out.append(token)
                 ends.append(at)
                 at = end
-                token = None
+                if at == n:
+                    return tuple(out)
+                token = self._longest(text, at, longest(text[at : at + widest]))
                 continue
             # nothing fits here after the last token: give that one up
             dead[at] = 1
-            last = out.pop()
+            token = shorter.get(out.pop())
             at = ends.pop()
-            token = shorter.get(last)
-            if token is None:
-                if not out:
-                    raise ValueError("the vocabulary lacks a byte")
-                dead[at] = 1
-                last, at = out.pop(), ends.pop()
-                token = last
-        return tuple(out)
-
-    def _longest(self, piece: bytes, at: int, n: int) -> int:
+
+    def _longest(self, text: str, at: int, n: int) -> int:
         # the trie also holds prefixes of tokens that are no tokens themselves
-        while piece[at : at + n] not in self.ranks:
+        known = self._tokens
+        token = known.get(text[at : at + n], None)
+        while token is None:
             n -= 1
-        return self.ranks[piece[at : at + n]]
-
-    def split(self, text: str) -> list[str]:
-        if not _later.search(text):
-            return self.pattern.findall(text)
-        # a private-use character has the class that the tiktoken library sees
-        return [text[m.start() : m.end()] for m in self.pattern.finditer(_later.sub("\ue000", text))]
+            token = known.get(text[at : at + n], None)
+        return token
 
     def encode(self, text: str) -> list[int]:
-        out: list[int] = []
-        known = self._pieces
-        for piece in self.split(text):
-            ids = known.get(piece)
-            if ids is None:
-                ids = self.encode_piece(piece.encode("utf-8"))
-                if len(piece) <= LONG:
-                    if len(known) >= MEMO:
-                        known.clear()
-                    known[piece] = ids
-            out.extend(ids)
-        return out
+        return list(chain.from_iterable(map(self._pieces.__getitem__, self.split(text))))
 
     def decode(self, ids: Iterable[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -201,16 +268,17 @@ def add_tokens(docs: DataFrame, ranks_path: str, pattern: str, text: str = "text
         if bpe is None:
             _built.clear()
             bpe = _built[ranks_path, pattern] = ByteBpe(shared.value, pattern)
-        name = {i: str(i) for i in bpe.bytes_of}.__getitem__
+        name = {i: str(i) for i in bpe.bytes_of}.__getitem__ if digests else None
 
         def work(texts):
             for raw in texts:
                 found = bpe.encode(raw.decode("utf-8", "replace"))
-                row = (len(found),) + ((found,) if ids else ())
+                row = (len(found),) + ((np.array(found, np.int32),) if ids else ())
                 if digests:
                     row += (hashlib.sha256(" ".join(map(name, found)).encode()).hexdigest(), hashlib.sha256(bpe.decode(found)).hexdigest())
                 yield row
 
+        work.done = bpe.forget
         return work
 
     return add_columns(docs, text, fields, make, keep)

@@ -3,16 +3,20 @@
 from __future__ import annotations
 
 import zlib
-from collections.abc import Callable, Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from cellcluster.components import durable  # noqa: F401
 
+#: Bytes of text that a worker turns into Python objects at a time.
+PART_BYTES = 4 << 20
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -28,7 +32,8 @@ def add_columns(df: DataFrame, text: str, fields: list[T.StructField], make: Cal
     """``df`` (or its columns ``keep``) with columns computed from the bytes of ``text``, row by row, with no shuffle.
 
     ``make`` runs once a task and returns the function that maps a list of texts
-    to one tuple of values each; what it builds lives as long as the task. The
+    to one tuple of values each; what it builds lives as long as the task, and
+    its attribute ``done``, if it has one, is called at the end. The
     values of the columns ``also`` are given to it as further lists. A column of
     ``df`` with the name of a new one is replaced.
     """
@@ -39,33 +44,41 @@ def add_columns(df: DataFrame, text: str, fields: list[T.StructField], make: Cal
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = make()
-        for batch in batches:
-            # a few thousand texts at a time, fewer if long
-            at = 0
-            for n in _runs(batch.column(len(kept)), 16 << 20):
-                part = batch.slice(at, n)
-                at += n
-                more = [part.column(len(kept) + 1 + k).to_pylist() for k in range(len(also))]
-                rows = list(work(as_bytes(part.column(len(kept))), *more))
-                columns = list(zip(*rows, strict=True)) if rows else [[] for _ in arrow]
-                yield pa.RecordBatch.from_arrays(
-                    [part.column(k) for k in range(len(kept))] + [pa.array(list(v), type=t) for v, (_, t) in zip(columns, arrow, strict=True)],
-                    names=kept + [name for name, _ in arrow],
-                )
+        try:
+            for batch in batches:
+                # a few thousand texts at a time, fewer if long
+                for a, b in runs(batch.column(len(kept)), PART_BYTES):
+                    part = batch.slice(a, b - a)
+                    more = [part.column(len(kept) + 1 + k).to_pylist() for k in range(len(also))]
+                    rows = list(work(as_bytes(part.column(len(kept))), *more))
+                    columns = list(zip(*rows, strict=True)) if rows else [[] for _ in arrow]
+                    yield pa.RecordBatch.from_arrays(
+                        [part.column(k) for k in range(len(kept))] + [_column(v, t) for v, (_, t) in zip(columns, arrow, strict=True)],
+                        names=kept + [name for name, _ in arrow],
+                    )
+        finally:
+            getattr(work, "done", lambda: None)()
 
     return df.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{text}`").cast("string").alias("__text"), *[F.col(c).alias(f"__also{k}") for k, c in enumerate(also)]).mapInArrow(run, schema)
 
 
-def _runs(texts: pa.Array, most: int) -> Iterator[int]:
-    n = size = 0
-    for x in texts:
-        if n and size + (len(x.as_buffer()) if x.is_valid else 0) > most:
-            yield n
-            n = size = 0
-        n += 1
-        size += len(x.as_buffer()) if x.is_valid else 0
-    if n:
-        yield n
+def runs(texts: pa.Array, most: int) -> Iterator[tuple[int, int]]:
+    """Stretches of the texts that hold about ``most`` bytes; a longer text is one by itself."""
+    total = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+    a = 0
+    while a < len(total):
+        b = max(a + 1, int(np.searchsorted(total, (total[a - 1] if a else 0) + most, side="right")))
+        yield a, b
+        a = b
+
+
+def _column(values: Sequence, kind: pa.DataType) -> pa.Array:
+    """An Arrow column; lists that are NumPy arrays are joined without a Python object for each number."""
+    if not pa.types.is_list(kind) or not any(isinstance(v, np.ndarray) for v in values):
+        return pa.array(list(values), kind)
+    ends = np.cumsum([0] + [0 if v is None else len(v) for v in values]).astype(np.int32)
+    flat = np.concatenate([v for v in values if v is not None])
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat, kind.value_type), mask=pa.array([v is None for v in values]))
 
 
 _ARROW = {
