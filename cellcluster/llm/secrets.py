@@ -24,14 +24,15 @@ from .common import table
 
 # Formats of credentials in order of precedence, names, and words of the dictionary.
 FORMATS = (
-    ("private_key", r"-----BEGIN (?:[A-Z]+ )?PRIVATE KEY-----(?:[A-Za-z0-9+/=\s]{16,8192}-----END)?"),
+    ("private_key", r"-----BEGIN (?:[A-Z]+ )?PRIVATE KEY-----(?:[A-Za-z0-9+/=\s]{16,}+-----END)?"),
     ("cloud_key", r"(?<![A-Za-z0-9])(?:AKIA|ASIA)[0-9A-Z]{16}(?![A-Za-z0-9])"),
-    ("forge_token", r"(?<![A-Za-z0-9])gh[pousr]_[A-Za-z0-9]{36,251}(?![A-Za-z0-9])"),
-    ("chat_token", r"(?<![A-Za-z0-9])xox[abprs]-[A-Za-z0-9-]{10,250}"),
-    ("web_token", r"(?<![A-Za-z0-9])eyJ[A-Za-z0-9_-]{8,4096}\.[A-Za-z0-9_-]{8,4096}\.[A-Za-z0-9_-]{8,4096}"),
-    ("assigned", r"(?i:pass(?:word|wd|phrase)?|pwd|secret|token|api[_-]?key|access[_-]?key|auth|credential)s?[\"']?\s{0,3}[=:]\s{0,3}[\"']?(?P<assigned>[^\s\"',;<>]{6,4096})"),
-    ("long_string", r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]{0,64}[0-9])(?=[0-9+/_=-]{0,64}[A-Za-z])[A-Za-z0-9+/_=-]{20,4096}"),
+    ("forge_token", r"(?<![A-Za-z0-9])gh[pousr]_[A-Za-z0-9]{36,}+"),
+    ("chat_token", r"(?<![A-Za-z0-9])xox[abprs]-[A-Za-z0-9-]{10,}+"),
+    ("web_token", r"(?<![A-Za-z0-9_-])eyJ[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+"),
+    ("assigned", r"(?i:pass(?:word|wd|phrase)?|pwd|secret|token|api[_-]?key|access[_-]?key|auth|credential)s?[\"']?\s{0,3}[=:]\s{0,3}[\"']?(?P<assigned>[^\s\"',;<>]{6,}+)"),
+    ("long_string", r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}+"),
 )
+ASSIGNED = [n for n, _ in FORMATS].index("assigned")
 NAMES = ("password", "passwd", "pwd", "secret", "token", "key", "credential", "auth", "bearer", "login")
 BENIGN = ("commit", "sha", "sha1", "sha256", "md5", "checksum", "digest", "hash", "uuid", "guid", "id", "revision", "example", "sample", "placeholder", "dummy", "test", "your", "etag", "integrity", "version")
 TEST_PATH = ("test", "tests", "example", "examples", "sample", "fixture", "fixtures", "mock", "doc", "docs", "vendor", "node_modules")
@@ -45,6 +46,8 @@ DICTIONARY = (
 )
 
 _FIND = re.compile("|".join(f"(?P<r{k}>{p})" for k, (_, p) in enumerate(FORMATS)))
+_ASSIGNED = re.compile(dict(FORMATS)["assigned"])
+_DIGIT, _LETTER = re.compile("[0-9]"), re.compile("[A-Za-z]")
 _HINT = re.compile(r"[0-9=:]|-----")
 _WORDS = re.compile("|".join(sorted(DICTIONARY, key=len, reverse=True)))
 _WORD = re.compile(r"[^\W\d_]+|\d+")
@@ -52,13 +55,25 @@ NAMES_OF_FEATURES = ("length", "transitions", "entropy", "digits", "upper", "low
 
 
 def candidates(text: str) -> list[tuple[int, int, int]]:
-    """Start, end and number of the format of each candidate; of overlapping ones the first found counts."""
+    """Start, end and number of the format of each candidate, of any length; of overlapping ones the first found counts.
+
+    A long string without a letter or without a digit is none; one that holds an
+    assignment to a telling name gives the value assigned.
+    """
     if not _HINT.search(text):
         return []
     out = []
     for m in _FIND.finditer(text):
         rule = next(k for k in range(len(FORMATS)) if m[f"r{k}"] is not None)
-        a, b = m.span("assigned") if FORMATS[rule][0] == "assigned" else m.span()
+        (a, b), name = m.span(), FORMATS[rule][0]
+        if name == "assigned":
+            a, b = m.span("assigned")
+        elif name == "long_string":
+            inner = _ASSIGNED.search(text, a, b)
+            if inner:
+                (a, b), rule = inner.span("assigned"), ASSIGNED
+            elif not (_DIGIT.search(text, a, b) and _LETTER.search(text, a, b)):
+                continue
         out.append((a, b, rule))
     return out
 
@@ -151,7 +166,8 @@ def labelled_findings(n: int = 1500, seed: int = 11) -> list[tuple[str, int, int
     pick = lambda a: a[int(rng.integers(len(a)))]
     draw = lambda letters, k: "".join(letters[i] for i in rng.integers(0, len(letters), k))
     hexa, upper, base = "0123456789abcdef", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
-    plain = ("the", "and", "of", "river", "that", "in", "house", "was", "der", "la", "que", "et", "una", "zu", "with", "thin", "anre", "onth", "esen", "tion")
+    plain = ("we", "then", "set", "line", "see", "note", "these", "after", "used", "by", "it", "when", "run", "called", "nur", "pour", "como", "wenn", "avec", "pero", "more", "two", "old", "new")
+    paths = ("", "corpus", "feed-a", "mail/archive", "app/config.py", "deploy/env.sh", "web/main.js", "lib/store.go", "tests/test_a.py", "docs/readme.md", "examples/demo.js", "vendor/lib.js")
     some = lambda k: " ".join(pick(plain) for _ in range(k))
     real = (
         lambda: ("AKIA" + draw(upper, 16), "", "", "cloud_key"), lambda: (draw(hexa, int(rng.integers(14, 41))), pick(("password=", "pwd: ", "passwd=", "secret=")), "", "assigned"),
@@ -169,8 +185,8 @@ def labelled_findings(n: int = 1500, seed: int = 11) -> list[tuple[str, int, int
         label = int(k % 2 == 0)
         value, before, after, _ = pick(real if label else fake)()
         left, right = some(int(rng.integers(2, 6))) + " " + before, after + " " + some(3)
-        path = pick(("src1", "src7", "src14", "app/config.py", "deploy/env.sh", "web/main.js")) if label or rng.random() < 0.5 else pick(("tests/test_a.py", "docs/readme.md", "examples/demo.js", "vendor/lib.js"))
-        out.append((left + value + right, len(left), len(left) + len(value), path, label))
+        # the path says nothing here; findings of a user's own repositories may differ by it
+        out.append((left + value + right, len(left), len(left) + len(value), pick(paths), label))
     return out
 
 
