@@ -4,11 +4,16 @@ Numbers (addresses of machines, cards, phones, social security numbers) go
 through a keyed Feistel network over their digits: a permutation, so different
 numbers of one format stay different, and one number always gets one surrogate.
 Addresses of mail and bank accounts are replaced character by character within
-their class, names by names of the same script and gender. A check over the
-distinct entities of the whole table looks for surrogates that meet, or that are
-somebody else's entity, and gives those another draw until none is left.
-
-Every step on the table is a DataFrame or SQL expression.
+their class, with right check digits for accounts. A name is found by its title
+and replaced word by word: a surname always by one surname, a given name by one
+of the same gender, both in the script they are written in, so ``Mr Smith`` and
+``Mr John Smith`` stay one person. A full name that a title announces is looked
+for in the same text without the title too.
+
+A check over the distinct entities of the whole table, names by their words,
+looks for surrogates that meet, or that are somebody else's entity, and gives
+those another draw until none is left. Every step on the table is a DataFrame or
+SQL expression.
 """
 
 from __future__ import annotations
@@ -20,40 +25,87 @@ from pyspark.sql import functions as F
 
 from .common import durable, table
 
-# Titles that announce a name, by gender, and given names by gender and script.
-MALE_TITLES = ("Mr", "Herr", "Sr", "Señor", "Monsieur", "г-н")
-FEMALE_TITLES = ("Mrs", "Ms", "Miss", "Frau", "Sra", "Señora", "Mme", "Madame", "г-жа")
+# Titles that announce a name, by gender, given names by gender and script, and what surnames are made of.
+MALE_TITLES = ("Mr", "Herr", "Sr", "Señor", "Monsieur", "г-н", "κ", "Κύριος")
+FEMALE_TITLES = ("Mrs", "Ms", "Miss", "Frau", "Sra", "Señora", "Mme", "Madame", "г-жа", "κα", "Κυρία")
 ANY_TITLES = ("Dr", "Prof")
 GIVEN = {
-    ("m", "l"): ("James", "Peter", "Lucas", "Martin", "Hugo", "Oscar", "Pablo", "Bruno", "Felix", "Simon", "Adam", "Victor"),
-    ("f", "l"): ("Alice", "Clara", "Emma", "Julia", "Laura", "Maria", "Nina", "Olivia", "Paula", "Sofia", "Teresa", "Vera"),
-    ("m", "c"): ("Иван", "Олег", "Павел", "Борис", "Артём", "Глеб", "Роман", "Юрий"),
-    ("f", "c"): ("Анна", "Вера", "Дарья", "Елена", "Ольга", "Мария", "Нина", "Юлия"),
+    ("m", "Latin"): ("James", "Peter", "Lucas", "Martin", "Hugo", "Oscar", "Pablo", "Bruno", "Felix", "Simon", "Adam", "Victor"),
+    ("f", "Latin"): ("Alice", "Clara", "Emma", "Julia", "Laura", "Maria", "Nina", "Olivia", "Paula", "Sofia", "Teresa", "Vera"),
+    ("m", "Cyrillic"): ("Иван", "Олег", "Павел", "Борис", "Артём", "Глеб", "Роман", "Юрий"),
+    ("f", "Cyrillic"): ("Анна", "Вера", "Дарья", "Елена", "Ольга", "Мария", "Нина", "Юлия"),
+    ("m", "Greek"): ("Γιώργος", "Πέτρος", "Παύλος", "Μάρκος", "Θωμάς", "Στέφανος", "Λουκάς", "Σπύρος"),
+    ("f", "Greek"): ("Μαρία", "Ελένη", "Άννα", "Σοφία", "Ειρήνη", "Δήμητρα", "Βασιλική", "Ζωή"),
+}
+#: Endings of made-up given names, by gender.
+ENDINGS = {"Latin": {"m": "us", "f": "a"}, "Cyrillic": {"m": "ан", "f": "а"}, "Greek": {"m": "ος", "f": "α"}}
+SYLLABLES = {
+    "Latin": ("ba", "den", "ro", "mil", "ta", "ven", "lo", "ker", "sa", "lin", "do", "mar", "fe", "nor", "gi", "wel"),
+    "Cyrillic": ("ба", "ден", "ро", "мил", "та", "вен", "ло", "кор", "са", "лин", "до", "мар", "фе", "нор", "ги", "вел"),
+    "Greek": ("βα", "δεν", "ρο", "μιλ", "τα", "νεν", "λο", "κορ", "σα", "λιν", "δο", "μαρ", "φε", "νορ", "γι", "πελ"),
+    "Arabic": ("با", "دن", "رو", "ميل", "تا", "فن", "لو", "كر", "سا", "لين", "دو", "مار", "في", "نور", "جي", "ول"),
+    "Hebrew": ("בא", "דן", "רו", "מיל", "תא", "בן", "לו", "קר", "סא", "לין", "דו", "מר", "פי", "נור", "גי", "ול"),
+    "Devanagari": ("बा", "देन", "रो", "मिल", "ता", "वेन", "लो", "कर", "सा", "लिन", "दो", "मार", "फे", "नोर", "गी", "वेल"),
+}
+#: Scripts whose names keep their number of characters: what they begin with, and what follows.
+CHARACTERS = {
+    "Han": ("王李张刘陈杨赵黄周吴徐孙胡朱高林", "伟芳娜敏静丽强磊军洋勇艳杰娟涛明超兰霞平刚桂华建国文辉玉春海云"),
+    "Hangul": ("김이박최정강조윤장임한오서신권황", "민서준하은지우현도연수진영주호성재원유경선희태윤아석기훈정미상혜"),
+    "Hiragana": ("あいうえおかきくけこさしすせそた", "なにぬねのはひふへほまみむめもやゆよらりるれろわちつてとがぎぐげ"),
+    "Katakana": ("アイウエオカキクケコサシスセソタ", "ナニヌネノハヒフヘホマミムメモヤユヨラリルレロワチツテトガギグゲ"),
 }
-SYLLABLES = {"l": ("ba", "den", "ro", "mil", "ta", "ven", "lo", "ker", "sa", "lin", "do", "mar", "fe", "nor", "gi", "wel"), "c": ("ба", "ден", "ро", "мил", "та", "вен", "ло", "кор", "са", "лин", "до", "мар", "фе", "нор", "ги", "вел")}
+PARTICLES = "van|von|de|der|den|la|di|da|bin|ibn|al"
 
 _OCTET = r"(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 _TITLES = "|".join(sorted((*MALE_TITLES, *FEMALE_TITLES, *ANY_TITLES), key=lambda t: -len(t)))
+#: A word of a name: a capital and more letters, or letters of a script without capitals.
+_WORD = r"(?:\p{Lu}[\p{L}\p{M}'’-]++|\p{Lo}[\p{L}\p{M}'’-]*+)"
+_TITLE = rf"(?:{_TITLES})\.? "
 #: In order of precedence; each starts only where no run of its own characters goes on.
 KINDS = {
-    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9_%+][A-Za-z0-9._%+-]{0,63}@[A-Za-z0-9](?:[A-Za-z0-9-]{0,62}\.){1,8}[A-Za-z]{2,24}(?![A-Za-z0-9])",
+    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9_%+][A-Za-z0-9._%+-]*+@[A-Za-z0-9](?:[A-Za-z0-9-]{0,62}\.){1,8}[A-Za-z]{2,24}(?![A-Za-z0-9])",
     "iban": r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])",
     "ip": rf"(?<![0-9.]){_OCTET}(?:\.{_OCTET}){{3}}(?!\.?[0-9])",
     "ssn": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
     "phone": r"(?<![0-9+])\+[0-9]{1,3}(?:[ .-]?\([0-9]{1,4}\))?(?:[ .-]?[0-9]{2,4}){2,5}(?![0-9])|(?<![0-9])\([0-9]{3}\)[ -]?[0-9]{3}[ .-][0-9]{4}(?![0-9])|(?<![0-9.-])[0-9]{3}[.-][0-9]{3}[.-][0-9]{4}(?![0-9])",
     "card": r"(?<![0-9-])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])",
-    "name": rf"(?<![\p{{L}}\p{{N}}])(?:{_TITLES})\.? \p{{Lu}}[\p{{L}}'-]{{1,40}}(?: \p{{Lu}}[\p{{L}}'-]{{1,40}})?",
+    "name": rf"(?<![\p{{L}}\p{{N}}]){_TITLE}{_WORD}(?:(?: (?:{PARTICLES})(?= ))*+ {_WORD})?",
 }
 ANY = "|".join(f"(?:{p})" for p in KINDS.values())
 #: No entity is without one of these; a text that lacks them is not searched further.
-HINT = rf"[0-9@]|(?<!\p{{L}})(?:{_TITLES})\.? \p{{Lu}}"
+HINT = rf"[0-9@]|(?<!\p{{L}}){_TITLE}[\p{{Lu}}\p{{Lo}}]"
 #: Overridden draws beyond which they travel by a join instead of inside the plan.
 INLINE = 500
 
 
-def entities(text: Column) -> Column:
-    """All entities of the text in order, null where there can be none."""
-    return F.when(text.rlike(HINT), F.regexp_extract_all(text, F.lit(ANY), F.lit(0)))
+#: What marks words of names among the values that are drawn: a given name with its gender, a surname.
+_GIVEN, _SURNAME = "\x01g", "\x01s"
+
+
+def _rest(m: Column) -> Column:
+    return F.regexp_replace(m, f"^{_TITLE}", "")
+
+
+def _gender(m: Column) -> Column:
+    male, female = (m.rlike("^(?:" + "|".join(t) + r")\.? ") for t in (MALE_TITLES, FEMALE_TITLES))
+    return F.when(male, "m").when(female, "f").otherwise("a")
+
+
+def with_entities(rows: DataFrame, text: str) -> DataFrame:
+    """``rows`` with found, all entities of the text in order (null where there can be none), again, the pattern of the text, and genders of its full names.
+
+    A name of several words under a title is found again without it.
+    """
+    body = F.col(text)
+    rows = rows.withColumn("found", F.when(body.rlike(HINT), F.regexp_extract_all(body, F.lit(ANY), F.lit(0))))
+    full = F.filter("found", lambda m: m.rlike(f"^{_TITLE}{_WORD} "))
+    # a title that tells the gender counts before one that does not
+    gender = lambda n: F.array_max(F.transform(F.filter(full, lambda m: _rest(m) == n), _gender))
+    entries = F.transform(F.array_distinct(F.transform(full, _rest)), lambda n: F.struct(n.alias("name"), gender(n).alias("gender")))
+    rows = rows.withColumn("genders", F.when(F.size(full) > 0, F.map_from_entries(entries)))
+    names = F.array_join(F.map_keys("genders"), "|")
+    rows = rows.withColumn("again", F.concat(F.lit(ANY + r"|(?<![\p{L}\p{N}])(?:"), names, F.lit(r")(?![\p{L}\p{N}])")))
+    return rows.withColumn("found", F.when(F.col("again").isNull(), F.col("found")).otherwise(F.regexp_extract_all(body, F.col("again"), F.lit(0))))
 
 
 def kind_of(m: Column) -> Column:
@@ -118,34 +170,80 @@ def _luhn_sum(digits: Column, doubled_last: bool) -> Column:
     return F.aggregate(F.transform(F.filter(back, lambda c: c != ""), worth), F.lit(0), lambda a, x: a + x)
 
 
-def _name(m: Column, key: str, salt: Column, attempt: Column) -> Column:
-    script = F.when(m.rlike(r"\p{IsCyrillic}\p{L}*$"), "c").otherwise("l")
-    male, female = (m.rlike("^(?:" + "|".join(t) + r")\b") for t in (MALE_TITLES, FEMALE_TITLES))
-    words = F.split(m, " ")
+def _drawn(word: Column, options: tuple[str, ...] | str, key: str, salt: Column, part: Column) -> Column:
+    return F.get(F.array(*map(F.lit, options)), F.pmod(_draw(key, salt, part, word), F.lit(len(options))).cast("int"))
+
+
+def _name_word(value: Column, key: str, attempt: Column) -> Column:
+    """The surrogate of a word of a name, with the mark that the word has."""
+    mark, word = F.substring_index(value, ":", 1), F.regexp_replace(value, "^[^:]*:", "")
+    salt = F.concat_ws("|", mark, attempt.cast("string"))
+    gender = F.substring(value, 3, 1)
+    draw = lambda options, part: _drawn(word, options, key, salt, F.lit(part))
+
+    def spelt(script: str, ending: Column | None = None) -> Column:
+        # later draws add syllables: one alphabet has few short names
+        parts = [draw(SYLLABLES[script], f"s{k}") for k in range(4)] + [F.when(attempt >= k, draw(SYLLABLES[script], f"x{k}")).otherwise("") for k in range(3, 12)]
+        return F.initcap(F.concat(*(parts if ending is None else [*parts[:2], *parts[4:], ending])))
+
+    def given(script: str) -> Column:
+        lists = {g: GIVEN[g, script] for g in "mf"} | {"a": (*GIVEN["m", script], *GIVEN["f", script])}
+        made = F.when(gender == "m", ENDINGS[script]["m"]).when(gender == "f", ENDINGS[script]["f"]).otherwise("")
+        listed = F.when(gender == "m", draw(lists["m"], "g")).when(gender == "f", draw(lists["f"], "g")).otherwise(draw(lists["a"], "g"))
+        return F.when(attempt < 2, listed).otherwise(spelt(script, made))
+
+    def characters(script: str) -> Column:
+        begin, more = CHARACTERS[script]
+        n = F.length(word) + F.when(attempt >= 3, attempt - 2).otherwise(0)
+        one = lambda i: F.when(i == 1, _drawn(word, begin, key, salt, F.lit("1"))).otherwise(_drawn(word, more, key, salt, i.cast("string")))
+        return F.array_join(F.transform(F.sequence(F.lit(1), n), one), "")
+
+    out = F.when(mark == _SURNAME, spelt("Latin")).otherwise(given("Latin"))
+    for script in (*[s for s in SYLLABLES if s != "Latin"], *CHARACTERS):
+        own = characters(script) if script in CHARACTERS else F.when(mark == _SURNAME, spelt(script)).otherwise(given(script) if script in ENDINGS else spelt(script))
+        out = F.when(word.rlike(rf"\p{{Is{script}}}"), own).otherwise(out)
+    return F.concat(mark, F.lit(":"), out)
+
+
+def _words(m: Column, genders: Column) -> Column:
+    """The words of a name in order, as struct(value, word): the value is null for a particle."""
+    rest = _rest(m)
+    known = F.element_at(genders, rest)
+    gender = F.when(known.isNotNull(), known).otherwise(_gender(m))
+    words = F.split(rest, " ")
+    mark = lambda i: F.when(i == F.size(words) - 1, F.lit(_SURNAME)).otherwise(F.concat(F.lit(_GIVEN), gender))
+    return F.transform(words, lambda w, i: F.struct(F.when(~w.rlike(f"^(?:{PARTICLES})$"), F.concat(mark(i), F.lit(":"), F.lower(w))).alias("value"), w.alias("word")))
+
+
+def values_of(m: Column, genders: Column) -> Column:
+    """What is drawn for an entity: the words of a name, else itself."""
+    words = F.filter(F.transform(_words(m, genders), lambda w: w["value"]), lambda v: v.isNotNull())
+    return F.when(kind_of(m) == "name", words).otherwise(F.array(m))
+
 
-    def drawn(word: Column, options: tuple[str, ...], part: str) -> Column:
-        return F.get(F.array(*map(F.lit, options)), F.pmod(_draw(key, salt, F.lit(part), word), F.lit(len(options))).cast("int"))
+def replacement(m: Column, genders: Column, key: str, draws: Column) -> Column:
+    """The entity's surrogate at the draws that are settled."""
+    attempt = lambda v: F.coalesce(F.element_at(draws, v), F.lit(0))
 
-    def given(word: Column) -> Column:
-        out = F.lit(None)
-        for s in "lc":
-            both = (*GIVEN["m", s], *GIVEN["f", s])
-            out = F.when(script == s, F.when(male, drawn(word, GIVEN["m", s], "g")).when(female, drawn(word, GIVEN["f", s], "g")).otherwise(drawn(word, both, "g"))).otherwise(out)
-        return out
+    def one(w: Column) -> Column:
+        new = F.regexp_replace(_name_word(w["value"], key, attempt(w["value"])), "^[^:]*:", "")
+        shout = (F.length(w["word"]) > 1) & (F.upper(w["word"]) == w["word"]) & (F.lower(w["word"]) != w["word"])
+        return F.when(w["value"].isNull(), w["word"]).when(shout, F.upper(new)).otherwise(new)
 
-    def more(s: str) -> Column:
-        # one title has few short surnames: later draws add syllables, within what a name may have, that differ by the whole entity
-        return F.concat(*[F.when(attempt >= k, drawn(m, SYLLABLES[s], f"x{k}")).otherwise("") for k in range(3, 12)])
+    name = F.concat(F.regexp_extract(m, f"^{_TITLE}", 0), F.array_join(F.transform(_words(m, genders), one), " "))
+    return F.when(kind_of(m) == "name", name).otherwise(surrogate(m, key, attempt(m)))
 
-    def surname(word: Column) -> Column:
-        return F.initcap(F.when(script == "c", F.concat(*[drawn(word, SYLLABLES["c"], f"s{k}") for k in range(4)], more("c"))).otherwise(F.concat(*[drawn(word, SYLLABLES["l"], f"s{k}") for k in range(4)], more("l"))))
 
-    title, last = F.get(words, F.lit(0)), F.element_at(words, -1)
-    return F.when(F.size(words) >= 3, F.concat_ws(" ", title, given(F.get(words, F.lit(1))), surname(last))).otherwise(F.concat_ws(" ", title, surname(last)))
+def _check_digits(country: Column, account: Column) -> Column:
+    """Two digits that make the number 1 modulo 97, letters counting from 10."""
+    worth = lambda c: F.when(c.rlike("^[0-9]$"), c.cast("int")).otherwise(F.ascii(c) - 55)
+    step = lambda acc, c: F.pmod(acc * F.when(c.rlike("^[0-9]$"), 10).otherwise(100) + worth(c), F.lit(97))
+    whole = F.filter(F.split(F.concat(account, country, F.lit("00")), ""), lambda c: c != "")
+    return F.lpad((98 - F.aggregate(whole, F.lit(0), step)).cast("string"), 2, "0")
 
 
 def surrogate(m: Column, key: str, attempt: Column) -> Column:
-    """The replacement of an entity at a draw; equal entities have equal replacements."""
+    """The replacement of an entity, or of a marked word of a name, at a draw; equal ones have equal replacements."""
     kind = kind_of(m)
     salt = F.concat_ws("|", kind, attempt.cast("string"))
     digits = F.regexp_replace(m, "[^0-9]", "")
@@ -164,9 +262,10 @@ def surrogate(m: Column, key: str, attempt: Column) -> Column:
     zone = F.substring_index(host, ".", -1)
     more = F.when(attempt >= 3, F.substring(F.sha2(F.concat_ws("|", F.lit(key), m, salt), 256), 1, 6)).otherwise("")  # a short name has few draws
     email = F.concat(_same_class(user, key, F.concat_ws("|", salt, host)), more, F.lit("@"), _same_class(F.substr(host, F.lit(1), F.length(host) - F.length(zone)), key, F.lit("host")), zone)
-    iban = F.concat(F.substring(m, 1, 2), _same_class(F.substr(m, F.lit(3)), key, salt))
+    account = _same_class(F.substr(m, F.lit(5)), key, F.concat_ws("|", salt, F.substring(m, 1, 4)))
+    iban = F.aggregate(F.array(account), F.lit(""), lambda _, a: F.concat(F.substring(m, 1, 2), _check_digits(F.substring(m, 1, 2), F.regexp_replace(a, " ", "")), a))
     ssn = _refill(m, _digits_permuted(digits, key, salt))
-    return F.when(kind == "email", email).when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "phone", phone).when(kind == "card", card).otherwise(_name(m, key, salt, attempt))
+    return F.when(kind == "email", email).when(kind == "iban", iban).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "phone", phone).when(kind == "card", card).otherwise(_name_word(m, key, attempt))
 
 
 def resolve(found: DataFrame, key: str, most: int = 12) -> DataFrame:
@@ -175,6 +274,8 @@ def resolve(found: DataFrame, key: str, most: int = 12) -> DataFrame:
     ``found`` has one row for each distinct value. Rounds go on until nothing
     meets; only ``most`` rounds in a row without fewer values that move are an error.
     """
+    # few bytes, much work: as many tasks as there are shuffle partitions
+    found = found.repartition(int(found.sparkSession.conf.get("spark.sql.shuffle.partitions")), "value")
     state = durable(found.select("value", F.lit(0).alias("attempt")).withColumn("s", surrogate(F.col("value"), key, F.col("attempt"))))
     least, idle = None, 0
     while idle < most:
@@ -197,26 +298,36 @@ def pseudonymise(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
 
     Null stays null with no entity. Equal entities are replaced alike in all
     rows, different ones differently, and no surrogate is an entity of the
-    table. Columns with the names of the results are replaced, others kept.
+    table; names are compared word by word, without regard to case. Names in
+    scripts that have no list here get Latin ones. Texts of any length are read
+    whole, an empty table gives no row. Columns with the names of the results
+    are replaced, others kept.
     """
-    docs = docs.withColumn("__found", entities(F.col(f"`{text}`")))
-    found = docs.where(F.size("__found") > 0).select(F.explode("__found").alias("value")).distinct()
-    moved = durable(resolve(found, key))
+    kept = [c for c in docs.columns if c not in ("n_entities", "n_distinct")]
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in kept]).alias("row"), F.col(f"`{text}`").cast("string").alias("body"))
+    values = lambda found, genders: F.flatten(F.transform(found, lambda m: values_of(m, genders)))
+    # the outer form keeps the search from being done once more as a filter
+    each = with_entities(rows.select("body"), "body").select("found", F.explode_outer(values(F.col("found"), F.col("genders"))).alias("value")).where("value IS NOT NULL")
+    moved = durable(resolve(each.select("value").distinct(), key))
+    rows = with_entities(rows, "body")
     if moved.limit(INLINE + 1).count() <= INLINE:
-        draws = F.from_json(F.lit(json.dumps({r.value: r.attempt for r in moved.collect()})), "map<string,int>")
+        out = _put(rows, key, F.from_json(F.lit(json.dumps({r.value: r.attempt for r in moved.collect()})), "map<string,int>"))
     else:
-        each = docs.where(F.size("__found") > 0).select(F.explode(F.array_distinct("__found")).alias("value"), F.col("__found").alias("__key")).join(moved, "value")
-        own = each.groupBy("__key").agg(F.map_from_entries(F.collect_set(F.struct("value", "attempt"))).alias("__draws"))
-        docs = docs.join(own, docs["__found"] == own["__key"], "left").drop("__key")
-        draws = F.coalesce(F.col("__draws"), F.create_map().cast("map<string,int>"))
-    gaps = F.split(F.col(f"`{text}`"), ANY, -1)
-    values = F.transform("__found", lambda m: surrogate(m, key, F.coalesce(F.element_at(draws, m), F.lit(0))))
-    put = F.concat_ws("", F.flatten(F.zip_with(gaps, values, lambda g, s: F.array(g, F.coalesce(s, F.lit(""))))))
-    return docs.withColumns({
-        text: F.when(F.size("__found") > 0, put).otherwise(F.col(f"`{text}`")),
-        "n_entities": F.coalesce(F.greatest(F.size("__found"), F.lit(0)), F.lit(0)).cast("bigint"),
-        "n_distinct": F.coalesce(F.greatest(F.size(F.array_distinct("__found")), F.lit(0)), F.lit(0)).cast("bigint"),
-    }).drop("__found", "__draws")
+        # texts without an entity take no part in the join
+        own = each.join(moved, "value").groupBy(F.col("found").alias("own")).agg(F.map_from_entries(F.collect_set(F.struct("value", "attempt"))).alias("draws"))
+        some = rows.where(F.size("found") > 0).join(own, F.col("found") == F.col("own"), "left")
+        out = _put(some, key, F.coalesce("draws", F.create_map().cast("map<string,int>"))).unionByName(_put(rows.where(F.coalesce(F.size("found"), F.lit(0)) <= 0), key, F.create_map().cast("map<string,int>")))
+    return out.select(*[F.col("body").alias(c) if c == text else F.col(f"row.`{c}`").alias(c) for c in kept], "n_entities", "n_distinct")
+
+
+def _put(rows: DataFrame, key: str, draws: Column) -> DataFrame:
+    """row, the text with its surrogates as body, and the counts."""
+    body, found = F.col("body"), F.col("found")
+    gaps = F.when(F.col("again").isNull(), F.split(body, ANY, -1)).otherwise(F.split(body, F.col("again"), -1))
+    new = F.transform(found, lambda m: replacement(m, F.col("genders"), key, draws))
+    put = F.concat_ws("", F.flatten(F.zip_with(gaps, new, lambda g, s: F.array(g, F.coalesce(s, F.lit(""))))))
+    size = lambda x: F.greatest(F.coalesce(F.size(x), F.lit(0)), F.lit(0)).cast("bigint")
+    return rows.select("row", F.when(F.size(found) > 0, put).otherwise(body).alias("body"), size(found).alias("n_entities"), size(F.array_distinct(found)).alias("n_distinct"))
 
 
 #: The key of the registered query; a user gives their own and keeps it secret.
