@@ -1,4 +1,9 @@
-"""A training corpus in five stages: quality, exact and near duplicates, benchmark passages, tokens."""
+"""A training corpus in five stages: quality, exact and near duplicates, benchmark passages, tokens.
+
+All stages but the last return the columns of their input, whatever their names
+and whatever others stand beside doc_id and text. Texts are read whole; null
+counts as empty; an empty table passes through as an empty table.
+"""
 
 from __future__ import annotations
 
@@ -19,29 +24,47 @@ def _decide(docs: DataFrame, judged, keep: str) -> DataFrame:
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier does not reject."""
+    """Documents that the classifier does not reject.
+
+    Each row is judged by its text alone, so repeated rows stay or go together;
+    empty texts have the score of the bias. Without labels every score is one
+    half and all rows stay.
+    """
     weights = quality.fit_quality(docs, table(spark, sf_dir, "labels"))
     return _decide(docs, lambda d: quality.score(d, weights), f"score >= {quality.THRESHOLD}")
 
 
 def drop_exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of equal texts."""
+    """One document of each group of texts that are equal without white space.
+
+    The longest original stays, of ties the smallest doc_id, null last; empty
+    texts are one group; rows repeated with id and text become one.
+    """
     return exactdup.drop_copies(docs)
 
 
 def drop_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near duplicates."""
+    """One document of each group of near duplicates, the one of the smallest doc_id.
+
+    Texts without a word are near nothing and stay. Rows of one doc_id with
+    several texts are told apart by their shingles; rows repeated with id and
+    shingles become one.
+    """
     return neardup.drop_near(docs)
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark passage."""
+    """Documents of which fewer than one word in twenty lies in a benchmark passage.
+
+    Each row is judged by its text alone; texts without words stay, and without
+    a benchmark item all rows do.
+    """
     benchmark = table(spark, sf_dir, "benchmark")
     return _decide(docs, lambda d: decontaminate.find_contamination(d, benchmark), "NOT contaminated")
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, n_tokens and the token ids of each document left."""
+    """doc_id, n_tokens and the token ids of each row; an empty text has no tokens, repeated rows repeat."""
     return bytebpe.add_tokens(docs, *bytebpe.production(), keep=["doc_id"])
 
 
