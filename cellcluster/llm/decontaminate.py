@@ -31,7 +31,7 @@ BLOCK_BYTES = 8 << 20
 class ShiftTables:
     """Search tables for patterns of words; each pattern carries the ids of its items."""
 
-    def __init__(self, patterns: dict[tuple[bytes, ...], tuple[int, ...]], block: int = 2):
+    def __init__(self, patterns: dict[tuple[bytes, ...], tuple[str, ...]], block: int = 2):
         self.groups = []
         lengths = {len(p) for p in patterns}
         # full windows allow the longest jumps; shorter items get tables of their own
@@ -42,17 +42,18 @@ class ShiftTables:
     @staticmethod
     def _build(patterns: dict, shortest: int, block: int) -> tuple:
         shift: dict[tuple, int] = {}
-        bucket: dict[tuple, list] = defaultdict(list)
+        bucket: dict[tuple, dict[int, dict]] = defaultdict(dict)
         for p, items in patterns.items():
             # the last `shortest` words of a pattern serve as its anchor
             tail = p[len(p) - shortest :]
             for end in range(block, shortest + 1):
                 key = tail[end - block : end]
                 shift[key] = min(shift.get(key, shortest), shortest - end)
-            bucket[tail[shortest - block :]].append((list(p), items))
+            # the patterns of a bucket by length and words, so a frequent ending is one look-up for each length
+            bucket[tail[shortest - block :]].setdefault(len(p), {})[p] = items
         return shortest, block, shortest - block + 1, shift, dict(bucket)
 
-    def find(self, words: list[bytes]) -> list[tuple[int, int, tuple[int, ...]]]:
+    def find(self, words: list[bytes]) -> list[tuple[int, int, tuple[str, ...]]]:
         """Every occurrence: first word, word after the last, item ids."""
         out = []
         n = len(words)
@@ -65,9 +66,10 @@ class ShiftTables:
                 if jump:
                     at += jump
                     continue
-                for p, items in bucket[key]:
-                    first = at + 1 - len(p)
-                    if first >= 0 and words[first : at + 1] == p:
+                for length, held in bucket[key].items():
+                    first = at + 1 - length
+                    items = held.get(tuple(words[first : at + 1])) if first >= 0 else None
+                    if items:
                         out.append((first, at + 1, items))
                 at += 1
         return out
@@ -77,8 +79,8 @@ def words_of(raw: bytes) -> list[bytes]:
     return raw.translate(ALNUM).split()
 
 
-def windows(items: list[tuple[int, bytes]], width: int = WINDOW) -> dict[tuple[bytes, ...], tuple[int, ...]]:
-    out: dict[tuple[bytes, ...], set[int]] = defaultdict(set)
+def windows(items: list[tuple[str, bytes]], width: int = WINDOW) -> dict[tuple[bytes, ...], tuple[str, ...]]:
+    out: dict[tuple[bytes, ...], set[str]] = defaultdict(set)
     for item, raw in items:
         words = words_of(raw)
         for k in range(max(1, len(words) - width + 1) if words else 0):
@@ -89,7 +91,7 @@ def windows(items: list[tuple[int, bytes]], width: int = WINDOW) -> dict[tuple[b
 def _blocks(benchmark: DataFrame, block_bytes: int):
     """The items in blocks of about ``block_bytes``; one item is never split."""
     held, size = [], 0
-    for item, raw in benchmark.select("item_id", F.encode(F.coalesce(F.col("text"), F.lit("")), "UTF-8")).toLocalIterator():
+    for item, raw in benchmark.select(F.col("item_id").cast("string"), F.encode(F.coalesce(F.col("text"), F.lit("")), "UTF-8")).toLocalIterator():
         if item is None:
             continue
         held.append((item, bytes(raw)))
@@ -106,26 +108,28 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text"
     A word is hit if it lies inside any occurrence of any window of any item; a
     document is contaminated if at least one word in twenty is hit. Null and
     empty texts have no words and are clean; an item without words has no
-    window, one without an id is skipped; repeated items count once. Columns of
-    ``docs`` with the names of the results are replaced.
+    window, one without an id is skipped; repeated items count once, and ids of
+    any type are taken as text. Without any item all documents are clean; an
+    empty table of documents gives no row. Columns of ``docs`` with the names of
+    the results are replaced, all others kept whatever their names.
     """
-    out, first = docs, True
+    made = ("n_words", "n_hit", "n_items", "items", "contaminated")
+    kept = [c for c in docs.columns if c not in made]
+    out = docs.select(F.struct(*[F.col(f"`{c}`") for c in kept]).alias("row"), F.col(f"`{text}`").cast("string").alias("text"))
+    first = True
     for items in _blocks(benchmark, block_bytes):
         patterns = windows(items, width)
         if not first and not patterns:
             continue
-        out = _search(out, patterns, text, first)
+        out = _search(out, patterns, first)
         first = False
-    size = F.size("__items")
-    return (
-        out.withColumn("n_items", size.cast("bigint"))
-        .withColumn("items", F.array_sort(F.transform("__items", lambda x: x.cast("string"))))
-        .withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
-        .drop("__items", "__spans")
-    )
+    return out.select(
+        "row.*", "n_words", "n_hit", F.size("items").cast("bigint").alias("n_items"), F.array_sort("items").alias("items"),
+        ((F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words"))).alias("contaminated"),
+    )
 
 
-def _search(docs: DataFrame, patterns: dict, text: str, first: bool) -> DataFrame:
+def _search(docs: DataFrame, patterns: dict, first: bool) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(patterns)
 
     def make():
@@ -144,8 +148,8 @@ def _search(docs: DataFrame, patterns: dict, text: str, first: bool) -> DataFram
 
         return work
 
-    fields = [field("n_words", "bigint"), field("n_hit", "bigint"), field("__items", "array<bigint>"), field("__spans", "binary")]
-    return add_columns(docs, text, fields, make, also=() if first else ("__spans", "__items"))
+    fields = [field("n_words", "bigint"), field("n_hit", "bigint"), field("items", "array<string>"), field("spans", "binary")]
+    return add_columns(docs, "text", fields, make, ["row", "text"], also=() if first else ("spans", "items"))
 
 
 def digest(found: DataFrame) -> DataFrame:
