@@ -17,6 +17,8 @@ from .common import table
 
 SLOTS = 8192
 ORDERS = (3, 4, 5)
+#: Most labelled addresses that the driver takes.
+MAX_LABELLED = 50_000
 
 #: Production rules: verdict, host, start of the path.
 RULES = (("block", "com", "/en/"), ("allow", "example.com", "/en/7"), ("allow", "net", "/de/"), ("block", "example.net", "/de/8"), ("block", "org", "/es/"))
@@ -80,6 +82,8 @@ def gram_slots(host: Column, path: Column, slots: int = SLOTS) -> Column:
 def fit(spark: SparkSession, labelled: list[tuple[str, int]] | None = None, slots: int = SLOTS, epochs: int = 60, rate: float = 0.5, decay: float = 1e-4) -> list[float]:
     """Weights, the last one the bias; plain stochastic descent over a small table, in a fixed order."""
     rows = labelled_urls() if labelled is None else labelled
+    if len(rows) > MAX_LABELLED:
+        raise ValueError(f"the driver fits at most {MAX_LABELLED} addresses; pass a sample")
     if not rows:
         return [0.0] * slots + [-1.0]
     quote = lambda s: "'" + s.replace("\\", "\\\\").replace("'", "\\'") + "'"
@@ -110,20 +114,20 @@ def judge_urls(pages: DataFrame, weights: list[float], url: str = "url", rules=R
     """``pages`` with host, path, rule, unwanted and verdict.
 
     A rule decides where one fits, else the model blocks from ``threshold`` on.
-    Null and addresses without :// have empty parts, fit no rule with a host and
-    are allowed by the model. Each row is judged by itself, so repeated rows
-    agree; columns of ``pages`` with the names of the results are replaced.
+    Null and addresses without :// have empty parts, fit no rule with a host,
+    and the model has nothing but its bias for them, which is the same for all.
+    Addresses of any length are read whole. Each row is judged by itself, so
+    repeated rows agree; an empty table gives no row; columns of ``pages`` with
+    the names of the results are replaced.
     """
+    made = ("host", "path", "rule", "unwanted", "verdict")
     address = F.col(f"`{url}`").cast("string")
-    out = pages.withColumns({"__host": host_of(address), "__path": path_of(address)})
-    host, path = F.col("__host"), F.col("__path")
-    out = out.withColumns({"__rule": fitting_rule(host, path, rules), "__unwanted": F.when((host == "") & (path == ""), F.lit(0.0)).otherwise(unwanted(host, path, weights))})
-    return (
-        out.withColumns({
-            "host": host, "path": path, "rule": F.col("__rule.rule"), "unwanted": F.col("__unwanted"),
-            "verdict": F.coalesce(F.col("__rule.verdict"), F.when(F.col("__unwanted") >= threshold, "block").otherwise("allow")),
-        }).drop("__host", "__path", "__rule", "__unwanted")
-    )
+    kept = [c for c in pages.columns if c not in made]
+    out = pages.select(F.struct(*[F.col(f"`{c}`") for c in kept]).alias("row"), host_of(address).alias("host"), path_of(address).alias("path"))
+    host, path = F.col("host"), F.col("path")
+    out = out.select("row", "host", "path", fitting_rule(host, path, rules).alias("fit"), unwanted(host, path, weights).alias("unwanted"))
+    verdict = F.coalesce(F.col("fit.verdict"), F.when(F.col("unwanted") >= threshold, "block").otherwise("allow"))
+    return out.select("row.*", "host", "path", F.col("fit.rule").alias("rule"), "unwanted", verdict.alias("verdict"))
 
 
 def op5_url_ngrams(spark: SparkSession, sf_dir: str) -> DataFrame:
