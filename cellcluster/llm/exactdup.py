@@ -176,10 +176,12 @@ def group_copies(docs: DataFrame, text: str = "text") -> DataFrame:
         .join(twice, "fp", "left_semi")
         .withColumn("n_texts", F.when(F.col("n_texts") == 1, 1).otherwise(F.raise_error(F.lit("two texts have one digest"))))
     )
-    best = F.max(F.struct(F.col("n_points"), F.col("doc_id").isNotNull().alias("has"), (-F.col("doc_id")).alias("least")))
+    # the least in this order: the longest, an id before none, the smallest id of any type
+    best = F.min(F.struct((-F.col("n_points")).alias("less"), F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("keep")))
     sizes = facts.groupBy("fp", "sha").agg(F.count(F.lit(1)).alias("group_size"), best.alias("best")).where("group_size > 1")
-    groups = sizes.join(verified, ["fp", "sha"]).where("n_texts = 1").select("fp", "sha", "group_size", (-F.col("best.least")).alias("keep"), F.col("best.n_points").alias("keep_points"))
-    out = facts.join(groups, ["fp", "sha"], "left")
+    groups = sizes.join(verified, ["fp", "sha"]).where("n_texts = 1").select("fp", "sha", "group_size", F.col("best.keep").alias("keep"), (-F.col("best.less")).alias("keep_points"))
+    # written first, so the join has nothing but the two reads before it and the rows of a large group can be split
+    out = facts.join(durable(groups), ["fp", "sha"], "left")
     keep = F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep"))
     return out.select(
         "doc_id", keep.alias("keep_id"), F.coalesce("group_size", F.lit(1)).cast("bigint").alias("group_size"),
@@ -193,15 +195,16 @@ def drop_copies(docs: DataFrame, text: str = "text") -> DataFrame:
     groups = durable(group_copies(docs, text))
     if docs.count() > groups.count():
         docs = docs.dropDuplicates(["doc_id", text])
-    gone = groups.where(~F.col("kept")).select("doc_id", F.col("text_sha256").alias("__sha"))
     white = "".join(map(chr, WHITE))
     if groups.groupBy("doc_id").count().where("count > 1").isEmpty():
-        return docs.join(gone.select("doc_id"), "doc_id", "left_anti").select(docs.columns)
+        gone = groups.where(~F.col("kept")).select(F.col("doc_id").alias("__gone"))
+        return docs.join(gone, docs["doc_id"].eqNullSafe(gone["__gone"]), "left_anti").select(docs.columns)
     # one doc_id with several texts: the digest tells them apart
     sha = F.sha2(F.translate(F.coalesce(F.col(text), F.lit("")), white, ""), 256)
-    points = groups.where(~F.col("kept")).select("doc_id", F.col("text_sha256").alias("__sha"), F.col("n_points").alias("__n"))
-    marked = docs.withColumns({"__sha": sha, "__n": F.length(F.coalesce(F.col(text), F.lit(""))).cast("bigint")})
-    return marked.join(points, on=[marked["doc_id"].eqNullSafe(points["doc_id"]), marked["__sha"] == points["__sha"], marked["__n"] == points["__n"]], how="left_anti").select(docs.columns)
+    points = groups.where(~F.col("kept")).select(F.col("doc_id").alias("id"), F.col("text_sha256").alias("own"), F.col("n_points").alias("n"))
+    marked = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), sha.alias("sha"), F.length(F.coalesce(F.col(text), F.lit(""))).cast("bigint").alias("points"))
+    gone = F.col("row.doc_id").eqNullSafe(F.col("id")) & (F.col("sha") == F.col("own")) & (F.col("points") == F.col("n"))
+    return marked.join(points, gone, "left_anti").select("row.*")
 
 
 def op9_counting_quotient(spark: SparkSession, sf_dir: str) -> DataFrame:
