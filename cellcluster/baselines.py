@@ -7,34 +7,52 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import blocks, gaptest
 from .cells import assign_cells
-from .cluster import ClusterResult, finish, run
+from .cluster import ClusterResult, finish, mark_core, run, square, within
 from .components import durable, star_components
 from .spec import ClusterSpec, dims, ks, xs
 
 
-def square(d: int, a: str = "", b: str = "y_") -> Column:
-    """Squared distance of x1, ... with one prefix to those with another."""
-    diff = [F.col(f"{a}x{j}") - F.col(f"{b}x{j}") for j in range(1, d + 1)]
-    return reduce(lambda s, t: s + t, [e * e for e in diff])
-
-
 def eps_pairs(ps: DataFrame, eps: int, how: str = "cell") -> DataFrame:
     """(i, j) within eps, each point with itself. ``theta`` compares all pairs (small data only), ``cell`` joins cells of side eps."""
     d = dims(ps)
     left = ps.select(F.col("point_id").alias("i"), *xs(d))
-    right = ps.select(F.col("point_id").alias("j"), *[F.col(x).alias(f"y_{x}") for x in xs(d)])
+    right = _others(ps, "j")
     if how == "theta":
         return left.join(right, square(d) <= eps * eps).select("i", "j")
-    binned = range(1, min(d, 3) + 1)
-    for j in binned:
-        left = left.withColumn(f"g{j}", F.floor(F.col(f"x{j}") / eps))
-        right = right.withColumn(f"g{j}", F.explode(F.sequence(F.floor(F.col(f"y_x{j}") / eps) - 1, F.floor(F.col(f"y_x{j}") / eps) + 1)))
-    return left.join(right, [f"g{j}" for j in binned]).where(square(d) <= eps * eps).select("i", "j")
+    return within(left, right, eps).select("i", "j")
+
+
+def _others(ps: DataFrame, name: str, *more: str) -> DataFrame:
+    return ps.select(F.col("point_id").alias(name), *more, *[F.col(x).alias(f"y_{x}") for x in xs(dims(ps))])
+
+
+def direct_reach(ps: DataFrame, spec: ClusterSpec) -> DataFrame:
+    """(p, q): q is directly reachable from the core point p. Relations of the definitions, for small data."""
+    pairs = durable(eps_pairs(ps, spec.eps))
+    core = pairs.groupBy("i").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= spec.min_pts).select("i")
+    return pairs.join(core, "i", "left_semi").select(F.col("i").alias("p"), F.col("j").alias("q"))
+
+
+def reach_closure(ps: DataFrame, spec: ClusterSpec) -> DataFrame:
+    """(p, q): q is reachable from p over any number of direct steps; every core point reaches what its component does."""
+    direct = durable(direct_reach(ps, spec))
+    core = direct.select(F.col("p").alias("vertex")).distinct()
+    links = direct.join(core, direct["q"] == core["vertex"], "left_semi").where("p < q").select(F.col("p").alias("a"), F.col("q").alias("b"))
+    found = star_components(links)
+    part = core.join(found, "vertex", "left").select("vertex", F.coalesce("component", "vertex").alias("component"))
+    reached = direct.join(part, direct["p"] == part["vertex"]).select("component", "q").distinct()
+    return part.select(F.col("vertex").alias("p"), "component").join(reached, "component").select("p", "q")
+
+
+def connected_pairs(ps: DataFrame, spec: ClusterSpec) -> DataFrame:
+    """(p, q) with p < q that some core point reaches both."""
+    reach = durable(reach_closure(ps, spec))
+    return reach.alias("x").join(reach.alias("y"), F.col("x.p") == F.col("y.p")).where("x.q < y.q").select(F.col("x.q").alias("p"), F.col("y.q").alias("q")).distinct()
 
 
 def core_pointwise(ps: DataFrame, spec: ClusterSpec, how: str = "cell") -> DataFrame:
@@ -107,7 +125,7 @@ def rho_grid(ps: DataFrame, spec: ClusterSpec, rho: float = 0.01) -> ClusterResu
 
 
 def hash_grid_exact(ps: DataFrame, spec: ClusterSpec) -> ClusterResult:
-    """Cells that are only hashed, never ordered: template neighbours by equality joins, the exact gap test on co-grouped cells."""
+    """Cells that are only hashed, never ordered: neighbours by equality joins (moved by the template up to three dimensions, by prefixes beyond), the exact gap test on the two cells of a pair."""
     d = dims(ps)
     placed = durable(assign_cells(ps.select("point_id", *xs(d)), spec.eps))
     from .neighbours import by_prefix, by_template
@@ -138,73 +156,130 @@ def hash_grid_exact(ps: DataFrame, spec: ClusterSpec) -> ClusterResult:
 
 
 def pair_edges(core: DataFrame, pairs: DataFrame, eps: int, gap: str = "alternating_prune", cell: str = "cell") -> DataFrame:
-    """The pairs (a, b) of cells whose core points come within eps: the members of a pair meet in one kernel."""
+    """The pairs (a, b) of cells whose core points come within eps: the two sides of a pair are co-grouped in one kernel."""
     d = dims(core)
     members = core.select(F.col(cell).alias("cell"), *xs(d))
-    sides = [pairs.join(members, pairs[s] == members["cell"]).select("a", "b", F.lit(s == "a").alias("first"), *xs(d)) for s in "ab"]
+    # both sides have names of their own, as they come from one table
+    first = pairs.join(members, pairs["a"] == members["cell"]).select("a", "b", *xs(d))
+    second = pairs.join(members, pairs["b"] == members["cell"]).select("a", "b", *xs(d)).toDF("of_a", "of_b", *[f"y_{x}" for x in xs(d)])
+    matrix = lambda part, names: np.stack([part.column(c).to_numpy() for c in names], axis=1).astype(np.int64)
 
-    def test(part: pa.Table) -> pa.Table:
-        x = np.stack([part.column(c).to_numpy() for c in xs(d)], axis=1).astype(np.int64)
-        first = part.column("first").to_numpy()
-        yes = gaptest.TESTS[gap](x[first], x[~first], eps).yes
-        return part.select(["a", "b"]).slice(0, 1 if yes else 0)
+    def test(one: pa.Table, two: pa.Table) -> pa.Table:
+        yes = one.num_rows and two.num_rows and gaptest.TESTS[gap](matrix(one, xs(d)), matrix(two, [f"y_{x}" for x in xs(d)]), eps).yes
+        return one.select(["a", "b"]).slice(0, 1 if yes else 0)
 
-    return sides[0].unionByName(sides[1]).groupBy("a", "b").applyInArrow(test, "a string, b string")
+    return first.groupBy("a", "b").cogroup(second.groupBy("of_a", "of_b")).applyInArrow(test, "a string, b string")
 
 
-def ball_block(ps: DataFrame, spec: ClusterSpec, gap: str = "pingpong") -> ClusterResult:
-    """Blocks are balls of radius eps / 2 with enough points; blocks with near centres are merged by a gap test.
+def _boxed(core: DataFrame, pairs: DataFrame, eps: int) -> DataFrame:
+    """Pairs (a, b) of units whose boxes are within eps, with sure where their farthest corners are; only the others need points."""
+    d = dims(core)
+    boxes = core.groupBy("cell").agg(*[f(x).alias(f"{p}{x[1:]}") for x in xs(d) for p, f in (("lo", F.min), ("hi", F.max))])
+    right = boxes.select(F.col("cell").alias("cell_b"), *[F.col(f"{p}{j}").alias(f"{p}b{j}") for j in range(1, d + 1) for p in ("lo", "hi")])
+    both = pairs.join(boxes, pairs["a"] == boxes["cell"]).join(right, F.col("b") == F.col("cell_b"))
+    add = lambda v: reduce(lambda x, y: x + y, [e * e for e in v])
+    gap = [F.greatest(F.col(f"lo{j}") - F.col(f"hib{j}"), F.col(f"lob{j}") - F.col(f"hi{j}"), F.lit(0)) for j in range(1, d + 1)]
+    far = [F.greatest(F.col(f"hi{j}") - F.col(f"lob{j}"), F.col(f"hib{j}") - F.col(f"lo{j}")) for j in range(1, d + 1)]
+    return durable(both.where(add(gap) <= eps**2).select("a", "b", (add(far) <= eps**2).alias("sure")))
+
 
-    A centre is a candidate that comes first among the free ones in its ball, by
-    a hash of the id, so that ids in the order of a coordinate make no chain of
-    rounds; its ball is absorbed, and rounds go on until no candidate is free.
-    Points outside are core by their own count. With ``pingpong`` blocks may
-    stay apart wrongly and an outer core point joins one cluster only; with an
-    exact gap test outer points are blocks of one and the result is exact.
+def _half_balls(ps: DataFrame, spec: ClusterSpec) -> DataFrame:
+    """point_id and centre of the points that balls of radius eps / 2 absorb.
+
+    A centre has ``min_pts`` points in its ball and lies in no ball picked
+    before. Blocks are coloured so that those of one colour are more than half
+    of eps apart; colours take turns, and inside a block candidates are picked
+    one after another, so no pair of points leaves a kernel. The number of turns
+    is that of the colours, whatever the number of balls.
     """
-    exact = gap in gaptest.EXACT
-    near = durable(eps_pairs(ps, spec.eps, "cell").join(ps.select(F.col("point_id").alias("i"), *xs(dims(ps))), "i").join(ps.select(F.col("point_id").alias("j"), *[F.col(x).alias(f"y_{x}") for x in xs(dims(ps))]), "j").select("i", "j", square(dims(ps)).alias("sq")))
-    half = durable(near.where(4 * F.col("sq") <= spec.eps**2).select("i", "j"))
-    dense = half.groupBy("i").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= spec.min_pts).select("i")
-    free = durable(dense)
-    centres = None
-    absorbed = None
-    first = F.min(F.struct(F.xxhash64("j"), "j"))
-    rivals = half
-    while not free.isEmpty():  # the first of all free candidates is picked at least
-        rivals = durable(rivals.join(free, "i", "left_semi").join(free.select(F.col("i").alias("j")), "j", "left_semi"))
-        picked = durable(rivals.groupBy("i").agg(first.alias("m")).where("i = m.j").select("i"))
-        taken = half.join(picked, "i").select(F.col("j").alias("i"), F.col("i").alias("centre"))
-        taken = taken if absorbed is None else taken.join(absorbed.select("i"), "i", "left_anti")
-        taken = taken.groupBy("i").agg(F.min("centre").alias("centre"))
-        centres = picked if centres is None else durable(centres.unionByName(picked))
-        absorbed = durable(taken if absorbed is None else absorbed.unionByName(taken))
-        free = durable(free.join(absorbed.select("i"), "i", "left_anti"))
-    empty = ps.sparkSession.createDataFrame([], "i bigint, centre bigint")
-    absorbed = empty if absorbed is None else absorbed
-    count = near.groupBy("i").agg(F.count(F.lit(1)).alias("n"))
     d = dims(ps)
-    named = ps.select(F.col("point_id").alias("i"), *xs(d)).join(absorbed, "i", "left").join(count, "i")
-    flagged = durable(named.select(F.col("i").alias("point_id"), *xs(d), (F.col("centre").isNotNull() | (F.col("n") >= spec.min_pts)).alias("is_core"), F.coalesce("centre", F.col("i")).cast("string").alias("cell"), F.col("centre").isNotNull().alias("inner_core")))
+    # twice the coordinates, so that half of eps stays an integer
+    wide = ps.select("point_id", *[(F.col(x) * 2).alias(x) for x in xs(d)])
+    flagged, plan = mark_core(wide, spec)
+    dense = durable(flagged.select("point_id", *xs(d), *ks(d), "is_core"))
+    turns = plan.colours(d)
+    taken = dense.sparkSession.createDataFrame([], "point_id bigint, centre bigint")
+    dealt = durable(blocks.to_blocks(dense, plan))
+
+    def pick(part: pa.Table) -> pa.Table:
+        column = lambda c: part.column(c).combine_chunks().to_numpy(zero_copy_only=False)
+        c = blocks.Cells(part, d)
+        may = (column("is_core") & column("home") & ~column("absorbed"))[c.order]
+        centre = np.full(len(c.ids), -1, np.int64)
+        free = ~column("absorbed")[c.order]
+        for cell in np.unique(c.cell[may]):
+            near = c.tree.query(c.grid[[cell]], spec.reach(d), with_self=True)[1]
+            around = np.concatenate([np.arange(c.first[o], c.first[o] + c.count[o]) for o in near])
+            for p in range(c.first[cell], c.first[cell] + c.count[cell]):
+                if may[p] and free[p]:
+                    diff = c.x[around] - c.x[p]
+                    ball = around[(np.einsum("ij,ij->i", diff, diff) <= spec.eps**2) & free[around]]
+                    centre[ball], free[ball] = c.ids[p], False
+        hit = centre >= 0
+        return pa.table({"point_id": pa.array(c.ids[hit]), "centre": pa.array(centre[hit])})
+
+    for blocks_of_turn in turns:
+        own = dealt.where(F.col("block").isin([int(b) for b in blocks_of_turn])) if len(turns) > 1 else dealt
+        now = own.join(taken.select("point_id", F.lit(True).alias("absorbed")), "point_id", "left").withColumn("absorbed", F.coalesce("absorbed", F.lit(False)))
+        found = now.groupBy("block").applyInArrow(pick, "point_id bigint, centre bigint")
+        # blocks of a turn may reach one point from two sides
+        taken = durable(taken.unionByName(found.groupBy("point_id").agg(F.min("centre").alias("centre"))))
+    return taken
+
+
+def centre_pairs(centres: DataFrame, radius: int, search: str = "index") -> tuple[DataFrame, DataFrame]:
+    """(i, j), i < j, of centres at most ``radius`` apart, and a row with the number of pairs looked at.
+
+    ``linear`` compares every centre with every other, ``index`` those in
+    neighbouring bins of the radius.
+    """
+    d = dims(centres)
+    left, right = centres.select(F.col("point_id").alias("i"), *xs(d)), _others(centres, "j")
+    if search == "linear":
+        n = centres.agg((F.count(F.lit(1)) * (F.count(F.lit(1)) - 1) / 2).cast("bigint").alias("looked_at"))
+        return left.join(right, (F.col("i") < F.col("j")) & (square(d) <= radius * radius)).select("i", "j"), n
+    binned = range(1, min(d, 3) + 1)
+    for j in binned:
+        left = left.withColumn(f"g{j}", F.floor(F.col(f"x{j}") / radius))
+        right = right.withColumn(f"g{j}", F.explode(F.sequence(F.floor(F.col(f"y_x{j}") / radius) - 1, F.floor(F.col(f"y_x{j}") / radius) + 1)))
+    both = left.join(right, [f"g{j}" for j in binned]).where("i < j")
+    return both.where(square(d) <= radius * radius).select("i", "j"), both.agg(F.count(F.lit(1)).alias("looked_at"))
+
+
+def ball_block(ps: DataFrame, spec: ClusterSpec, gap: str = "pingpong", search: str = "linear") -> ClusterResult:
+    """Blocks are balls of radius eps / 2 with enough points; blocks with near centres are merged by a gap test.
+
+    Points outside of balls are core by their own count. With ``pingpong``
+    blocks may stay apart wrongly and an outer core point joins one cluster
+    only; with an exact gap test outer points are blocks of one and the result
+    is exact. ``search`` says how centres find each other: every one against
+    every other, or by an index. Counters have the pairs of centres looked at
+    as ``checks``.
+    """
+    exact, d = gap in gaptest.EXACT, dims(ps)
+    absorbed = _half_balls(ps, spec)
+    own = mark_core(ps, spec)[0].select(F.col("point_id").alias("id"), "is_core")
+    named = ps.select("point_id", *xs(d)).join(absorbed, "point_id", "left").join(own, F.col("point_id") == F.col("id"))
+    flagged = durable(named.select("point_id", *xs(d), (F.col("centre").isNotNull() | F.col("is_core")).alias("is_core"), F.coalesce("centre", F.col("point_id")).cast("string").alias("cell"), F.col("centre").isNotNull().alias("inner_core")))
     core = flagged.where("is_core")
-    mid = ps.join(core.select("cell").distinct().withColumn("point_id", F.col("cell").cast("bigint")), "point_id").select("point_id", *xs(d))
-    close = eps_pairs(mid, 2 * spec.eps, "cell").where("i < j").select(F.col("i").cast("string").alias("a"), F.col("j").cast("string").alias("b"))
-    inner = core.where("inner_core").select("cell").distinct()
-    if not exact:
-        close = close.join(inner.withColumnRenamed("cell", "a"), "a", "left_semi").join(inner.withColumnRenamed("cell", "b"), "b", "left_semi")
-    edges = pair_edges(core, close, spec.eps, gap)
-    if not exact:
-        # an outer core point goes to one block or outer point that it reaches
-        reach = near.join(core.where("NOT inner_core").select(F.col("point_id").alias("i"), F.col("cell").alias("a")), "i").join(core.select(F.col("point_id").alias("j"), F.col("cell").alias("b"), "inner_core"), "j").where("i <> j")
-        one = reach.groupBy("a").agg(F.min(F.struct(~F.col("inner_core"), F.col("b"))).alias("m")).select("a", F.col("m.b").alias("b"))
-        edges = edges.unionByName(one)
-    edges = durable(edges)
-    border = near.join(flagged.where("NOT is_core").select(F.col("point_id").alias("i")), "i").join(core.select(F.col("point_id").alias("j"), "cell"), "j").select(F.col("i").alias("point_id"), "cell").distinct()
-    return ClusterResult(finish(flagged, edges, durable(border)), flagged, _no_counters(ps))
-
-
-def ball_block_exact(ps: DataFrame, spec: ClusterSpec) -> ClusterResult:
-    return ball_block(ps, spec, gap="alternating_prune")
+    mid = core.where("inner_core").select(F.col("cell").cast("bigint").alias("point_id")).distinct().join(ps.select("point_id", *xs(d)), "point_id")
+    near, looked = centre_pairs(mid, 2 * spec.eps, search)
+    boxed = _boxed(core, near.select(F.col("i").cast("string").alias("a"), F.col("j").cast("string").alias("b")), spec.eps)
+    sure = boxed.where("sure").select("a", "b")
+    edges = sure.unionByName(pair_edges(core, boxed.where("NOT sure").select("a", "b"), spec.eps, gap)) if exact else pair_edges(core, boxed.select("a", "b"), spec.eps, gap)
+    # only outer core points and points that are no core ask for their neighbours
+    reach = within(core.where("NOT inner_core").select(F.col("cell").alias("a"), *xs(d)), core.select(F.col("cell").alias("b"), F.col("inner_core").alias("inner"), *[F.col(x).alias(f"y_{x}") for x in xs(d)]), spec.eps).where("a <> b")
+    if exact:
+        outer = reach.select("a", "b").distinct()
+    else:
+        outer = reach.groupBy("a").agg(F.min(F.struct(~F.col("inner"), F.col("b"))).alias("m")).select("a", F.col("m.b").alias("b"))
+    border = within(flagged.where("NOT is_core").select("point_id", *xs(d)), core.select("cell", *[F.col(x).alias(f"y_{x}") for x in xs(d)]), spec.eps).select("point_id", "cell").distinct()
+    counters = looked.select(F.lit("centres").alias("kind"), F.lit(None).cast("bigint").alias("point_id"), *[F.lit(None).cast("string").alias(c) for c in "ab"], F.col("looked_at").alias("checks"), *[F.lit(0).cast("bigint").alias(c) for c in ("skipped", "kappa", "distances", "pruned_triangle", "pruned_angle")])
+    return ClusterResult(finish(flagged, durable(edges.unionByName(outer)), durable(border)), flagged, counters, eps=spec.eps)
+
+
+def ball_block_exact(ps: DataFrame, spec: ClusterSpec, search: str = "index") -> ClusterResult:
+    return ball_block(ps, spec, gap="alternating_prune", search=search)
 
 
 def block_profile(result: ClusterResult) -> DataFrame:
@@ -213,20 +288,57 @@ def block_profile(result: ClusterResult) -> DataFrame:
 
 
 def local_ball(ps: DataFrame, spec: ClusterSpec) -> ClusterResult:
-    """Neighbours are sought only among the points of a ball of 2 eps around a chosen centre; exact."""
-    return pointwise(ps, spec, how="cell")
+    """A ball of 2 eps around one point of each cell holds the neighbours of all points of the cell: searches stay inside it; exact."""
+    d = dims(ps)
+    placed = durable(assign_cells(ps.select("point_id", *xs(d)), spec.eps).withColumn("cell", F.concat_ws(",", *ks(d))).select("point_id", *xs(d), "cell"))
+    centre = placed.groupBy("cell").agg(F.min(F.struct("point_id", *xs(d))).alias("m")).select(F.col("cell").alias("ball"), *[F.col(f"m.{x}").alias(x) for x in xs(d)])
+    balls = lambda points: within(centre, points, 2 * spec.eps).select("ball", "id", "cell", "is_core", *[f"y_{x}" for x in xs(d)])
+    right = lambda df, flag: df.select(F.col("point_id").alias("id"), "cell", flag.alias("is_core"), *[F.col(x).alias(f"y_{x}") for x in xs(d)])
+
+    def read(part: pa.Table) -> tuple:
+        x = np.stack([part.column(f"y_{c}").to_numpy() for c in xs(d)], axis=1).astype(np.int64)
+        cell = np.array(part.column("cell").to_pylist(), object)
+        return x, part.column("id").to_numpy(), cell, cell == part.column("ball")[0].as_py()
+
+    def count(part: pa.Table) -> pa.Table:
+        x, ids, _, home = read(part)
+        n = [int((np.square(x - x[p]).sum(axis=1) <= spec.eps**2).sum()) for p in np.flatnonzero(home)]
+        return pa.table({"id": pa.array(ids[home]), "core": pa.array([k >= spec.min_pts for k in n], pa.bool_())})
+
+    def reach(part: pa.Table) -> pa.Table:
+        x, ids, cell, home = read(part)
+        core, out = part.column("is_core").to_numpy(zero_copy_only=False), set()
+        for p in np.flatnonzero(home):
+            near = core & (np.square(x - x[p]).sum(axis=1) <= spec.eps**2)
+            out |= {(None, cell[p], c) for c in cell[near] if c > cell[p]} if core[p] else {(int(ids[p]), c, None) for c in cell[near]}
+        rows = sorted(out, key=str)
+        return pa.table({"point_id": pa.array([r[0] for r in rows], pa.int64()), "a": pa.array([r[1] for r in rows], pa.string()), "b": pa.array([r[2] for r in rows], pa.string())})
+
+    flags = balls(right(placed, F.lit(False))).groupBy("ball").applyInArrow(count, "id bigint, core boolean")
+    flagged = durable(placed.join(flags, F.col("point_id") == F.col("id")).select("point_id", *xs(d), "cell", F.col("core").alias("is_core")))
+    found = durable(balls(right(flagged, F.col("is_core"))).groupBy("ball").applyInArrow(reach, "point_id bigint, a string, b string"))
+    border = found.where("b IS NULL").select("point_id", F.col("a").alias("cell"))
+    return ClusterResult(finish(flagged, found.where("b IS NOT NULL").select("a", "b"), border), flagged, _no_counters(ps), eps=spec.eps)
 
 
 def sampled_expansion(ps: DataFrame, spec: ClusterSpec, reps: int = 4) -> ClusterResult:
-    """Only ``reps`` core points of a cell, the smallest ids, speak for it when cells are merged; may miss links."""
+    """Only ``reps`` points of a cell, the smallest ids, ask for their neighbours.
+
+    A sampled point with enough neighbours is core and takes them into its
+    cluster, sampled core points near each other share one; all others never
+    ask. May miss core points and links, never joins what is apart.
+    """
     from pyspark.sql import Window as W
 
-    base = run(ps, spec)
     d = dims(ps)
-    ranked = base.flagged.where("is_core").withColumn("r", F.row_number().over(W.partitionBy("cell").orderBy("point_id"))).where(F.col("r") <= reps)
-    links = eps_pairs(ranked.select("point_id", *xs(d)), spec.eps, "cell").where("i < j")
-    cell = ranked.select("point_id", "cell")
-    edges = links.join(cell.toDF("i", "a"), "i").join(cell.toDF("j", "b"), "j").where("a <> b").select("a", "b").distinct()
-    flagged = base.flagged
-    border = eps_pairs(ps, spec.eps, "cell").join(flagged.where("NOT is_core").select(F.col("point_id").alias("i")), "i").join(ranked.select(F.col("point_id").alias("j"), "cell"), "j").select(F.col("i").alias("point_id"), "cell").distinct()
-    return ClusterResult(finish(flagged, durable(edges), durable(border)), flagged, _no_counters(ps))
+    placed = assign_cells(ps.select("point_id", *xs(d)), spec.eps)
+    asked = placed.withColumn("r", F.row_number().over(W.partitionBy(*ks(d)).orderBy("point_id"))).where(F.col("r") <= reps)
+    pairs = durable(within(asked.select(F.col("point_id").alias("i"), *xs(d)), _others(ps, "j"), spec.eps).select("i", "j"))
+    core = durable(pairs.groupBy("i").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= spec.min_pts).select("i"))
+    taken = pairs.join(core, "i", "left_semi")
+    both = core.select(F.col("i").alias("j"))
+    edges = taken.join(both, "j", "left_semi").where("i < j").select(F.col("i").cast("string").alias("a"), F.col("j").cast("string").alias("b"))
+    border = taken.join(both, "j", "left_anti").select(F.col("j").alias("point_id"), F.col("i").cast("string").alias("cell")).distinct()
+    flagged = ps.select("point_id", *xs(d)).join(core.withColumn("core", F.lit(True)), F.col("point_id") == F.col("i"), "left")
+    flagged = durable(flagged.select("point_id", *xs(d), F.coalesce("core", F.lit(False)).alias("is_core"), F.col("point_id").cast("string").alias("cell")))
+    return ClusterResult(finish(flagged, edges, border), flagged, _no_counters(ps), eps=spec.eps)

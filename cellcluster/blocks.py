@@ -11,6 +11,7 @@ block's kernel answers for its own ("home") cells only.
 
 from __future__ import annotations
 
+from collections import deque
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -67,6 +68,33 @@ class BlockPlan:
         return tuple(np.concatenate(v) for v in zip(*done, strict=True)) if done else (row, node, home)
 
 
+    def boxes(self, d: int) -> tuple[np.ndarray, np.ndarray]:
+        """Lowest and highest cell of each block; open sides are very large numbers."""
+        far = 1 << 60
+        low, high = np.zeros((self.n_blocks, d), np.int64), np.zeros((self.n_blocks, d), np.int64)
+        stack = [(0, np.full(d, -far), np.full(d, far))]
+        while stack:
+            node, a, b = stack.pop()
+            if self.dim[node] < 0:
+                low[self.block[node]], high[self.block[node]] = a, b
+                continue
+            j, at = self.dim[node], self.at[node]
+            left, right = b.copy(), a.copy()
+            left[j], right[j] = at - 1, at
+            stack += [(self.low[node], a, left), (self.low[node] + 1, right, b)]
+        return low, high
+
+    def colours(self, d: int) -> list[np.ndarray]:
+        """Groups of blocks no two of which lie within the halo of each other."""
+        low, high = self.boxes(d)
+        colour = np.full(self.n_blocks, -1)
+        for k in range(self.n_blocks):
+            near = ((low[:k] <= high[k] + self.halo) & (high[:k] >= low[k] - self.halo)).all(axis=1)
+            used = set(colour[:k][near].tolist())
+            colour[k] = next(c for c in range(len(used) + 1) if c not in used)
+        return [np.flatnonzero(colour == c) for c in range(colour.max(initial=-1) + 1)]
+
+
 def _counted(cells: DataFrame, level: int, inside: DataFrame | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Lowest cells of the boxes of 2 ** level cells a side that hold points, and their counts."""
     d = cell_dims(cells)
@@ -254,16 +282,23 @@ def core_schema(d: int) -> str:
 LINKS = "kind string, point_id bigint, a string, b string, checks bigint, skipped bigint, kappa bigint, distances bigint, pruned_triangle bigint, pruned_angle bigint"
 
 
-def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix") -> Callable[[pa.Table], pa.Table]:
+def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix", trace: bool = False) -> Callable[[pa.Table], pa.Table]:
     """Edges of the forest over core cells, and cells that border points reach, of a block.
 
-    ``graph`` takes pairs of neighbouring core cells as a search would meet
-    them, ``sparse_first`` by ascending number of core points; both leave out
-    pairs that are joined already. A pair is tested by the block of its smaller
-    cell. ``boxes`` answers pairs by their boxes where these decide.
+    ``graph`` searches from each cell that has no component yet, neighbours by
+    ascending offset, and tests a neighbour only while it has none; so a pair
+    whose cells are both classified is left out. ``sparse_first`` goes through
+    the cells by ascending number of core points and leaves out pairs that are
+    joined. A pair belongs to the block of its smaller cell and is tested once.
+    ``boxes`` answers pairs by their boxes where these decide. With ``trace`` a
+    row tells the iterations and distances of each test.
     """
 
     def test(a: np.ndarray, b: np.ndarray) -> gaptest.GapVerdict:
+        if boxes and not rho and gap in gaptest.EXACT:
+            a, b = gaptest.clip(a, b, spec.eps + slack)
+            if not len(a) or not len(b):
+                return gaptest.GapVerdict(False)
         if rho:
             return gaptest.rho_count(a, b, spec.eps, rho)
         if slack:
@@ -275,39 +310,50 @@ def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", orde
         core = Cells(part.filter(pa.array(is_core)), d, tree)
         rest = part.filter(pa.array(~is_core))
         rows: list[tuple] = []
+        tests: list[tuple] = []
         name = lambda k: ",".join(map(str, core.grid[k]))
         forest = UnionFind(len(core.grid))
         total = np.zeros(6, np.int64)
         if len(core.grid):
             low, high = np.minimum.reduceat(core.x, core.first), np.maximum.reduceat(core.x, core.first)
-            pairs = [np.empty((0, 2), np.int64)]
-            for cell, other, _ in core.neighbours(np.flatnonzero(core.own), spec.reach(d)):
-                pairs.append(np.stack([cell[other > cell], other[other > cell]], axis=1))
-            pairs = np.concatenate(pairs)
+            found = [(np.empty((0, 2), np.int64), np.empty(0, np.int64))]
+            for cell, other, off in core.neighbours(np.flatnonzero(core.own), spec.reach(d)):
+                later = other > cell
+                found.append((np.stack([cell[later], other[later]], axis=1), off[later]))
+            pairs, offs = (np.concatenate(v) for v in zip(*found, strict=True))
             known = gaptest.box_test(low[pairs[:, 0]], high[pairs[:, 0]], low[pairs[:, 1]], high[pairs[:, 1]], spec.eps) if boxes and not rho and not slack and gap != "pingpong" else np.zeros(len(pairs), int)
-            pairs, known = pairs[known >= 0], known[known >= 0]
-            size = np.minimum(core.count[pairs[:, 0]], core.count[pairs[:, 1]])
-            # what the boxes answer comes first, as it is free
-            turn = np.lexsort((pairs[:, 1], pairs[:, 0], size if order == "sparse_first" else np.zeros(len(pairs), int), -known))
-            for k in turn:
-                i, j = int(pairs[k, 0]), int(pairs[k, 1])
-                if forest.find(i) == forest.find(j):
-                    total[1] += 1
-                    continue
-                if known[k] == 1:
-                    yes = True
-                else:
-                    a, b = (core.x[core.first[s] : core.first[s] + core.count[s]] for s in (i, j))
-                    v = test(a, b)
-                    yes = v.yes
-                    total += (1, 0, 0, v.distances, v.pruned_triangle, v.pruned_angle)
+            pairs, offs, known = pairs[known >= 0], offs[known >= 0], known[known >= 0]
+
+            def joined(i: int, j: int, sure: bool) -> bool:
+                """Whether the cells hold a pair within eps; counted unless the boxes tell."""
+                if not sure:
+                    v = test(*(core.x[core.first[s] : core.first[s] + core.count[s]] for s in (i, j)))
+                    total[[0, 3, 4, 5]] += (1, v.distances, v.pruned_triangle, v.pruned_angle)
                     total[2] = max(total[2], v.iterations)
-                if yes and forest.join(i, j):
-                    rows.append(("edge", None, name(i), name(j)))
+                    if trace:
+                        tests.append((name(i), name(j), v.iterations, v.distances, v.pruned_triangle, v.pruned_angle))
+                    if not v.yes:
+                        return False
+                forest.join(i, j)
+                rows.append(("edge", None, name(i), name(j)))
+                return True
+
+            if order == "graph":
+                _search(len(core.grid), pairs, offs, known, joined)
+            else:
+                rank = np.empty(len(core.grid), np.int64)
+                rank[np.lexsort((np.arange(len(core.grid)), core.count))] = np.arange(len(core.grid))
+                early, late = (f(rank[pairs[:, 0]], rank[pairs[:, 1]]) for f in (np.minimum, np.maximum))
+                # what the boxes answer comes first, as it is free
+                for k in np.lexsort((late, offs, early, -known)):
+                    i, j = int(pairs[k, 0]), int(pairs[k, 1])
+                    if forest.find(i) != forest.find(j):
+                        joined(i, j, known[k] == 1)
+            total[1] = len(pairs) - int((known == 1).sum()) - total[0]
             if rest.num_rows:
                 rows += _border(spec, d, core, Cells(rest, d), forest, name)
         counters = ("counters", None, None, None, *map(int, total))
-        rows = [(*r, 0, 0, 0, 0, 0, 0) for r in rows] + [counters]
+        rows = [(*r, 0, 0, 0, 0, 0, 0) for r in rows] + [("test", None, a, b, 1, 0, *v) for a, b, *v in tests] + [counters]
         kinds = (pa.string(), pa.int64(), pa.string(), pa.string(), *[pa.int64()] * 6)
         names = [f.split()[0] for f in LINKS.split(", ")]
         return pa.table({n: pa.array(list(v), t) for n, v, t in zip(names, zip(*rows, strict=True), kinds, strict=True)})
@@ -315,6 +361,26 @@ def merge_kernel(spec: ClusterSpec, d: int, gap: str = "alternating_prune", orde
     return run
 
 
+def _search(n: int, pairs: np.ndarray, offs: np.ndarray, known: np.ndarray, joined: Callable[[int, int, bool], bool]) -> None:
+    """Breadth-first from the smallest cell without a component, over both directions of the pairs."""
+    ends = np.concatenate([pairs, pairs[:, ::-1]])
+    order = np.lexsort((ends[:, 1], np.r_[offs, offs], ends[:, 0]))
+    ends, sure = ends[order], np.r_[known, known][order] == 1
+    start = np.searchsorted(ends[:, 0], np.arange(n + 1))
+    seen = np.zeros(n, bool)
+    for s in range(n):
+        if seen[s] or start[s] == start[s + 1]:
+            continue
+        seen[s], queue = True, deque([s])
+        while queue:
+            c = queue.popleft()
+            for k in range(start[c], start[c + 1]):
+                o = int(ends[k, 1])
+                if not seen[o] and joined(min(c, o), max(c, o), bool(sure[k])):
+                    seen[o] = True
+                    queue.append(o)
+
+
 def _border(spec: ClusterSpec, d: int, core: Cells, rest: Cells, forest: UnionFind, name) -> list[tuple]:
     """For each home point that is no core, each local component that it reaches, named by its smallest cell."""
     own = np.flatnonzero(rest.own)

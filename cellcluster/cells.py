@@ -66,11 +66,19 @@ def partition_cells(cells: DataFrame, order: str = "range") -> DataFrame:
     return cells.repartitionByRange(*k).sortWithinPartitions(*k) if order == "range" else cells.repartition(*k)
 
 
-def check_cell_order(cells: DataFrame) -> DataFrame:
-    """Neighbouring rows of the ordered cells that do not grow lexicographically; empty if the order holds."""
-    k = ks(dims(cells))
-    ordered = cells.select(*k).distinct().withColumn("before", F.lag(F.struct(*k)).over(W.partitionBy(F.col("k1")).orderBy(*k[1:]) if len(k) > 1 else W.orderBy(*k)))
-    return ordered.where(F.col("before") >= F.struct(*k))
+def check_cell_order(ordered: DataFrame) -> DataFrame:
+    """Rows of an ordered result, as its partitions hold them, that stand behind a larger cell; empty if the order holds.
+
+    Rows are compared with the one before in their partition, first rows with
+    the largest cell of any partition before.
+    """
+    key = F.struct(*ks(dims(ordered)))
+    rows = ordered.select(key.alias("k"), F.spark_partition_id().alias("part"), F.monotonically_increasing_id().alias("at"))
+    inside = rows.withColumn("before", F.lag("k").over(W.partitionBy("part").orderBy("at")))
+    # one row a partition
+    ends = rows.groupBy("part").agg(F.min("k").alias("first"), F.max("k").alias("last"))
+    across = ends.withColumn("before", F.max("last").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)))
+    return inside.where("before > k").select("part", "k").unionByName(across.where("before > first").select("part", F.col("first").alias("k")))
 
 
 def radix_order(keys: np.ndarray) -> np.ndarray:

@@ -1,7 +1,7 @@
 """Exact density clustering on cells, and its variants.
 
-cell_exact       cells, prefix tree, core points, gap tests in the order of a graph search
-cell_exact_ldf   the same with pairs of few core points first, so more pairs are already joined
+cell_exact       cells, prefix tree, core points, gap tests as a graph search over core cells meets them
+cell_exact_ldf   the same with cells of few core points first, so more pairs are already joined
 cell_delta       gap tests that may answer yes up to eps + slack
 hash_grid_exact  cells that are only hashed, neighbours by template, the same exact gap test
 """
@@ -9,8 +9,9 @@ hash_grid_exact  cells that are only hashed, neighbours by template, the same ex
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import blocks
@@ -27,17 +28,52 @@ class ClusterResult:
     flagged: DataFrame
     counters: DataFrame
     plan: blocks.BlockPlan | None = None
+    eps: int = 0
+
+    tests: DataFrame | None = None
 
     def labels(self, rule: str = "min_cluster") -> DataFrame:
-        """One label a point; of several clusters of a border point the smallest."""
-        if rule != "min_cluster":
-            raise ValueError("borders.nearest_core gives labels by the nearest core point")
-        return self.membership.groupBy("point_id").agg(F.min("cluster_id").alias("cluster_id"), F.first("role").alias("role"))
+        """One label a point: of several clusters of a border point the smallest, or that of the nearest core point (``nearest_core``; of ties the smallest)."""
+        role = self.membership.groupBy("point_id").agg(F.min("cluster_id").alias("cluster_id"), F.first("role").alias("role"), F.count(F.lit(1)).alias("n"))
+        if rule == "min_cluster":
+            return role.drop("n")
+        if rule != "nearest_core":
+            raise ValueError("the rule is min_cluster or nearest_core")
+        # only border points of several clusters have a choice
+        d = dims(self.flagged)
+        several = role.where("n > 1").select("point_id").join(self.flagged.select("point_id", *xs(d)), "point_id")
+        core = self.membership.where("role = 'core'").join(self.flagged.select(F.col("point_id").alias("id"), *[F.col(x).alias(f"y_{x}") for x in xs(d)]), F.col("point_id") == F.col("id"))
+        core = core.select(*[f"y_{x}" for x in xs(d)], F.col("cluster_id").alias("own"))
+        near = within(several, core, self.eps).groupBy("point_id").agg(F.min(F.struct("sq", "own")).alias("m")).select(F.col("point_id").alias("id"), F.col("m.own").alias("own"))
+        return role.join(near, F.col("point_id") == F.col("id"), "left").select("point_id", F.coalesce("own", "cluster_id").alias("cluster_id"), "role")
 
     def merge_profile(self) -> DataFrame:
         """Gap tests done and left out, most iterations, distances, and points pruned by rule."""
         return self.counters.agg(F.sum("checks").alias("checks"), F.sum("skipped").alias("skipped"), F.max("kappa").alias("kappa"), F.sum("distances").alias("distances"), F.sum("pruned_triangle").alias("pruned_triangle"), F.sum("pruned_angle").alias("pruned_angle"))
 
+    def kappa_profile(self) -> DataFrame:
+        """Iterations, distances and pruned points of each pair of cells (a, b) that was tested; for runs with ``trace``."""
+        if self.tests is None:
+            raise ValueError("run with trace=True")
+        return self.tests.select("a", "b", "kappa", "distances", "pruned_triangle", "pruned_angle")
+
+
+def square(d: int, a: str = "", b: str = "y_") -> Column:
+    """Squared distance of x1, ... with one prefix to those with another."""
+    diff = [F.col(f"{a}x{j}") - F.col(f"{b}x{j}") for j in range(1, d + 1)]
+    return reduce(lambda s, t: s + t, [e * e for e in diff])
+
+
+def within(left: DataFrame, right: DataFrame, eps: int) -> DataFrame:
+    """Rows of ``left`` (x1, ...) and ``right`` (y_x1, ...) at most eps apart, with the squared distance sq: an equality join on bins of eps in up to three dimensions."""
+    d = dims(left)
+    binned = range(1, min(d, 3) + 1)
+    for j in binned:
+        left = left.withColumn(f"g{j}", F.floor(F.col(f"x{j}") / eps))
+        right = right.withColumn(f"g{j}", F.explode(F.sequence(F.floor(F.col(f"y_x{j}") / eps) - 1, F.floor(F.col(f"y_x{j}") / eps) + 1)))
+    both = left.join(right, [f"g{j}" for j in binned]).withColumn("sq", square(d))
+    return both.where(F.col("sq") <= eps * eps).drop(*[f"g{j}" for j in binned])
+
 
 def mark_core(ps: DataFrame, spec: ClusterSpec, plan: blocks.BlockPlan | None = None, tree: str = "prefix", at: list[int] | None = None) -> tuple[DataFrame, blocks.BlockPlan]:
     """Points with cells and is_core: one exchange with a halo, one kernel a block. A column ``weight`` of ``ps`` counts as so many points."""
@@ -62,16 +98,16 @@ def finish(flagged: DataFrame, edges: DataFrame, border: DataFrame, cell: str =
     return inside.unionByName(edge).unionByName(noise)
 
 
-def run(ps: DataFrame, spec: ClusterSpec, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix", plan: blocks.BlockPlan | None = None) -> ClusterResult:
+def run(ps: DataFrame, spec: ClusterSpec, gap: str = "alternating_prune", order: str = "graph", boxes: bool = True, slack: float = 0, rho: float = 0, tree: str = "prefix", plan: blocks.BlockPlan | None = None, trace: bool = False) -> ClusterResult:
     d = dims(ps)
     flagged, plan = mark_core(ps, spec, plan, tree)
     flagged = durable(flagged)
     # halo points that are no core are of no use to another block
     dealt = blocks.to_blocks(flagged.select("point_id", *xs(d), *ks(d), "is_core"), plan).where("is_core OR home")
-    found = durable(dealt.groupBy("block").applyInArrow(blocks.merge_kernel(spec, d, gap, order, boxes, slack, rho, tree), blocks.LINKS))
+    found = durable(dealt.groupBy("block").applyInArrow(blocks.merge_kernel(spec, d, gap, order, boxes, slack, rho, tree, trace), blocks.LINKS))
     marked = flagged.withColumn("cell", F.concat_ws(",", *ks(d)))
     membership = finish(marked, found.where("kind = 'edge'"), found.where("kind = 'border'").select("point_id", F.col("a").alias("cell")))
-    return ClusterResult(membership, marked, found.where("kind = 'counters'"), plan)
+    return ClusterResult(membership, marked, found.where("kind = 'counters'"), plan, spec.eps, found.where("kind = 'test'") if trace else None)
 
 
 def cell_exact(ps: DataFrame, spec: ClusterSpec, **how) -> ClusterResult:

@@ -75,33 +75,22 @@ def alternating_prune(a: np.ndarray, b: np.ndarray, eps: float, start: str | int
         k = int(np.square(a - np.clip(a, b.min(axis=0), b.max(axis=0))).sum(axis=1).argmin())
     else:
         k = 0 if start == "first" else int(start)
-    p = a[k]
-    while len(a) and len(b):
-        out.iterations += 1
-        near = _square(b, p)
-        out.distances += len(b)
-        q = b[int(near.argmin())]
+    sides, pivot, turn = [a, b], a[k], 0
+    while len(sides[0]) and len(sides[1]):
+        own, others = sides[turn], sides[1 - turn]
+        out.iterations += turn == 0
+        near = _square(others, pivot)
+        found = others[int(near.argmin())]
+        out.distances += len(others)
         if near.min() <= limit:
             out.yes = True
             return out
-        stay, tri, ang = prune(a, b, p, q, eps, rules)
-        out.distances += len(a) + len(b)
+        stay, tri, ang = prune(own, others, pivot, found, eps, rules)
+        out.distances += len(own) + len(others)
         out.pruned_triangle += tri
         out.pruned_angle += ang
-        a = a[stay]
-        if not len(a):
-            return out
-        near = _square(a, q)
-        out.distances += len(a)
-        p = a[int(near.argmin())]
-        if near.min() <= limit:
-            out.yes = True
-            return out
-        stay, tri, ang = prune(b, a, q, p, eps, rules)
-        out.distances += len(a) + len(b)
-        out.pruned_triangle += tri
-        out.pruned_angle += ang
-        b = b[stay]
+        sides[turn] = own[stay]
+        pivot, turn = found, 1 - turn
     return out
 
 
@@ -242,7 +231,9 @@ def _front(low: np.ndarray, high: np.ndarray, eps: float, j: int) -> GapVerdict:
 
     A disc that lies nowhere above the discs of both its neighbours on the front
     is off it: its centre is dominated by one that is as near in the column and
-    higher. What is left is asked by bisection.
+    higher. Where neighbours of the front cross, the highest disc changes: a
+    point asks the one of its column, found by bisection, and the two beside it,
+    as crossings are rounded.
     """
     out = GapVerdict(False, 1)
     order = np.lexsort((-low[:, j], low[:, 1 - j]))
@@ -252,11 +243,11 @@ def _front(low: np.ndarray, high: np.ndarray, eps: float, j: int) -> GapVerdict:
     on = _upper_front(u, v, eps)
     u, v = u[on], v[on]
     x, y = high[:, 1 - j], high[:, j]
-    a, b = np.searchsorted(u, x - eps), np.searchsorted(u, x + eps, side="right")
-    n = b - a
-    at = np.repeat(a, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-    out.distances += int(n.sum())
-    out.yes = bool(((u[at] - np.repeat(x, n)) ** 2 + (v[at] - np.repeat(y, n)) ** 2 <= eps * eps).any())
+    cross = np.maximum.accumulate([_meet(u, v, k, k + 1, eps) for k in range(len(u) - 1)]) if len(u) > 1 else np.empty(0)
+    own = np.searchsorted(cross, x)
+    at = np.clip(own[:, None] + np.arange(-1, 2), 0, len(u) - 1)
+    out.distances += at.size
+    out.yes = bool(((u[at] - x[:, None]) ** 2 + (v[at] - y[:, None]) ** 2 <= eps * eps).any())
     return out
 
 
@@ -280,34 +271,59 @@ def _meet(u: np.ndarray, v: np.ndarray, x: int, y: int, eps: float) -> float:
 
 
 def sub_cells(points: np.ndarray, low: np.ndarray, side: float, levels: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Halved sub-cells of one cell: for each level the distinct identifiers, and the identifier of the parent in the level above."""
-    out = []
-    for level in range(levels + 1):
-        own = np.floor((points - low) / (side / 2**level)).astype(np.int64)
-        out.append(np.unique(own, axis=0))
-    return out
+    """Halved sub-cells of one cell: for each level the distinct identifiers in order, and where the children of each begin in the next."""
+    finest = np.unique(np.floor((points - low) / (side / 2**levels)).astype(np.int64), axis=0)
+    each = [finest >> (levels - level) for level in range(levels + 1)]
+    # children of one node side by side, on all levels
+    order = np.lexsort([k[:, j] for k in reversed(each) for j in range(points.shape[1])])
+    cut, out = np.zeros(len(order), bool), []
+    cut[:1] = True
+    for keys in each:
+        keys = keys[order]
+        cut[1:] |= (keys[1:] != keys[:-1]).any(axis=1)
+        out.append((keys[cut], np.flatnonzero(cut)))
+    return [(keys, np.searchsorted(out[level + 1][1], np.r_[at, len(order)]) if level < levels else np.zeros(len(keys) + 1, np.int64)) for level, (keys, at) in enumerate(out)]
 
 
 def rho_count(a: np.ndarray, b: np.ndarray, eps: float, rho: float, side: float | None = None) -> GapVerdict:
-    """Approximate: yes if some point of ``a`` touches, within eps, a finest sub-cell of ``b``, or holds one inside eps (1 + rho).
+    """Approximate: yes if some point of ``a`` has a sub-cell of ``b`` within its reach, by descent from the whole cell.
 
-    Yes up to eps, no beyond eps (1 + rho), either way in between but always the same way.
+    A sub-cell that lies beyond eps is left with all below it, one that lies
+    wholly inside eps (1 + rho) is enough, and of the finest ones touching is.
+    Yes up to eps, no beyond eps (1 + rho), either way in between but always the
+    same way. Counts the sub-cells looked at as distances.
     """
     d = a.shape[1]
     side = eps / math.sqrt(d) if side is None else side
     levels = max(0, math.ceil(math.log2(1 / rho))) if rho < 1 else 0
     low, out = b.min(axis=0).astype(float), GapVerdict(False, 1)
-    finest = side / 2**levels
-    boxes = np.unique(np.floor((b - low) / finest).astype(np.int64), axis=0) * finest + low
-    for p in a:
-        out.distances += len(boxes)
-        near = np.square(np.maximum(np.maximum(boxes - p, p - boxes - finest), 0)).sum(axis=1)
-        if (near <= eps * eps).any():
-            out.yes = True
-            break
+    tree = sub_cells(b, low, side, levels)
+    for k in range(0, len(a), 256):
+        part = a[k : k + 256]
+        point, box = np.divmod(np.arange(len(part) * len(tree[0][0])), len(tree[0][0]))
+        for level, (keys, child) in enumerate(tree):
+            own = side / 2**level
+            at, p = keys[box] * own + low, part[point]
+            out.distances += len(point)
+            near = np.square(np.maximum(np.maximum(at - p, p - at - own), 0)).sum(axis=1) <= eps * eps
+            inside = np.square(np.maximum(np.abs(p - at), np.abs(p - at - own))).sum(axis=1) <= (eps * (1 + rho)) ** 2
+            if (near & (inside | (level == levels))).any():
+                out.yes = True
+                return out
+            point, box = point[near], box[near]
+            n = child[box + 1] - child[box]
+            point, box = np.repeat(point, n), np.repeat(child[box], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            if not len(point):
+                break
     return out
 
 
+def clip(a: np.ndarray, b: np.ndarray, eps: float) -> tuple[np.ndarray, np.ndarray]:
+    """The points of each set within eps of the other's box; no pair within eps is lost."""
+    near = lambda s, t: s[np.square(s - np.clip(s, t.min(axis=0), t.max(axis=0))).sum(axis=1) <= eps * eps]
+    return near(a, b), near(b, a)
+
+
 def box_test(low_a, high_a, low_b, high_b, eps: float) -> np.ndarray:
     """For rows of boxes: -1 if they are farther apart than eps, 1 if their farthest corners are within eps, 0 if open."""
     near = np.square(np.maximum(np.maximum(low_a - high_b, low_b - high_a), 0)).sum(axis=-1)

@@ -77,10 +77,16 @@ def within_ball(ps: DataFrame, centre: list[int], radius: int) -> DataFrame:
 
 
 def collapse_duplicates(ps: DataFrame) -> DataFrame:
-    """One row for each place: the smallest point_id and the number of points as weight."""
+    """One row for each place: the smallest point_id and the number of points as weight, which core counts honour."""
     return ps.groupBy(*xs(dims(ps))).agg(F.min("point_id").alias("point_id"), F.count(F.lit(1)).alias("weight")).select("point_id", *xs(dims(ps)), "weight")
 
 
+def expand_duplicates(membership: DataFrame, ps: DataFrame, collapsed: DataFrame) -> DataFrame:
+    """The membership of all points of ``ps`` from that of the places in ``collapsed``; clusters keep their names, as a place is named by its smallest point."""
+    place = collapsed.select(F.col("point_id").alias("at"), *xs(dims(ps)))
+    return ps.join(place, xs(dims(ps))).select("point_id", "at").join(membership.withColumnRenamed("point_id", "at"), "at").select("point_id", "cluster_id", "role")
+
+
 def planning_sample(df: DataFrame, one_in: int, key: str = "point_id") -> DataFrame:
     """A repeatable share of the rows, for planning only."""
     return df.where(F.pmod(F.col(key), F.lit(one_in)) == 0)
