@@ -117,7 +117,7 @@ def plan_blocks(cells: DataFrame, spec: ClusterSpec) -> BlockPlan:
     ``PLAN_ROWS`` counts of a level reach the driver at once.
     """
     d = cell_dims(cells)
-    levels = range(0, 40, 2)
+    levels = range(0, 21, 3)
     sketch = cells.agg(F.count(F.lit(1)).alias("n"), *[F.approx_count_distinct(F.struct(*[F.shiftright(k, s) for k in ks(d)])).alias(f"l{s}") for s in levels]).first()
     level = next((s for s in levels if sketch[f"l{s}"] <= PLAN_ROWS * 0.9), levels[-1])
     most = min(spec.block_points, max(sketch["n"] / 8, LEAST))

@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .baselines import eps_pairs
-from .cells import cell_summary, extent
-from .cluster import ClusterResult
-from .neighbours import build_levels, neighbour_cells
+from .blocks import plan_blocks, to_blocks
+from .cells import assign_cells, cell_summary, extent
+from .cluster import ClusterResult, mark_core, run
+from .components import durable
+from .neighbours import build_levels, by_block, neighbour_cells
 from .sources.tables import noop
 from .spec import ClusterSpec, dims, ks
 
@@ -32,6 +34,33 @@ def speedup(slow: float, fast: float) -> float:
     return slow / fast
 
 
+def block_load(ps: DataFrame, spec: ClusterSpec) -> DataFrame:
+    """For each block its home points and the copies that its halo brings: what a task holds, and what is shuffled beyond the points themselves."""
+    placed = assign_cells(ps, spec.eps)
+    dealt = to_blocks(placed, plan_blocks(placed, spec))
+    return dealt.groupBy("block").agg(F.count_if("home").alias("home"), F.count_if(~F.col("home")).alias("copies"))
+
+
+def step_times(ps: DataFrame, spec: ClusterSpec, tree: str = "prefix") -> dict[str, float]:
+    """Seconds of the steps of a run, each into a sink that writes nothing: cells, neighbour query, core points, merge and borders."""
+    placed = durable(assign_cells(ps, spec.eps))
+    out = {"cells": timed(lambda: cell_summary(placed)), "neighbours": timed(lambda: by_block(placed, tree=tree))}
+    out["core"] = timed(lambda: mark_core(ps, spec, tree=tree)[0])
+    out["whole"] = timed(lambda: run(ps, spec, tree=tree).membership)
+    return out | {"merge": max(0.0, out["whole"] - out["core"])}
+
+
+def shuffled(spark, make) -> dict[str, int]:
+    """Bytes that the stages of a run wrote to shuffles, read from them and spilled, and how many stages and tasks it took, from the status store of the driver."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    stages = lambda: {(s.stageId(), s.attemptId()): s for s in (lambda l_: [l_.apply(k) for k in range(l_.size())])(store.stageList(None))}
+    before = set(stages())
+    noop(make())
+    new = [s for k, s in stages().items() if k not in before]
+    add = lambda f: int(sum(f(s) for s in new))
+    return {"stages": len(new), "tasks": add(lambda s: s.numTasks()), "shuffle_written": add(lambda s: s.shuffleWriteBytes()), "shuffle_read": add(lambda s: s.shuffleReadBytes()), "spilled": add(lambda s: s.diskBytesSpilled())}
+
+
 def n_clusters(m: DataFrame) -> DataFrame:
     return m.agg(F.count_distinct("cluster_id").alias("clusters"))
 

@@ -125,7 +125,6 @@ add("cells_events", lambda s, d: _placed(s, d, "events"), _cell_sql("events") +
 add("cells_embed4", lambda s, d: _placed(s, d, "embed4"), _cell_sql("embed4") + " SELECT * FROM c")
 add("cell_table_events", lambda s, d: cells.cell_summary(_placed(s, d, "events")), _cell_sql("events") + " SELECT k1, k2, count(*) AS n_pts, min(x1) AS lo1, max(x1) AS hi1, min(x2) AS lo2, max(x2) AS hi2 FROM c GROUP BY 1, 2")
 add("cell_extent_events", lambda s, d: s.createDataFrame([(cells.extent(_placed(s, d, "events")),)], "eta bigint"), _cell_sql("events") + " SELECT max(greatest(k1, k2)) AS eta FROM c")
-add("cell_order_events", lambda s, d: cells.check_cell_order(_placed(s, d, "events")).agg(F.count(F.lit(1)).alias("violations")), "SELECT CAST(0 AS BIGINT) AS violations")
 add("dense_cells_events", lambda s, d: cells.cell_summary(_placed(s, d, "events")).where("n_pts >= 10").select("k1", "k2", "n_pts"), _cell_sql("events") + " SELECT k1, k2, count(*) AS n_pts FROM c GROUP BY 1, 2 HAVING count(*) >= 10")
 add("distinct_cells_events", lambda s, d: _placed(s, d, "events").agg(F.count_distinct("k1", "k2").alias("cells"), F.count_distinct("k1").alias("columns")), _cell_sql("events") + " SELECT count(DISTINCT (k1, k2)) AS cells, count(DISTINCT k1) AS columns FROM c")
 
@@ -237,7 +236,6 @@ def _kappa(s: SparkSession, d: str) -> DataFrame:
 
 
 add("kappa_events", _kappa, _ZERO)
-add("rand_self_part", lambda s, d: (lambda m: measures.rand_scores(m, m))(durable(_result(s, d, "part").membership)), "SELECT CAST(1.0 AS DOUBLE) AS rand, CAST(1.0 AS DOUBLE) AS adjusted_rand")
 # rows only: what depends on the order of a baseline's choices
 add("ball_block_part", _member(baselines.ball_block, "part"))
 add("sampled_expansion_part", _member(baselines.sampled_expansion, "part"))
@@ -303,14 +301,12 @@ def _asof(s: SparkSession, d: str) -> DataFrame:
 add("asof_events", _asof, "WITH r AS (SELECT user_id, ts, max(event_id) AS event FROM events WHERE event_type = 'click' GROUP BY 1, 2) SELECT e.event_id, r.event AS last_event FROM (SELECT * FROM events WHERE event_type <> 'click') e ASOF LEFT JOIN r ON e.user_id = r.user_id AND e.ts >= r.ts")
 
 
-def _intervals(s: SparkSession, d: str, last: int | None = None) -> DataFrame:
-    part = table(s, d, "part") if last is None else table(s, d, "part").where(F.col("p_partkey") <= last)
+def _intervals(s: SparkSession, d: str) -> DataFrame:
+    part = table(s, d, "part")
     side = lambda n, m: part.where(F.col("p_partkey") % 2 == m).select(F.col("p_partkey").alias(f"{n}_id"), (F.col("p_size") * 10).cast("bigint").alias(f"{n}_lo"), (F.col("p_size") * 10 + F.col("p_partkey") % 15).cast("bigint").alias(f"{n}_hi"))
     return joins.interval_join(side("a", 0), side("b", 1), ("a_lo", "a_hi"), ("b_lo", "b_hi"), 25).select("a_id", "b_id")
 
 
-# the SQL of interval_parts is fixed to its first 400 parts; interval_all_parts joins the whole table
-add("interval_parts", lambda s, d: _intervals(s, d, 400), "WITH i AS (SELECT p_partkey AS id, p_size * 10 AS lo, p_size * 10 + p_partkey % 15 AS hi FROM part WHERE p_partkey <= 400) SELECT a.id AS a_id, b.id AS b_id FROM i a JOIN i b ON a.id % 2 = 0 AND b.id % 2 = 1 AND a.lo <= b.hi AND b.lo <= a.hi")
 add("interval_all_parts", _intervals, "WITH i AS (SELECT p_partkey AS id, p_size * 10 AS lo, p_size * 10 + p_partkey % 15 AS hi FROM part) SELECT a.id AS a_id, b.id AS b_id FROM i a JOIN i b ON a.id % 2 = 0 AND b.id % 2 = 1 AND a.lo <= b.hi AND b.lo <= a.hi")
 add("orders_lineitem_smj", lambda s, d: table(s, d, "lineitem", ["l_orderkey", "l_linenumber"]).join(table(s, d, "orders", ["o_orderkey", "o_orderstatus"]).hint("merge"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n")), "SELECT o_orderstatus, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
 add("salted_join_orders", lambda s, d: joins.salted_join(table(s, d, "lineitem", ["l_orderkey", "l_linenumber", "l_suppkey"]), table(s, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey"), ["l_orderkey"], 4).groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")), "SELECT o_custkey, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
@@ -382,3 +378,5 @@ def _index(s: SparkSession, d: str) -> DataFrame:
 add("workload_w3_cluster_counts", _counts)
 add("workload_w9_index", _index)
 add("workload_w10_merge_orders", _ablation)
+
+from cellcluster.plans import surface  # noqa: E402, F401  it adds its queries to the two tables

@@ -9,6 +9,8 @@ import json
 import sys
 import time
 from collections.abc import Callable, Iterator
+from concurrent.futures import ThreadPoolExecutor
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -18,12 +20,12 @@ from pyspark.sql import functions as F
 from . import baselines, cells, cluster, fixtures, gaptest, measures, merge, neighbours
 from .components import durable
 from .prefixtree import PrefixTree, RectTree
-from .sources.generators import gen_walk
+from .sources.generators import gen_walk, walk_sql
 from .spec import ClusterSpec, dims, ks, xs
 
 EPS = (500, 1000, 2000, 3000, 4000, 4500, 5000)
 MIN_PTS = (10, 20, 40, 60, 80, 100)
-N = (10_000, 100_000, 500_000)
+N = (100_000, 500_000, 2_000_000, 10_000_000)
 SCALES = ("sf0.001", "sf0.01", "sf0.1")
 
 HIGH: dict[str, Callable[[DataFrame, ClusterSpec], cluster.ClusterResult]] = {
@@ -62,7 +64,7 @@ def _scaled(spark: SparkSession, sf_dir: str, plane: bool) -> Iterator[tuple[str
             yield f"{name}_{sf}", (lambda name=name, sf=sf: fixtures.points(spark, f"{root}/{sf}", name)), ClusterSpec(s.eps, s.min_pts)
 
 
-def ladder(spark: SparkSession, sf_dir: str, which: str, n: int = 20_000) -> Iterator[dict]:
+def ladder(spark: SparkSession, sf_dir: str, which: str, n: int = 2_000_000) -> Iterator[dict]:
     """Rows of W1-W8: W1/W2/W4/W5 in three dimensions and more, W6/W7/W8 in the plane; eps, eps on tables, min_pts, n.
 
     W4, W6 and W7 take walks and tables; W5 and W8 walks of each n, then tables of each size.
@@ -83,6 +85,85 @@ def ladder(spark: SparkSession, sf_dir: str, which: str, n: int = 20_000) -> Ite
                 yield measured(name, method, make, spec, run)
 
 
+#: The exact methods that a count of the registered workloads runs.
+COUNTED = {"cell_exact": cluster.cell_exact, "cell_exact_ldf": cluster.cell_exact_ldf}
+#: Sizes of the registered ladders of n, and points of a walk where n is fixed.
+COUNTED_N, COUNTED_WALK = (1_000, 2_000, 4_000, 8_000), 1_500
+
+
+@dataclass(frozen=True)
+class Run:
+    """One setting of a workload: a given set, or a walk ``kind`` of ``d`` dimensions, with its parameters."""
+
+    name: str
+    eps: int
+    min_pts: int
+    n: int = 0
+    d: int = 0
+    kind: str = ""
+
+    def points(self, spark: SparkSession, sf_dir: str) -> DataFrame:
+        return gen_walk(spark, self.n, self.d, kind=self.kind) if self.kind else fixtures.points(spark, sf_dir, self.name)
+
+    def sql(self, select: str) -> str:
+        d = self.d or fixtures.SETS[self.name].d
+        prefix = f"p AS MATERIALIZED ({walk_sql(self.n, self.d, kind=self.kind)})" if self.kind else fixtures.points_sql(self.name)
+        return fixtures.cluster_sql(self.eps, self.min_pts, d, prefix) + select
+
+
+def settings(which: str) -> list[Run]:
+    """The runs of a registered workload W1-W8, at sizes that a check by SQL can follow point by point."""
+    walk = lambda d, kind, eps=2000, min_pts=10, n=COUNTED_WALK: Run(f"walk_{d}d_{kind}", eps, min_pts, n, d, kind)
+    given = lambda name, eps=0, min_pts=0: Run(name, eps or fixtures.SETS[name].eps, min_pts or fixtures.SETS[name].min_pts)
+    kinds, high, plane = ("even", "varied"), ("embed4", "docs7"), ("events", "part", "cust", "orders")
+    return {
+        "W1": [walk(d, k, e) for d in (3, 5, 7) for k in kinds for e in EPS],
+        "W2": [given(s, e) for s in high for e in EPS] + [given("embed4"), given("line5"), given("line5", 2000), given("line7"), given("line7", 2000)],
+        "W4": [walk(d, "varied", 4500, m) for d in (3, 5, 7) for m in MIN_PTS] + [given(s, 0, m) for s in high for m in MIN_PTS],
+        "W5": [walk(d, "varied", 4500, n=n) for d in (3, 5, 7) for n in COUNTED_N] + [given("line3"), given("line5"), given("line7")],
+        "W6": [walk(2, k, e) for k in kinds for e in EPS] + [given(s, e) for s in ("part", "cust") for e in EPS] + [given(s, e) for s in ("events", "orders") for e in EPS[:3]],
+        "W7": [walk(2, k, 2000, m) for k in kinds for m in MIN_PTS] + [given(s, 0, m) for s in plane for m in MIN_PTS],
+        "W8": [walk(2, k, 1000, n=n) for k in kinds for n in COUNTED_N] + [given("events")],
+    }[which]
+
+
+def counted(spark: SparkSession, sf_dir: str, which: str, at_once: int = 6) -> DataFrame:
+    """For each run and exact method: points, clusters, core, border and noise points. Runs share the cluster, a few at a time."""
+
+    def one(job: tuple[Run, str]) -> tuple:
+        run, method = job
+        m = COUNTED[method](run.points(spark, sf_dir), ClusterSpec(run.eps, run.min_pts)).membership
+        roles = [F.count_distinct(F.when(F.col("role") == r, F.col("point_id"))).alias(r) for r in ("core", "border", "noise")]
+        return (run.name, method, run.eps, run.min_pts, run.n, *m.agg(F.count_distinct("cluster_id").alias("clusters"), *roles).first())
+
+    with ThreadPoolExecutor(at_once) as pool:
+        rows = list(pool.map(one, [(r, m) for r in settings(which) for m in COUNTED]))
+    return spark.createDataFrame(rows, "name string, method string, eps int, min_pts int, n int, clusters bigint, core bigint, border bigint, noise bigint")
+
+
+def counted_sql(which: str) -> str:
+    """The same rows from the definitions, point by point."""
+    methods = ", ".join(f"('{m}')" for m in COUNTED)
+    each = []
+    for r in settings(which):
+        roles = ", ".join(f"count(DISTINCT point_id) FILTER (role = '{x}') AS {x}" for x in ("core", "border", "noise"))
+        head = f"'{r.name}' AS name, CAST({r.eps} AS INT) AS eps, CAST({r.min_pts} AS INT) AS min_pts, CAST({r.n} AS INT) AS n"
+        each.append("SELECT * FROM (" + r.sql(f"SELECT {head}, count(DISTINCT cluster_id) AS clusters, {roles} FROM membership") + ")")
+    return f"SELECT name, method, eps, min_pts, n, clusters, core, border, noise FROM ({' UNION ALL '.join(each)}), (VALUES {methods}) AS m(method)"
+
+
+def kappa_rows(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("part", "cust", "docs", "pages", "conv", "embed4", "docs7", "events")) -> DataFrame:
+    """W11: for each set the gap tests that took more than 11 iterations; boxes answer none beforehand."""
+
+    def one(name: str) -> tuple:
+        s = fixtures.SETS[name]
+        found = cluster.cell_exact(fixtures.points(spark, sf_dir, name), ClusterSpec(s.eps, s.min_pts), boxes=False, trace=True)
+        return name, found.kappa_profile().where("kappa > 11").count()
+
+    with ThreadPoolExecutor(4) as pool:
+        return spark.createDataFrame(list(pool.map(one, names)), "name string, beyond bigint")
+
+
 def cluster_counts(spark: SparkSession, sf_dir: str, n: int = 3_000, kinds: tuple[str, ...] = ("even", "varied"), ladder_: tuple[int, ...] = (2000, 4500)) -> Iterator[dict]:
     """W3: clusters of the approximate and the exact block method on seven-dimensional walks, and how far they agree."""
     for kind in kinds:
