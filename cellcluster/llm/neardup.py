@@ -34,8 +34,8 @@ from .wordhash import SPACED, mix, shingles, word_hashes
 
 WIDTH, PERMUTATIONS, ROWS = 5, 64, 4
 BANDS = 2 * PERMUTATIONS // ROWS
-#: The threshold as hundredths, and members of a block.
-PERCENT, BLOCK = 75, 256
+#: The threshold as hundredths, and members and shingles of a block on either side.
+PERCENT, BLOCK, BLOCK_SHINGLES = 75, 256, 1 << 19
 #: Buckets in which a pair at the threshold meets with a probability of 0.9995.
 LIKELY = 3
 
@@ -79,7 +79,7 @@ def _sketches(docs: DataFrame, text: str) -> DataFrame:
         def work(texts):
             for raw in texts:
                 s = shingle_set(raw)
-                yield len(s), _digest(s) if len(s) else None, bands(s).tolist() if len(s) else None
+                yield len(s), _digest(s) if len(s) else None, bands(s) if len(s) else None
 
         return work
 
@@ -93,7 +93,7 @@ def _payload(docs: DataFrame, text: str, active: DataFrame) -> DataFrame:
             for raw in texts:
                 s = shingle_set(raw)
                 v = _digest(s)
-                yield v, *np.frombuffer(v, np.int64).tolist(), len(s), s.view(np.int64).tolist(), bands(s).tolist() if len(s) else []
+                yield v, *np.frombuffer(v, np.int64).tolist(), len(s), s.view(np.int64), bands(s) if len(s) else np.empty(0, np.int64)
 
         return work
 
@@ -118,26 +118,33 @@ def _leader_links(buckets: DataFrame, payload: DataFrame, percent: int) -> DataF
 
 
 def _open(rows: DataFrame) -> DataFrame:
-    """Rows (key, v, comp) of the keys with several components, with the largest of these and the counts."""
-    each = rows.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"))
-    keys = each.groupBy("key").agg(F.max_by("comp", F.struct("n", "comp")).alias("largest"), F.sum("n").alias("size"), (F.sum("n") - F.max("n")).alias("minor"), F.count(F.lit(1)).alias("comps")).where("comps > 1").drop("comps")
-    return rows.join(keys, "key")
+    """Rows (key, v, comp, w) of the keys with several components, with the largest of these and how many rows and shingles (w) there are in all and outside it."""
+    each = rows.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"), F.sum("w").alias("w"))
+    most = F.max(F.struct("n", "comp", "w"))
+    keys = each.groupBy("key").agg(most.alias("most"), F.sum("n").alias("size"), F.sum("w").alias("weight"), F.count(F.lit(1)).alias("comps")).where("comps > 1")
+    keys = keys.select("key", F.col("most.comp").alias("largest"), "size", "weight", (F.col("size") - F.col("most.n")).alias("minor"), (F.col("weight") - F.col("most.w")).alias("minor_weight"))
+    # the counts are few rows of their own, so a frequent key can be split by the join
+    return rows.join(durable(keys), "key")
 
 
 def _block_links(percent: int):
     def links(part: pa.Table) -> pa.Table:
-        rows = part.to_pydict()
-        sets = [np.array(s, np.int64) for s in rows["set"]]
-        own = np.array(rows["bands"], np.int64)
-        n, c, comp, band = np.array(rows["n"]), np.array(rows["common"]), np.array(rows["comp"], object), rows["band"][0]
-        member = np.flatnonzero(~np.array(rows["minor_row"]))
+        column = lambda c: part.column(c).combine_chunks()
+        number = lambda c: column(c).to_numpy(zero_copy_only=False)
+        lists = column("set")
+        ends, flat_sets = lists.offsets.to_numpy() - lists.offsets[0].as_py(), lists.flatten().to_numpy()
+        sets = [flat_sets[a:b] for a, b in zip(ends, ends[1:], strict=False)]
+        own = column("bands").flatten().to_numpy().reshape(-1, BANDS)
+        n, c, minor, band = number("n"), number("common"), number("minor_row"), column("band")[0].as_py()
+        comp = np.array(column("comp").to_pylist(), object)
+        member = np.flatnonzero(~minor)
         out: set[tuple[bytes, bytes]] = set()
         if len(member):
-            big = np.array(rows["in_largest"])[member]
-            v = np.array(rows["v"], object)
+            big = number("in_largest")[member]
+            v = np.array(column("v").to_pylist(), object)
             flat = np.concatenate([sets[k] for k in member])
             begin = np.concatenate([[0], np.cumsum([len(sets[k]) for k in member])[:-1]])
-            for x in np.flatnonzero(np.array(rows["minor_row"])):
+            for x in np.flatnonzero(minor):
                 most = np.minimum(c[x], c[member])
                 ok = _similar(most, n[x], n[member], percent) & (comp[member] != comp[x])
                 # two outsiders meet twice in the grid; a pair of several bands is left to the first
@@ -154,16 +161,17 @@ def _block_links(percent: int):
 
 def _settle(buckets: DataFrame, labels: DataFrame, payload: DataFrame, percent: int) -> DataFrame:
     """Links (a, b) between components, for all pairs of the buckets that no earlier step compared or joined."""
-    rows = _open(buckets.join(labels, "v").select("key", "band", "v", "comp")).select("key", "band", "v", "comp")
+    rows = _open(buckets.join(labels, "v").select("key", "band", "v", "comp", F.lit(1).cast("bigint").alias("w"))).select("key", "band", "v", "comp")
     rows = durable(rows)
     still = payload.join(rows.select("v").distinct(), "v", "left_semi")
     # of a shingle that occurs once, the exclusive or of its owners is its owner
     owners = still.select("v1", "v2", F.explode("set").alias("s")).groupBy("s").agg(F.count(F.lit(1)).alias("k"), F.bit_xor("v1").alias("v1"), F.bit_xor("v2").alias("v2"))
     alone = owners.where("k = 1").groupBy("v1", "v2").agg(F.count(F.lit(1)).alias("alone"))
     common = still.select("v", "v1", "v2", "n").join(alone, ["v1", "v2"], "left").select("v", "n", (F.col("n") - F.coalesce("alone", F.lit(0))).alias("common"))
-    able = durable(common.where(100 * F.col("common") >= percent * F.col("n")).select("v", "common"))
-    rows = _open(rows.join(able, "v").select("key", "band", "v", "comp", "common"))
-    rows = rows.withColumns({"in_largest": F.col("comp") == F.col("largest"), "wide": F.ceil(F.col("size") / BLOCK).cast("int"), "high": F.ceil(F.col("minor") / BLOCK).cast("int")})
+    able = durable(common.where(100 * F.col("common") >= percent * F.col("n")).select("v", "common", F.col("n").alias("w")))
+    rows = _open(durable(rows.join(able, "v").select("key", "band", "v", "comp", "common", "w")))
+    parts = lambda count, weight: F.ceil(F.greatest(F.col(count) / BLOCK, F.col(weight) / BLOCK_SHINGLES)).cast("int")
+    rows = rows.withColumns({"in_largest": F.col("comp") == F.col("largest"), "wide": parts("size", "weight"), "high": parts("minor", "minor_weight")})
     spot = lambda n, seed: F.pmod(F.xxhash64(F.lit(seed), F.col("v")), F.col(n)).cast("int")
     upto = lambda n: F.sequence(F.lit(0), F.col(n) - 1)
     fields = ("key", "band", "v", "comp", "common", "in_largest")
@@ -182,12 +190,18 @@ def near_groups(docs: DataFrame, text: str = "text", percent: int = PERCENT) ->
     are linked with nothing and are kept. Rows repeated with the same doc_id and
     set are one document and give one row. Other columns are not read.
     """
+    return _groups(docs, text, percent).drop("v")
+
+
+def _groups(docs: DataFrame, text: str, percent: int) -> DataFrame:
+    """The same with v, the digest of the set, null for an empty one."""
     docs = docs.select("doc_id", F.col(text).alias("text"))
     each = durable(_sketches(docs, "text").dropDuplicates(["doc_id", "v"]))
     vertices = durable(each.where("v IS NOT NULL").groupBy("v").agg(F.min("doc_id").alias("doc_id"), F.first("bands").alias("bands")))
     keyed = vertices.select("v", F.posexplode("bands").alias("band", "key"))
     second = F.min_by("v", F.xxhash64("v"))
-    buckets = keyed.join(keyed.groupBy("key").agg(F.min("v").alias("first"), second.alias("second"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n"), "key")
+    shared = durable(keyed.groupBy("key").agg(F.min("v").alias("first"), second.alias("second"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n"))
+    buckets = keyed.join(shared, "key")  # both sides are read from files, so the rows of a frequent key can be split
     buckets = durable(buckets.select("key", "band", "v", "first", "second"))
     active = vertices.select("v", "doc_id").join(buckets.select("v").distinct(), "v", "left_semi")
     payload = durable(_payload(docs, "text", active))
@@ -201,13 +215,33 @@ def near_groups(docs: DataFrame, text: str = "text", percent: int = PERCENT) ->
     named = own.join(least, "comp").select("v", "component_id")
     out = each.join(named, "v", "left")
     component = F.when(F.col("v").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"), "v")
 
 
 def drop_near(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The rows of ``docs`` that stay, with all their columns."""
-    gone = durable(near_groups(docs, text)).where(~F.col("kept")).select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    """The rows of ``docs`` that stay, with all their columns.
+
+    Where a doc_id (or null) occurs with several texts, the digest of the set
+    tells its rows apart, so a unique text stays whatever its id; rows repeated
+    with the same doc_id and set become one.
+    """
+    groups = durable(_groups(docs, text, PERCENT))
+    if docs.count() == groups.select("doc_id").distinct().count():
+        gone = groups.where(~F.col("kept")).select(F.col("doc_id").alias("__gone"))
+        return docs.join(gone, docs["doc_id"].eqNullSafe(gone["__gone"]), "left_anti").select(docs.columns)
+
+    def make():
+        def work(texts):
+            for raw in texts:
+                s = shingle_set(raw)
+                yield (_digest(s) if len(s) else None,)
+
+        return work
+
+    whole = docs.select("doc_id", F.col(text).alias("text"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row"))
+    marked = add_columns(whole, "text", [field("__v", "binary")], make, ["doc_id", "__row"])
+    stay = groups.where("kept").select(F.col("doc_id").alias("__id"), F.col("v").alias("__kept"))
+    return marked.dropDuplicates(["doc_id", "__v"]).join(stay, F.col("doc_id").eqNullSafe(F.col("__id")) & F.col("__v").eqNullSafe(F.col("__kept")), "left_semi").select("__row.*")
 
 
 def op3_min_max(spark: SparkSession, sf_dir: str) -> DataFrame:

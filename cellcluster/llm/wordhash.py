@@ -44,7 +44,7 @@ def _powers(base: int, n: int) -> np.ndarray:
         return np.cumprod(out, dtype=np.uint64)
 
 
-_cache: dict[str, np.ndarray] = {"p": _powers(_P, 1 << 16), "i": _powers(_P_INV, 1 << 16)}
+_cache: dict[str, np.ndarray] = {"p": _powers(_P, 1 << 17), "i": _powers(_P_INV, 1 << 17)}
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -55,14 +55,30 @@ def mix(x: np.ndarray) -> np.ndarray:
         return x ^ (x >> np.uint64(31))
 
 
+#: Bytes of text that are hashed at a time; the tables of powers grow beyond it for a longer word only.
+STRETCH = 1 << 16
+
+
 def word_hashes(raw: bytes, table: bytes = SPACED) -> np.ndarray:
-    """A 64-bit hash for each word of the text, in order; the whole text counts."""
+    """A 64-bit hash for each word of the text, in order; the whole text counts, in stretches that end at a blank."""
     data = np.frombuffer(raw.translate(table), dtype=np.uint8)
+    if len(data) <= STRETCH:
+        return _hashes(data)
+    blank, out, a = np.flatnonzero(data == _BLANK), [], 0
+    while a < len(data):
+        k = int(np.searchsorted(blank, a + STRETCH))
+        b = int(blank[k]) if k < len(blank) else len(data)
+        out.append(_hashes(data[a:b]))
+        a = b
+    return np.concatenate(out)
+
+
+def _hashes(data: np.ndarray) -> np.ndarray:
     if not len(data):
         return np.empty(0, dtype=np.uint64)
-    if len(data) > len(_cache["p"]):
-        n = 1 << int(len(data)).bit_length()
-        _cache["p"], _cache["i"] = _powers(_P, n), _powers(_P_INV, n)
+    p, i = _cache["p"], _cache["i"]
+    if len(data) > len(p):
+        p, i = _powers(_P, len(data)), _powers(_P_INV, len(data))  # not kept
     inside = np.empty(len(data) + 2, dtype=np.int8)
     inside[0] = inside[-1] = 0
     inside[1:-1] = data != _BLANK
@@ -70,8 +86,8 @@ def word_hashes(raw: bytes, table: bytes = SPACED) -> np.ndarray:
     start, end = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
     with np.errstate(over="ignore"):
         total = np.zeros(len(data) + 1, dtype=np.uint64)
-        np.cumsum(_BYTE[data] * _cache["p"][: len(data)], out=total[1:])
-        return mix((total[end] - total[start]) * _cache["i"][start] + (end - start).astype(np.uint64))
+        np.cumsum(_BYTE[data] * p[: len(data)], out=total[1:])
+        return mix((total[end] - total[start]) * i[start] + (end - start).astype(np.uint64))
 
 
 def shingles(words: np.ndarray, width: int = 5) -> np.ndarray:
