@@ -26,6 +26,8 @@ from .spec import ClusterSpec, dims, ks, xs
 
 #: Rows of a count that travel to the driver, and fewest points worth a block of their own.
 PLAN_ROWS, LEAST = 200_000, 1_000
+#: Share of a box that a cut may copy if nothing but the number of tasks asks for it.
+CHEAP = 0.3
 
 
 class BlockPlan:
@@ -109,18 +111,21 @@ def cell_dims(cells: DataFrame) -> int:
 
 
 def plan_blocks(cells: DataFrame, spec: ClusterSpec) -> BlockPlan:
-    """Blocks of about ``block_points`` home points, never more where a cut is left.
-
-    A box is cut at its weighted median in the dimension that is widest; a box
-    of one cell stays whole, and a box is not cut below twice the reach in all
-    dimensions, as its halo would hold most of what it sheds. At most
-    ``PLAN_ROWS`` counts of a level reach the driver at once.
+    """Blocks of ``block_points`` home points at most where a cut is left, and of fewer where cuts are cheap.
+
+    Of all cuts that leave a fifth on either side, the one with the fewest points
+    within its halo is taken, so cuts go through gaps. A box of one cell stays
+    whole, and a box is not cut below twice the reach in all dimensions, as its
+    halo would hold most of what it sheds. Down to an eighth of all points,
+    boxes are cut for the sake of more tasks, but only where the halo is less
+    than ``CHEAP`` of the box. At most ``PLAN_ROWS`` counts of a level reach the
+    driver at once.
     """
     d = cell_dims(cells)
     levels = range(0, 21, 3)
     sketch = cells.agg(F.count(F.lit(1)).alias("n"), *[F.approx_count_distinct(F.struct(*[F.shiftright(k, s) for k in ks(d)])).alias(f"l{s}") for s in levels]).first()
     level = next((s for s in levels if sketch[f"l{s}"] <= PLAN_ROWS * 0.9), levels[-1])
-    most = min(spec.block_points, max(sketch["n"] / 8, LEAST))
+    most = spec.block_points, min(spec.block_points, max(sketch["n"] / 8, LEAST))
     plan, reach = BlockPlan(spec.reach(d)), spec.reach(d)
     keys, count = _counted(cells, level)
     open_ = [(plan.node(), keys, count, level)]
@@ -144,30 +149,34 @@ def plan_blocks(cells: DataFrame, spec: ClusterSpec) -> BlockPlan:
     return plan
 
 
-def _cut(plan: BlockPlan, node: int, keys: np.ndarray, count: np.ndarray, level: int, most: float, reach: int) -> list[tuple]:
+def _cut(plan: BlockPlan, node: int, keys: np.ndarray, count: np.ndarray, level: int, most: tuple[float, float], reach: int) -> list[tuple]:
     """Cuts the box of a node until its parts are small; returns the parts that need a finer count."""
     stack, finer = [(node, np.arange(len(keys)))], []
     while stack:
         node, rows = stack.pop()
-        if count[rows].sum() <= most:
+        whole = int(count[rows].sum())
+        if whole <= most[1]:
             plan.leaf(node)
             continue
         if len(rows) == 1 and level:
-            finer.append((node, keys[rows], count[rows], level))
+            if whole > most[0]:
+                finer.append((node, keys[rows], count[rows], level))
+            else:
+                plan.leaf(node)
             continue
-        wide = keys[rows].max(axis=0) - keys[rows].min(axis=0) + (1 << level)
-        found = None
-        for j in np.argsort(-wide):
-            if wide[j] <= max(2 * reach, 1 << level):
-                break
+        wide, found, least = keys[rows].max(axis=0) - keys[rows].min(axis=0) + (1 << level), None, None
+        for j in np.flatnonzero(wide > max(2 * reach, 1 << level)):
             order = np.argsort(keys[rows, j], kind="stable")
             v, total = keys[rows[order], j], np.cumsum(count[rows[order]])
             edge = np.flatnonzero(v[1:] != v[:-1])
-            if len(edge):
-                best = edge[np.abs(total[edge] - total[-1] / 2).argmin()]
-                found = int(j), int(v[best + 1])
-                break
-        if found is None:
+            fair = edge[(total[edge] >= whole / 5) & (total[edge] <= whole * 4 / 5)]
+            fair = fair if len(fair) else edge[[np.abs(total[edge] - whole / 2).argmin()]]
+            before = np.r_[0, total]
+            copied = before[np.searchsorted(v, v[fair + 1] + reach)] - before[np.searchsorted(v, v[fair + 1] - reach)]
+            k = int(copied.argmin())
+            if least is None or copied[k] < least:
+                least, found = int(copied[k]), (int(j), int(v[fair[k] + 1]))
+        if found is None or (whole <= most[0] and least > CHEAP * whole):
             plan.leaf(node)
             continue
         low, high = plan.cut(node, *found)

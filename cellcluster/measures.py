@@ -52,8 +52,12 @@ def step_times(ps: DataFrame, spec: ClusterSpec, tree: str = "prefix") -> dict[s
 
 def shuffled(spark, make) -> dict[str, int]:
     """Bytes that the stages of a run wrote to shuffles, read from them and spilled, and how many stages and tasks it took, from the status store of the driver."""
-    store = spark.sparkContext._jsc.sc().statusStore()
-    stages = lambda: {(s.stageId(), s.attemptId()): s for s in (lambda l_: [l_.apply(k) for k in range(l_.size())])(store.stageList(None))}
+    store, gateway = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext._gateway
+
+    def stages() -> dict:
+        found = store.stageList(None, False, False, gateway.new_array(gateway.jvm.double, 0), gateway.jvm.java.util.ArrayList())
+        return {(s.stageId(), s.attemptId()): s for s in (found.apply(k) for k in range(found.size()))}
+
     before = set(stages())
     noop(make())
     new = [s for k, s in stages().items() if k not in before]

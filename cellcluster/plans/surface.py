@@ -13,6 +13,7 @@ from cellcluster.plans import registry
 from cellcluster.plans.registry import add, spec_of
 from cellcluster.sources.tables import table
 from cellcluster.spec import ClusterSpec
+from cellcluster.streaming import events as streaming
 
 _with, _p, _cell_sql, _placed = registry._with, registry._p, registry._cell_sql, registry._placed
 
@@ -116,6 +117,16 @@ add("global_rank_orders", lambda s, d: points.global_rank(table(s, d, "orders",
 add("within_ball_orders", lambda s, d: points.within_ball(fixtures.points(s, d, "orders"), [50000, 50000], 20000), _p("orders", "SELECT * FROM p WHERE (x1 - 50000) * (x1 - 50000) + (x2 - 50000) * (x2 - 50000) <= 400000000"))
 add("denormalised_cust", lambda s, d: (lambda raw: points.denormalise(points.normalise(raw), points.bounds(raw)).select("point_id", F.round("f1", 3).alias("f1"), F.round("f2", 3).alias("f2")))(fixtures.raw(s, d, "cust")), _p("cust", "SELECT point_id, round(x1 * ((hi1 - lo1) / 100000) + lo1, 3) AS f1, round(x2 * ((hi2 - lo2) / 100000) + lo2, 3) AS f2 FROM p, ends"))
 
+
+
+def _expiring(s: SparkSession, d: str) -> DataFrame:
+    at = table(s, d, "events", ["event_id", "ts"])
+    ps = fixtures.points(s, d, "events").join(at, F.col("point_id") == F.col("event_id"))
+    return streaming.expiring_cells(ps, 1000, "6 hours", "2 hours").select(F.unix_seconds("start").alias("start"), "k1", "k2", "n_pts")
+
+
+add("expiring_cells_events", _expiring, _cell_sql("events") + " SELECT (CAST(epoch_us(ts) // 1000000 AS BIGINT) // 7200 - o) * 7200 AS start, k1, k2, count(*) AS n_pts FROM c JOIN events ON event_id = point_id, (SELECT unnest(range(3)) AS o) GROUP BY 1, 2, 3")
+
 # --- workloads ------------------------------------------------------------------------------------------
 for _w in ("W1", "W2", "W4", "W5", "W6", "W7", "W8"):
     add(f"workload_{_w.lower()}_counts", lambda s, d, w=_w: workloads.counted(s, d, w), workloads.counted_sql(_w))

@@ -107,3 +107,20 @@ def incremental_core(stream: DataFrame, spec: ClusterSpec, width: int) -> DataFr
 def stream_cells(stream: DataFrame, eps: int) -> DataFrame:
     """Counts of cells of a stream of points in the plane, origin 0."""
     return stream.withColumns({f"k{j}": exact_cell(F.col(f"x{j}"), eps, 2) for j in (1, 2)}).groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n_pts"))
+
+
+def expiring_cells(points: DataFrame, eps: int, horizon: str, slide: str, delay: str | None = None, ts: str = "ts") -> DataFrame:
+    """Counts of the cells of the points that a sliding horizon holds, plane, origin 0; batch and stream alike.
+
+    A point counts in every window that it lies in and expires with the last of
+    them. On a stream, ``delay`` sets a watermark: the state of a window goes
+    when the watermark passes its end, and rows later than that are left out.
+    """
+    rows = timed(points, ts) if delay is None else with_lateness(points, ts, delay)
+    placed = rows.withColumns({f"k{j}": exact_cell(F.col(f"x{j}"), eps, 2) for j in (1, 2)})
+    return placed.groupBy(F.window(ts, horizon, slide).alias("w"), "k1", "k2").agg(F.count(F.lit(1)).alias("n_pts")).select(F.col("w.start").alias("start"), "k1", "k2", "n_pts")
+
+
+def late_rows(query) -> int:
+    """Rows that the watermarks of a running or finished query left out, over its recent batches."""
+    return sum(op.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for op in p["stateOperators"])
