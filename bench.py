@@ -33,6 +33,7 @@ def headline(spark: SparkSession, sf_dir: str) -> dict:
         "planar_front_events": lambda: baselines.planar_front(ps("events"), ClusterSpec(1000, 40)).membership,
         "cell_exact_line3": lambda: cluster.cell_exact(ps("line3"), ClusterSpec(500, 20)).membership,
         "cell_exact_walk_2d_200k": lambda: cluster.cell_exact(walk(200_000, 2, "even"), ClusterSpec(500, 20)).membership,
+        "cell_exact_walk_2d_2m": lambda: cluster.cell_exact(walk(2_000_000, 2, "even"), ClusterSpec(500, 20)).membership,
         "cell_exact_ldf_walk_7d_100k": lambda: cluster.cell_exact_ldf(walk(100_000, 7, "varied"), ClusterSpec(2000, 20)).membership,
         "cell_exact_walk_7d_100k": lambda: cluster.cell_exact(walk(100_000, 7, "varied"), ClusterSpec(2000, 20)).membership,
         "grid_closest_pair_walk_7d_100k": lambda: baselines.grid_bcp(walk(100_000, 7, "varied"), ClusterSpec(2000, 20)).membership,
@@ -42,6 +43,10 @@ def headline(spark: SparkSession, sf_dir: str) -> dict:
     }
 
 
+def walk_(spark: SparkSession):
+    return gen_walk(spark, 1000, 2)
+
+
 def main() -> None:
     sf_dir, cpus = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"), os.environ.get("BENCH_CPUS", "8")
     root = os.path.dirname(os.path.abspath(__file__))
@@ -54,7 +59,9 @@ def main() -> None:
     queries = headline(spark, sf_dir)
     only = sys.argv[1:]
     times = {}
-    noop(spark.range(1000).mapInArrow(lambda b: b, "id bigint"))  # the first Python worker
+    # the first workers and plans of each kind are not timed
+    noop(cluster.cell_exact(walk_(spark), ClusterSpec(1000, 10)).membership)
+    noop(baselines.ball_block_exact(walk_(spark), ClusterSpec(1000, 10)).membership)
     for name, make in queries.items():
         if only and name not in only:
             continue
