@@ -16,6 +16,8 @@ from cellcluster.components import durable  # noqa: F401
 
 #: Bytes of text that a worker turns into Python objects at a time.
 PART_BYTES = 4 << 20
+#: Bytes and rows that travel to a worker at a time; the session's own settings count where they are smaller.
+BATCH_BYTES, BATCH_ROWS = 8 << 20, 2_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -58,10 +60,20 @@ def add_columns(df: DataFrame, text: str, fields: list[T.StructField], make: Cal
                     )
         finally:
             getattr(work, "done", lambda: None)()
+            pa.default_memory_pool().release_unused()  # the worker lives on
 
+    bounded_batches(df.sparkSession)
     return df.select(*[F.col(f"`{c}`") for c in kept], F.col(f"`{text}`").cast("string").alias("__text"), *[F.col(c).alias(f"__also{k}") for k, c in enumerate(also)]).mapInArrow(run, schema)
 
 
+def bounded_batches(spark: SparkSession) -> None:
+    """Lower the session's bounds on Arrow batches, which hold whole texts on both sides of the pipe to a worker."""
+    for name, most in (("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES), ("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)):
+        now = spark.conf.get(name).rstrip("b")
+        if not now.isdigit() or int(now) > most or int(now) <= 0:
+            spark.conf.set(name, most)
+
+
 def runs(texts: pa.Array, most: int) -> Iterator[tuple[int, int]]:
     """Stretches of the texts that hold about ``most`` bytes; a longer text is one by itself."""
     total = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
