@@ -208,10 +208,12 @@ def _groups(docs: DataFrame, text: str, percent: int) -> DataFrame:
     links = _leader_links(buckets, payload, percent)
     joined = durable(star_components(links, keep=durable))
     labels = durable(active.select("v").join(joined.select(F.col("vertex").alias("v"), "component"), "v", "left").select("v", F.coalesce("component", "v").alias("comp")))
-    later = star_components(_settle(buckets, labels, payload, percent), keep=durable).select(F.col("vertex").alias("comp"), "component")
+    # what joins by component is written first, so the members of a large one can be split
+    later = durable(star_components(_settle(buckets, labels, payload, percent), keep=durable).select(F.col("vertex").alias("comp"), "component"))
     labels = labels.join(later, "comp", "left").select("v", F.coalesce("component", "comp").alias("comp"))
     own = vertices.select("v", "doc_id").join(labels, "v", "left").select("v", "doc_id", F.coalesce("comp", "v").alias("comp"))
-    least = own.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
+    own = durable(own)
+    least = durable(own.groupBy("comp").agg(F.min("doc_id").alias("component_id")))
     named = own.join(least, "comp").select("v", "component_id")
     out = each.join(named, "v", "left")
     component = F.when(F.col("v").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
