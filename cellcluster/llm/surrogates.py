@@ -108,6 +108,11 @@ def with_entities(rows: DataFrame, text: str) -> DataFrame:
     return rows.withColumn("found", F.when(F.col("again").isNull(), F.col("found")).otherwise(F.regexp_extract_all(body, F.col("again"), F.lit(0))))
 
 
+def _is_name(m: Column) -> Column:
+    """Of all entities only names have neither a digit nor an @."""
+    return ~m.rlike("[0-9@]")
+
+
 def kind_of(m: Column) -> Column:
     out = F.lit("name")
     for kind in reversed([k for k in KINDS if k != "name"]):
@@ -170,39 +175,43 @@ def _luhn_sum(digits: Column, doubled_last: bool) -> Column:
     return F.aggregate(F.transform(F.filter(back, lambda c: c != ""), worth), F.lit(0), lambda a, x: a + x)
 
 
-def _drawn(word: Column, options: tuple[str, ...] | str, key: str, salt: Column, part: Column) -> Column:
-    return F.get(F.array(*map(F.lit, options)), F.pmod(_draw(key, salt, part, word), F.lit(len(options))).cast("int"))
+def _let(x: Column, use) -> Column:
+    """``use`` of a value that is worked out once."""
+    return F.element_at(F.transform(F.array(x), use), 1)
 
 
 def _name_word(value: Column, key: str, attempt: Column) -> Column:
     """The surrogate of a word of a name, with the mark that the word has."""
-    mark, word = F.substring_index(value, ":", 1), F.regexp_replace(value, "^[^:]*:", "")
-    salt = F.concat_ws("|", mark, attempt.cast("string"))
-    gender = F.substring(value, 3, 1)
-    draw = lambda options, part: _drawn(word, options, key, salt, F.lit(part))
-
-    def spelt(script: str, ending: Column | None = None) -> Column:
-        # later draws add syllables: one alphabet has few short names
-        parts = [draw(SYLLABLES[script], f"s{k}") for k in range(4)] + [F.when(attempt >= k, draw(SYLLABLES[script], f"x{k}")).otherwise("") for k in range(3, 12)]
-        return F.initcap(F.concat(*(parts if ending is None else [*parts[:2], *parts[4:], ending])))
-
-    def given(script: str) -> Column:
-        lists = {g: GIVEN[g, script] for g in "mf"} | {"a": (*GIVEN["m", script], *GIVEN["f", script])}
-        made = F.when(gender == "m", ENDINGS[script]["m"]).when(gender == "f", ENDINGS[script]["f"]).otherwise("")
-        listed = F.when(gender == "m", draw(lists["m"], "g")).when(gender == "f", draw(lists["f"], "g")).otherwise(draw(lists["a"], "g"))
-        return F.when(attempt < 2, listed).otherwise(spelt(script, made))
-
-    def characters(script: str) -> Column:
-        begin, more = CHARACTERS[script]
-        n = F.length(word) + F.when(attempt >= 3, attempt - 2).otherwise(0)
-        one = lambda i: F.when(i == 1, _drawn(word, begin, key, salt, F.lit("1"))).otherwise(_drawn(word, more, key, salt, i.cast("string")))
-        return F.array_join(F.transform(F.sequence(F.lit(1), n), one), "")
-
-    out = F.when(mark == _SURNAME, spelt("Latin")).otherwise(given("Latin"))
-    for script in (*[s for s in SYLLABLES if s != "Latin"], *CHARACTERS):
-        own = characters(script) if script in CHARACTERS else F.when(mark == _SURNAME, spelt(script)).otherwise(given(script) if script in ENDINGS else spelt(script))
-        out = F.when(word.rlike(rf"\p{{Is{script}}}"), own).otherwise(out)
-    return F.concat(mark, F.lit(":"), out)
+    mark, word, gender = F.substring_index(value, ":", 1), F.regexp_replace(value, "^[^:]*:", ""), F.substring(value, 3, 1)
+    salt, more = F.concat_ws("|", mark, attempt.cast("string")), F.greatest(attempt - 2, F.lit(0))
+    script = F.lit("Latin")
+    for name in (*[n for n in SYLLABLES if n != "Latin"], *CHARACTERS):
+        script = F.when(word.rlike(rf"\p{{Is{name}}}"), name).otherwise(script)
+    number = lambda part, size: F.pmod(_draw(key, salt, part, word), size).cast("int")
+
+    def made(script: Column) -> Column:
+        def own(options: dict[str, str]) -> Column:
+            out = F.lit("")
+            for name, text in options.items():
+                out = F.when(script == name, text).otherwise(out)
+            return out
+
+        def of_gender(of) -> Column:
+            return F.when(gender == "m", own(of("m"))).when(gender == "f", own(of("f"))).otherwise(own(of("a")))
+
+        # later draws add syllables or characters: one alphabet has few short names
+        parts = F.split(own({n: " ".join(v) for n, v in SYLLABLES.items()}), " ")
+        spelt = lambda n: F.array_join(F.transform(F.sequence(F.lit(1), n + more), lambda i: F.get(parts, number(F.concat(F.lit("s"), i), F.size(parts)))), "")
+        names = of_gender(lambda g: {n: " ".join(x for h in ("mf" if g == "a" else g) for x in GIVEN[h, n]) for n in ENDINGS})
+        listed = _let(F.split(names, " "), lambda list_: F.get(list_, number(F.lit("g"), F.size(list_))))
+        ending = of_gender(lambda g: {n: e.get(g, "") for n, e in ENDINGS.items()})
+        given = F.when((attempt < 2) & (names != ""), listed).otherwise(F.initcap(F.concat(spelt(F.lit(2)), ending)))
+        begin, rest = (own({n: v[k] for n, v in CHARACTERS.items()}) for k in (0, 1))
+        one = lambda text, i: F.substr(text, number(i.cast("string"), F.length(text)) + 1, F.lit(1))
+        characters = F.array_join(F.transform(F.sequence(F.lit(1), F.length(word) + more), lambda i: F.when(i == 1, one(begin, i)).otherwise(one(rest, i))), "")
+        return F.when(begin != "", characters).when(mark == _SURNAME, F.initcap(spelt(F.lit(4)))).otherwise(given)
+
+    return F.concat(mark, F.lit(":"), _let(script, made))
 
 
 def _words(m: Column, genders: Column) -> Column:
@@ -218,7 +227,7 @@ def _words(m: Column, genders: Column) -> Column:
 def values_of(m: Column, genders: Column) -> Column:
     """What is drawn for an entity: the words of a name, else itself."""
     words = F.filter(F.transform(_words(m, genders), lambda w: w["value"]), lambda v: v.isNotNull())
-    return F.when(kind_of(m) == "name", words).otherwise(F.array(m))
+    return F.when(_is_name(m), words).otherwise(F.array(m))
 
 
 def replacement(m: Column, genders: Column, key: str, draws: Column) -> Column:
@@ -231,7 +240,7 @@ def replacement(m: Column, genders: Column, key: str, draws: Column) -> Column:
         return F.when(w["value"].isNull(), w["word"]).when(shout, F.upper(new)).otherwise(new)
 
     name = F.concat(F.regexp_extract(m, f"^{_TITLE}", 0), F.array_join(F.transform(_words(m, genders), one), " "))
-    return F.when(kind_of(m) == "name", name).otherwise(surrogate(m, key, attempt(m)))
+    return F.when(_is_name(m), name).otherwise(surrogate(m, key, attempt(m)))
 
 
 def _check_digits(country: Column, account: Column) -> Column:
@@ -244,7 +253,10 @@ def _check_digits(country: Column, account: Column) -> Column:
 
 def surrogate(m: Column, key: str, attempt: Column) -> Column:
     """The replacement of an entity, or of a marked word of a name, at a draw; equal ones have equal replacements."""
-    kind = kind_of(m)
+    return _let(kind_of(m), lambda kind: _of_kind(m, kind, key, attempt))
+
+
+def _of_kind(m: Column, kind: Column, key: str, attempt: Column) -> Column:
     salt = F.concat_ws("|", kind, attempt.cast("string"))
     digits = F.regexp_replace(m, "[^0-9]", "")
     octets = F.split(m, r"\.")
