@@ -300,8 +300,9 @@ def resolve(found: DataFrame, key: str, most: int = 12) -> DataFrame:
         if not n:
             return state.where("attempt > 0").select("value", "attempt")
         least, idle = (n, 0) if least is None or n < least else (least, idle + 1)
-        again = F.col("attempt") + F.col("moves").cast("int")
-        state = durable(met.select("value", again.alias("attempt"), F.when(F.col("moves"), surrogate(F.col("value"), key, again)).otherwise(F.col("s")).alias("s")))
+        # a column of its own: inside a lambda a new column's name hides the old one of the same select
+        met = met.withColumn("next", F.col("attempt") + F.col("moves").cast("int"))
+        state = durable(met.select("value", F.col("next").alias("attempt"), F.when(F.col("moves"), surrogate(F.col("value"), key, F.col("next"))).otherwise(F.col("s")).alias("s")))
     raise RuntimeError("surrogates keep meeting; the formats leave too few draws")
 
 
