@@ -4,8 +4,11 @@ import inspect
 
 import duckdb
 import numpy as np
+import pandas as pd
+from pyspark.sql import functions as F
 
-from cellcluster import baselines, workloads
+from cellcluster import baselines, cluster, measures, workloads
+from cellcluster.components import star_components, task_forest
 from cellcluster.plans import registry
 from cellcluster.prefixtree import PrefixTree
 from cellcluster.spec import ClusterSpec
@@ -89,3 +92,71 @@ def test_ladders_take_walks_and_given_tables(monkeypatch):
         assert {g[0] for g in got if not g[0].startswith("walk")} == tables and any(g[0].startswith("walk") for g in got)
         if which in ("W4", "W7"):
             assert all({g[3] for g in got if g[0] == t} == set(workloads.MIN_PTS) for t in tables)
+
+
+def copied(spark, n=300, copies=7, width=4000):
+    """Places of a plane with copies of shifted ids, as a pandas frame and as points."""
+    r = np.random.default_rng(3)
+    x = np.repeat(r.integers(0, width, (n, 2)), copies, axis=0)
+    df = pd.DataFrame({"point_id": np.arange(len(x)), "x1": x[:, 0], "x2": x[:, 1]})
+    return spark.createDataFrame(df), x
+
+
+def test_pairs_compare_places_and_lose_no_copy(spark, monkeypatch):
+    ps, x = copied(spark)
+    compared = []
+    near_places = baselines.near_places
+    monkeypatch.setattr(baselines, "near_places", lambda at, *a: compared.append(at.count()) or near_places(at, *a))
+    near = np.square(x[:, None] - x[None]).sum(axis=2) <= 90_000
+    for how in ("cell", "theta"):
+        got = baselines.eps_pairs(ps, 300, how).toPandas()
+        assert len(got) == near.sum() and near[got["i"], got["j"]].all() and not got.duplicated().any()
+        n = {r.point_id: r.n for r in baselines.core_pointwise(ps, ClusterSpec(300, 30), how).collect()}
+        assert n == {int(i): int(k) for i, k in enumerate(near.sum(axis=1)) if k >= 30}
+    assert compared and max(compared) <= 300
+    plan = baselines.eps_pairs(ps, 300)._jdf.queryExecution().optimizedPlan().toString()
+    assert "strategy=merge" in plan  # the copies that look for their bins are not broadcast
+
+
+def test_points_reached_by_two_components_pair_once(spark):
+    x = np.array([[0, 0]] * 11 + [[200, 0], [450, 0], [700, 0]] + [[900, 0]] * 11 + [[5000, k] for k in range(20)])
+    ps, spec = spark.createDataFrame(pd.DataFrame({"point_id": np.arange(len(x)), "x1": x[:, 0], "x2": x[:, 1]})), ClusterSpec(250, 12)
+    near = np.square(x[:, None] - x[None]).sum(axis=2) <= 250**2
+    reach = {}
+    for r in baselines.reach_closure(ps, spec).collect():
+        reach.setdefault(r.p, set()).add(r.q)
+    core = near.sum(axis=1) >= 12
+    assert set(reach) == set(np.flatnonzero(core).tolist())
+    want = {(p, q) for qs in map(frozenset, reach.values()) for p in qs for q in qs if p < q}
+    seen = {}
+    for qs in {frozenset(v) for v in reach.values()}:
+        for q in qs:
+            seen[q] = seen.get(q, 0) + 1
+    assert max(seen.values()) > 1  # some border point is shared
+    got = [tuple(r) for r in baselines.connected_pairs(ps, spec).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_pointwise_and_sampled_methods_on_copies(spark):
+    ps, _ = copied(spark, 400, 5, 6000)
+    for eps, min_pts in ((250, 11), (120, 6)):
+        spec = ClusterSpec(eps, min_pts)
+        flag = cluster.cell_exact(ps, spec)
+        for how in ("theta", "cell"):
+            assert measures.same_clustering(baselines.pointwise(ps, spec, how).membership, flag.membership).isEmpty()
+        # asked of all points, the sampled method misses nothing
+        assert measures.same_clustering(baselines.sampled_expansion(ps, spec, reps=10**6).membership, flag.membership).isEmpty()
+        assert measures.check_axioms(flag, ps, spec).isEmpty()
+        m = flag.membership
+        wrong = cluster.ClusterResult(m.withColumn("cluster_id", F.when(F.col("point_id") % 5 == 1, F.col("point_id")).otherwise(F.col("cluster_id"))), flag.flagged, flag.counters)
+        assert {r.violation for r in measures.check_axioms(wrong, ps, spec).select("violation").distinct().collect()} == {"split", "left out", "unreached"}
+
+
+def test_forest_of_a_task_joins_what_its_edges_join(spark):
+    r = np.random.default_rng(5)
+    rows = [(int(a), int(b)) for a, b in r.integers(0, 400, (260, 2))]
+    edges = spark.createDataFrame(rows, "a bigint, b bigint").repartition(3)
+    for most in (16, 1 << 20):
+        kept = task_forest(edges, most)
+        assert kept.count() <= 3 * 400
+        assert {tuple(x) for x in star_components(kept).collect()} == {tuple(x) for x in star_components(edges.where("a <> b")).collect()}
