@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from cellcluster import baselines, cluster, measures, workloads
 from cellcluster.components import star_components, task_forest
+from cellcluster.operators import joins
 from cellcluster.plans import registry
 from cellcluster.prefixtree import PrefixTree
 from cellcluster.spec import ClusterSpec
@@ -160,3 +161,20 @@ def test_forest_of_a_task_joins_what_its_edges_join(spark):
         kept = task_forest(edges, most)
         assert kept.count() <= 3 * 400
         assert {tuple(x) for x in star_components(kept).collect()} == {tuple(x) for x in star_components(edges.where("a <> b")).collect()}
+
+
+def test_copies_share_their_nearest_rows_and_their_intervals(spark, monkeypatch):
+    r = np.random.default_rng(6)
+    place = lambda n, copies: np.repeat(r.integers(0, 900, (n, 2)), copies, axis=0)
+    x, y = place(30, 4), place(40, 6)
+    a = spark.createDataFrame(pd.DataFrame({"a": np.arange(len(x)), "ax": x[:, 0], "ay": x[:, 1]}))
+    b = spark.createDataFrame(pd.DataFrame({"b": np.arange(len(y)), "bx": y[:, 0], "by": y[:, 1]}))
+    asked, eps_join = [], joins.eps_join
+    monkeypatch.setattr(joins, "eps_join", lambda l, r, *a: asked.append((l.count(), r.count())) or eps_join(l, r, *a))
+    got = {(v.a, v["rank"]): (v.sq, v.b) for v in joins.knn_join(a, b, 8, ["ax", "ay"], ["bx", "by"], "a", "b", 60).collect()}
+    sq = np.square(x[:, None] - y[None]).sum(axis=2)
+    assert got == {(i, k + 1): v for i in range(len(x)) for k, v in enumerate(sorted((int(sq[i, j]), j) for j in range(len(y)))[:8])}
+    assert max(n for n, _ in asked) <= 30 and max(n for _, n in asked) <= 40
+    i, j = ([(k, int(v), int(v + w)) for k, (v, w) in enumerate(np.repeat(r.integers(0, 60, (25, 2)), 5, axis=0))] for _ in range(2))
+    both = joins.interval_join(spark.createDataFrame(i, "i long, l long, h long"), spark.createDataFrame(j, "j long, m long, g long"), ("l", "h"), ("m", "g"), 25)
+    assert sorted((v.i, v.j) for v in both.collect()) == sorted((p, q) for p, l, h in i for q, m, g in j if l <= g and m <= h)
