@@ -178,3 +178,12 @@ def test_copies_share_their_nearest_rows_and_their_intervals(spark, monkeypatch)
     i, j = ([(k, int(v), int(v + w)) for k, (v, w) in enumerate(np.repeat(r.integers(0, 60, (25, 2)), 5, axis=0))] for _ in range(2))
     both = joins.interval_join(spark.createDataFrame(i, "i long, l long, h long"), spark.createDataFrame(j, "j long, m long, g long"), ("l", "h"), ("m", "g"), 25)
     assert sorted((v.i, v.j) for v in both.collect()) == sorted((p, q) for p, l, h in i for q, m, g in j if l <= g and m <= h)
+
+
+def test_walks_number_the_rows_of_given_tables(spark):
+    for name, table, key in (("generator_even_2d", "events", "event_id"), ("generator_varied_3d", "orders", "o_orderkey"), ("membership_walk_2d", "customer", "c_custkey"), ("membership_walk_7d", "customer", "c_custkey")):
+        given = spark.read.parquet(f"/root/testdata/sf0.001/{table}.parquet").select(F.col(key).alias("point_id"))
+        made = registry.QUERIES[name](spark, "/root/testdata/sf0.001").select("point_id").distinct()
+        assert made.exceptAll(given).isEmpty() and given.exceptAll(made).isEmpty()
+        assert f"FROM {table}" in registry.ORACLES[name]
+    assert {r.table for r in workloads.settings("W1")} == {"supplier"} and all("FROM supplier" in r.sql("") for r in workloads.settings("W1"))
