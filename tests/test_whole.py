@@ -187,3 +187,17 @@ def test_walks_number_the_rows_of_given_tables(spark):
         assert made.exceptAll(given).isEmpty() and given.exceptAll(made).isEmpty()
         assert f"FROM {table}" in registry.ORACLES[name]
     assert {r.table for r in workloads.settings("W1")} == {"supplier"} and all("FROM supplier" in r.sql("") for r in workloads.settings("W1"))
+
+
+def test_counts_come_from_shared_places_with_their_weights(spark, monkeypatch):
+    small, asked = "/root/testdata/sf0.001", []
+    runs = [workloads.Run("line5", 4000, 10), workloads.Run("line5", 2000, 40), workloads.Run("walk_3d_even", 4000, 3, 1500, 3, "even", "supplier")]
+    monkeypatch.setattr(workloads, "settings", lambda which: runs)
+    places = workloads.Run.places
+    monkeypatch.setattr(workloads.Run, "places", lambda self, *a: asked.append(self.source) or places(self, *a))
+    c = duckdb.connect()
+    for t in ("lineitem", "supplier"):
+        c.execute(f"CREATE VIEW {t} AS SELECT * FROM '{small}/{t}.parquet'")
+    got = sorted(tuple(r) for r in workloads.counted(spark, small, "W2").collect())
+    assert got == sorted(c.execute(workloads.counted_sql("W2")).fetchall())
+    assert len(asked) == len(set(asked)) == 2
