@@ -201,3 +201,12 @@ def test_counts_come_from_shared_places_with_their_weights(spark, monkeypatch):
     got = sorted(tuple(r) for r in workloads.counted(spark, small, "W2").collect())
     assert got == sorted(c.execute(workloads.counted_sql("W2")).fetchall())
     assert len(asked) == len(set(asked)) == 2
+
+
+def test_load_of_blocks_counts_copies_of_a_place_as_points(spark, monkeypatch):
+    """Copies of a place fall into one block: they count as home points and are one row there."""
+    r = np.random.default_rng(8)
+    x = np.repeat(r.integers(0, 100_000, (400, 2)), 30, axis=0)
+    made = spark.createDataFrame(pd.DataFrame({"point_id": np.arange(len(x)), "x1": x[:, 0] // 20, "x2": x[:, 1] // 20}))
+    monkeypatch.setattr("cellcluster.fixtures.points", lambda *a: made)
+    assert registry.QUERIES["block_load_events"](spark, "").collect() == [(len(x), 0)]
