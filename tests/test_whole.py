@@ -210,3 +210,24 @@ def test_load_of_blocks_counts_copies_of_a_place_as_points(spark, monkeypatch):
     made = spark.createDataFrame(pd.DataFrame({"point_id": np.arange(len(x)), "x1": x[:, 0] // 20, "x2": x[:, 1] // 20}))
     monkeypatch.setattr("cellcluster.fixtures.points", lambda *a: made)
     assert registry.QUERIES["block_load_events"](spark, "").collect() == [(len(x), 0)]
+
+
+def test_frequent_keys_meet_as_lists(spark):
+    """A key of 1,100 and 700 rows: no row of the join holds more than a list of ids, and every pair comes once."""
+    a = spark.range(1103).selectExpr("CASE WHEN id < 1100 THEN 1L ELSE id END AS k", "id AS a")
+    b = spark.range(702).selectExpr("CASE WHEN id < 700 THEN 1L ELSE id + 400 END AS k", "id AS b")
+    sizes = [r.n for r in joins.packs(a, ["k"], "a", "ids").selectExpr("size(ids) AS n").collect()]
+    assert max(sizes) <= joins.PACK and sum(sizes) == 1103
+    got = joins.packed_join(a, b, ["k"], "a", "b").toPandas()
+    want = {(i, j) for i in range(1100) for j in range(700)} | {(1100, 700), (1101, 701)}
+    assert len(got) == len(want) and set(zip(got["a"], got["b"], strict=True)) == want
+
+
+def test_pairs_are_unfolded_after_their_last_join(spark):
+    ps, _ = copied(spark)
+    joined = lambda df: df._jdf.queryExecution().optimizedPlan().toString().splitlines()
+    spec = ClusterSpec(300, 30)
+    pairs = [baselines.eps_pairs(ps, 300), baselines.eps_pairs(ps, 300, "theta"), baselines.direct_reach(ps, spec), baselines.reach_closure(ps, spec), baselines.connected_pairs(ps, spec), registry.QUERIES["pair_metrics_supp"](spark, LARGER)]
+    for df in pairs:
+        names = [line.lstrip(" :+-").split(" ")[0].split("(")[0] for line in joined(df)]
+        assert names.count("Generate") >= 2 and "Join" not in names[: names.index("Generate") + 1]
