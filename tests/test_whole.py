@@ -231,3 +231,25 @@ def test_pairs_are_unfolded_after_their_last_join(spark):
     for df in pairs:
         names = [line.lstrip(" :+-").split(" ")[0].split("(")[0] for line in joined(df)]
         assert names.count("Generate") >= 2 and "Join" not in names[: names.index("Generate") + 1]
+
+
+def test_merge_orders_run_by_component_in_tasks(spark, monkeypatch):
+    """The counters of both orders over all cells at once, without bringing points to the driver."""
+    r = np.random.default_rng(4)
+    x = np.concatenate([r.integers(0, 9_000, (900, 2)), r.integers(40_000, 49_000, (700, 2))])
+    ps = spark.createDataFrame(pd.DataFrame({"point_id": np.arange(len(x)), "x1": x[:, 0], "x2": x[:, 1]}))
+    monkeypatch.setattr(workloads.fixtures, "points", lambda *_: ps)
+    spec = ClusterSpec(workloads.fixtures.SETS["part"].eps // 5, 5)
+    monkeypatch.setitem(workloads.fixtures.SETS, "part", workloads.fixtures.PointSet("part", "p_partkey", ("a", "b"), spec.eps, spec.min_pts))
+    core = cluster.mark_core(ps, spec)[0].where("is_core").orderBy("point_id").toPandas()
+    monkeypatch.setattr(type(ps), "toPandas", lambda self: (_ for _ in ()).throw(AssertionError("points on the driver")))
+    got = {(g["order"], g["gap"]): {k: v for k, v in g.items() if k not in ("set", "order", "gap")} for g in workloads.merge_ablation(spark, "", ("part",))}
+    grid, own = np.unique(core[["k1", "k2"]].to_numpy(), axis=0, return_inverse=True)
+    groups = [core[["x1", "x2"]].to_numpy()[own.ravel() == k] for k in range(len(grid))]
+    q, o, _ = PrefixTree(grid).query(grid, spec.reach(2))
+    near = [o[q == k] for k in range(len(grid))]
+    assert len(got) == 2 * len(workloads.gaptest.EXACT)
+    for order, run in workloads.MERGE_ORDERS.items():
+        for gap in workloads.gaptest.EXACT:
+            label, count = run(groups, near, spec.eps, workloads.gaptest.TESTS[gap])
+            assert got[order, gap] == {"components": len(set(label)), **count} and count["checks"] > 0
