@@ -253,3 +253,9 @@ def test_merge_orders_run_by_component_in_tasks(spark, monkeypatch):
         for gap in workloads.gaptest.EXACT:
             label, count = run(groups, near, spec.eps, workloads.gaptest.TESTS[gap])
             assert got[order, gap] == {"components": len(set(label)), **count} and count["checks"] > 0
+
+
+def test_points_of_places_are_not_broadcast(spark):
+    ps, _ = copied(spark)
+    plan = baselines.members(ps, baselines.collapse_duplicates(ps))._jdf.queryExecution().optimizedPlan().toString()
+    assert "strategy=merge" in plan
