@@ -259,3 +259,15 @@ def test_points_of_places_are_not_broadcast(spark):
     ps, _ = copied(spark)
     plan = baselines.members(ps, baselines.collapse_duplicates(ps))._jdf.queryExecution().optimizedPlan().toString()
     assert "strategy=merge" in plan
+
+
+def test_all_pairs_of_places_meet_as_lists_over_several_tasks(spark, monkeypatch):
+    r = np.random.default_rng(9)
+    x, y = r.integers(0, 900, (300, 3)), r.integers(0, 900, (200, 3))
+    a = spark.createDataFrame(pd.DataFrame({"i": np.arange(300), **{f"x{j + 1}": x[:, j] for j in range(3)}})).coalesce(1)
+    b = spark.createDataFrame(pd.DataFrame({"j": np.arange(200), **{f"y_x{j + 1}": y[:, j] for j in range(3)}})).coalesce(1)
+    monkeypatch.setattr(baselines, "PACK", 16)
+    near = baselines._near(a, b, 150, "theta")
+    assert near.rdd.getNumPartitions() >= 24
+    got = [(v.i, v.j) for v in near.collect()]
+    assert len(got) == len(set(got)) and set(got) == {(int(i), int(j)) for i, j in np.argwhere(np.square(x[:, None] - y[None]).sum(axis=2) <= 150**2)}
