@@ -268,6 +268,14 @@ def test_all_pairs_of_places_meet_as_lists_over_several_tasks(spark, monkeypatch
     b = spark.createDataFrame(pd.DataFrame({"j": np.arange(200), **{f"y_x{j + 1}": y[:, j] for j in range(3)}})).coalesce(1)
     monkeypatch.setattr(baselines, "PACK", 16)
     near = baselines._near(a, b, 150, "theta")
-    assert near.rdd.getNumPartitions() >= 24
+    assert near._jdf.queryExecution().optimizedPlan().toString().count("Repartition 24, true") == 1
     got = [(v.i, v.j) for v in near.collect()]
     assert len(got) == len(set(got)) and set(got) == {(int(i), int(j)) for i, j in np.argwhere(np.square(x[:, None] - y[None]).sum(axis=2) <= 150**2)}
+
+
+def test_bins_of_few_bytes_stay_dealt(spark):
+    """Lists of a few bins are few bytes but many rows: their join is not merged into one task."""
+    ps, _ = copied(spark)
+    at = baselines.packs(ps, ["x1", "x2"], "point_id", "ids")
+    plan = baselines._pairs(at, at, 300, "cell", "i", "j")._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("RepartitionByExpression [g1") == 2
