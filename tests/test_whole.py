@@ -261,6 +261,15 @@ def test_points_of_places_are_not_broadcast(spark):
     assert "strategy=merge" in plan
 
 
+def test_sampled_expansion_broadcasts_nothing_that_grows(spark):
+    """A plan may take 1.2 M border points for small; the joins with points are by merge in the plan that runs too."""
+    ps, _ = copied(spark)
+    noise = baselines.sampled_expansion(ps, ClusterSpec(300, 30)).membership.where("role = 'noise'")
+    noise.collect()
+    plan = noise._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "BroadcastExchange" not in plan
+
+
 def test_all_pairs_of_places_meet_as_lists_over_several_tasks(spark, monkeypatch):
     r = np.random.default_rng(9)
     x, y = r.integers(0, 900, (300, 3)), r.integers(0, 900, (200, 3))
