@@ -101,3 +101,34 @@ def test_suffixes_of_few_tokens_are_sorted_to_their_depth():
         window = {k: tuple(stream[k : k + htmltext.LONG].tolist()) for k in range(n - htmltext.LONG + 1) if page[k] == page[k + htmltext.LONG - 1]}
         assert order.tolist() == sorted(window, key=lambda k: (window[k], k)) and pages.tolist() == page[order].tolist()
         assert first.tolist() == [i for i, k in enumerate(order) if not i or window[k] != window[order[i - 1]]]
+
+
+def test_packed_fingerprints_are_whole_and_few_bits():
+    r = np.random.default_rng(2)
+    for n, known in ((0, 0), (1, 0), (1, 3), (2, 0), (9, 5), (700, 0), (htmltext.SPREAD + 77, 2)):
+        low = np.unique(r.integers(0, 2**64, n, dtype=np.uint64) >> np.uint64(known))
+        prints = low | np.uint64(5 % (1 << known) << (64 - known)) if known else low
+        packed = htmltext.pack_prints(prints, known)
+        assert htmltext.unpack_prints(packed).tolist() == prints.tolist()
+    assert len(packed) < 6.2 * len(prints)
+    ends = np.array([0, 1, 2**63, 2**64 - 2, 2**64 - 1], np.uint64)
+    assert htmltext.unpack_prints(htmltext.pack_prints(ends)).tolist() == ends.tolist()
+
+
+def test_shards_hand_on_few_bytes_and_no_stream_twice(spark, monkeypatch):
+    """Pages of 300 words of their own, each in two shards or more: fewer bytes than 7 a window, and copies in other shards do not count as repeats."""
+    monkeypatch.setattr(htmltext, "SHARD", 4)
+    text = lambda k: " ".join(f"p{k}w{j}" for j in range(300))
+    rows = [(k, "http://h.com/a", f"<article><p>{text(k % 12)}</p></article>") for k in range(48)]
+    got = htmltext.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).collect()
+    assert len(got) == 48 and all((r.n_inside, r.n_inside_repeated) == (300, 0) for r in got)
+    pages = [htmltext._pack([(text(k), htmltext.ARTICLE)]) for k in range(400)]
+    part = htmltext.pa.table({"page": pages, "host": ["h"] * 400, "shard": [1] * 400, "bits": [1] * 400, "name": [htmltext._name([(text(k), 1)]) for k in range(400)]})
+    none = htmltext.pa.table({"name": htmltext.pa.array([], htmltext.pa.int64())})
+    out = htmltext._shard_runs(part, none)
+    size = sum(len(x) for c in htmltext.KINDS for x in out.column(c).to_pylist())
+    assert 400 * 290 * 5 < size < 400 * 293 * 7
+    first = htmltext.pa.table({"name": part.column("name").slice(0, 399)})
+    out = htmltext._shard_runs(part, first)
+    count = {c: sum(len(htmltext.unpack_prints(x)) for x in out.column(c).to_pylist()) for c in htmltext.KINDS}
+    assert count == {"once": 294, "several": 0, "asked": 399 * 294}
