@@ -144,3 +144,33 @@ def test_approximate_counts_and_clipping():
             yes = gaptest.rho_count(a, b, eps, rho).yes
             assert yes if least <= eps * eps else not yes or least <= (eps * (1 + rho)) ** 2
         assert gaptest.nn_index(a, b, eps).yes == gaptest.centre_filter(a, b, eps, "medoid").yes == (least <= eps * eps)
+
+
+def _block(x, d, core):
+    """A block of home points, all of them core points or not, as its kernel gets it."""
+    import pyarrow as pa
+
+    keys = np.floor(x * np.sqrt(d) / 100).astype(np.int64)
+    columns = {"point_id": np.arange(len(x)), **{f"x{j + 1}": x[:, j] for j in range(d)}, **{f"k{j + 1}": keys[:, j] for j in range(d)}, "is_core": core, "home": np.ones(len(x), bool)}
+    return pa.table({k: pa.array(v) for k, v in columns.items()})
+
+
+def test_a_block_hands_on_stars(spark):
+    """A path of 400 cells: as a path it would take the joining of blocks many rounds."""
+    x = np.stack([np.arange(400) * 80, np.zeros(400, np.int64)], axis=1)
+    for order in ("graph", "sparse_first"):
+        links = blocks.merge_kernel(ClusterSpec(100, 1), 2, order=order)(_block(x, 2, np.ones(400, bool))).to_pylist()
+        edges = [(r["a"], r["b"]) for r in links if r["kind"] == "edge"]
+        assert {a for a, _ in edges} == {"0,0"} and len({b for _, b in edges}) == len(edges) > 300
+
+
+def test_leaves_stay_out_of_the_rounds(spark):
+    from cellcluster.components import durable, star_components
+
+    # a star whose centre is no smallest vertex, a pair, a triangle with leaves, the last of them smaller than all of it
+    rows = [(50, 100 + k) for k in range(300)] + [(1, 50), (2, 3), (60, 61), (61, 62), (60, 62), (62, 63), (4, 60)]
+    kept = []
+    found = star_components(spark.createDataFrame(rows, "a bigint, b bigint"), keep=lambda df: kept.append(df) or durable(df), few=5)
+    got = {r.vertex: r.component for r in found.collect()}
+    assert got == {**dict.fromkeys([1, 50, *range(100, 400)], 1), 2: 2, 3: 2, **dict.fromkeys([4, 60, 61, 62, 63], 4)}
+    assert len(kept) <= 6
