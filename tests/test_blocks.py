@@ -174,3 +174,22 @@ def test_leaves_stay_out_of_the_rounds(spark):
     got = {r.vertex: r.component for r in found.collect()}
     assert got == {**dict.fromkeys([1, 50, *range(100, 400)], 1), 2: 2, 3: 2, **dict.fromkeys([4, 60, 61, 62, 63], 4)}
     assert len(kept) <= 6
+
+
+def test_neighbours_and_pairs_of_a_block_are_met_in_bounded_stretches(monkeypatch):
+    """Points of 5 dimensions with hundreds of neighbour cells: answers come in stretches, and a kernel's answer does not depend on them."""
+    r = np.random.default_rng(6)
+    x = np.unique(r.integers(0, 220, (700, 5)), axis=0)
+    core = np.arange(len(x)) % 3 > 0
+    part, spec = _block(x, 5, core), ClusterSpec(100, 30)
+    kernels = [blocks.core_kernel(spec, 5), blocks.merge_kernel(spec, 5), blocks.merge_kernel(spec, 5, order="sparse_first")]
+    asked = blocks.Cells(part, 5)
+    whole, found = [k(part).to_pylist() for k in kernels], asked.tree.query(asked.grid, spec.reach(5), with_self=True)
+    monkeypatch.setattr(blocks, "LOOKED", 6000)
+    monkeypatch.setattr(blocks, "COMPARED", 500)
+    sizes = [len(other) for _, other, _ in asked.neighbours(np.arange(len(asked.grid)), spec.reach(5))]
+    assert sum(sizes) == len(found[0]) > 20 * 6000 and max(sizes[1:]) <= 4 * 6000
+    assert [sorted(map(str, k(part).to_pylist())) for k in kernels] == [sorted(map(str, w)) for w in whole]
+    near = np.square(x[:, None] - x[None]).sum(axis=2) <= 100**2
+    assert {v["point_id"] for v in whole[0] if v["is_core"]} == set(np.flatnonzero(near.sum(axis=1) >= 30).tolist())
+    assert {v["point_id"] for v in whole[1] if v["kind"] == "border"} == set(np.flatnonzero(~core & (near & core).any(axis=1)).tolist())
