@@ -288,3 +288,33 @@ def test_bins_of_few_bytes_stay_dealt(spark):
     at = baselines.packs(ps, ["x1", "x2"], "point_id", "ids")
     plan = baselines._pairs(at, at, 300, "cell", "i", "j")._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("RepartitionByExpression [g1") == 2
+
+
+def _exchanged(df):
+    """Lines of the plan that stand between the last join and the scans below it: what is dealt is dealt before it."""
+    names = [line.lstrip(" :+-").split(" ")[0].split("(")[0] for line in df._jdf.queryExecution().optimizedPlan().toString().splitlines()]
+    return names[: names.index("Join")]
+
+
+def test_pairs_of_lists_are_made_where_they_are_unfolded(spark):
+    """Pairs of lists grow with the square of the rows, so they are never exchanged."""
+    ps, _ = copied(spark)
+    spec = ClusterSpec(300, 30)
+    for df in (baselines.reach_closure(ps, spec), baselines.connected_pairs(ps, spec), registry.QUERIES["pair_metrics_supp"](spark, LARGER), registry.QUERIES["interval_all_parts"](spark, LARGER)):
+        assert "RepartitionByExpression" not in _exchanged(df) and _exchanged(df).count("Generate") == 2
+
+
+def test_stripes_of_lists_lose_no_pair(spark, monkeypatch):
+    """More lists than a stripe holds on both sides, null rows among equal intervals, and ends that other columns stand between."""
+    monkeypatch.setattr(joins, "STRIPE", 2)
+    pack = joins.packs
+    monkeypatch.setattr(joins, "packs", lambda *a: pack(*a, size=8))
+    a = spark.range(103).selectExpr("CASE WHEN id < 100 THEN 1L ELSE id END AS k", "id AS a")
+    b = spark.range(72).selectExpr("CASE WHEN id < 70 THEN 1L ELSE id + 30 END AS k", "id AS b")
+    got = [(r.a, r.b) for r in joins.packed_join(a, b, ["k"], "a", "b").collect()]
+    assert len(got) == len(set(got)) and set(got) == {(i, j) for i in range(100) for j in range(70)} | {(100, 70), (101, 71)}
+    i = [(10, k if k % 9 else None, 12, str(k)) for k in range(40)] + [(30, 1, 60, "x"), (None, 1, 60, "y")]
+    j = [(k % 2, 11, 11 + k % 3) for k in range(50)] + [(5, 60, 90), (None, 61, 62)]
+    got = joins.interval_join(spark.createDataFrame(i, "l long, i long, h long, s string"), spark.createDataFrame(j, "j long, m long, g long"), ("l", "h"), ("m", "g"), 7)
+    assert got.columns == ["l", "i", "h", "s", "j", "m", "g"]
+    assert sorted(map(str, map(tuple, got.collect()))) == sorted(str((*x, *y)) for x in i for y in j if x[0] is not None and x[0] <= y[2] and y[1] <= x[2])
